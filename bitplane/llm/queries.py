@@ -5,8 +5,14 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import exact_dedup, line_dedup
-from .common import LOWER, UPPER, table
+from . import exact_dedup, line_dedup, token_output, tokenizing
+from .common import LOWER, UPPER, scratch, table, vocabulary_path
+
+WORDS, BYTES = "word_bpe_49k.json", "byte_bpe_50k.json"
+
+
+def op3_bpe_round_trip(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return tokenizing.round_trip(table(spark, sf_dir, "documents"), vocabulary_path(WORDS))
 
 
 def op4_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -18,7 +24,17 @@ def op5_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup.groups(table(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op4_line_dedup, op5_exact_dedup)}
+def op8_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return tokenizing.count_tokens(table(spark, sf_dir, "documents"), vocabulary_path(BYTES))
+
+
+def op9_token_output(spark: SparkSession, sf_dir: str) -> DataFrame:
+    path = scratch(spark, "sequences")
+    token_output.write_sequences(table(spark, sf_dir, "documents"), path, vocabulary_path(WORDS))
+    return token_output.read_documents(spark, path)
+
+
+QUERIES = {f.__name__: f for f in (op3_bpe_round_trip, op4_line_dedup, op5_exact_dedup, op8_token_counts, op9_token_output)}
 
 ASCII_LOWER = f"translate({{}}, '{UPPER}', '{LOWER}')"
 
