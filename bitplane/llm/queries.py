@@ -5,12 +5,16 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import exact_dedup, line_dedup, token_output, tokenizing
+from . import exact_dedup, line_dedup, near_dedup, token_output, tokenizing
 from .common import LOWER, UPPER, scratch, table, vocabulary_path
 
 WORDS, BYTES = "word_bpe_49k.json", "byte_bpe_50k.json"
 
 
+def op2_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_dedup.classes(table(spark, sf_dir, "documents"))
+
+
 def op3_bpe_round_trip(spark: SparkSession, sf_dir: str) -> DataFrame:
     return tokenizing.round_trip(table(spark, sf_dir, "documents"), vocabulary_path(WORDS))
 
@@ -34,7 +38,7 @@ def op9_token_output(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_output.read_documents(spark, path)
 
 
-QUERIES = {f.__name__: f for f in (op3_bpe_round_trip, op4_line_dedup, op5_exact_dedup, op8_token_counts, op9_token_output)}
+QUERIES = {f.__name__: f for f in (op2_near_dedup, op3_bpe_round_trip, op4_line_dedup, op5_exact_dedup, op8_token_counts, op9_token_output)}
 
 ASCII_LOWER = f"translate({{}}, '{UPPER}', '{LOWER}')"
 
