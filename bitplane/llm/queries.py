@@ -5,12 +5,18 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import exact_dedup, line_dedup, near_dedup, quality, token_output, tokenizing
+from . import exact_dedup, line_dedup, mixing, near_dedup, quality, token_output, tokenizing
 from .common import LOWER, UPPER, scratch, table, vocabulary_path
 
 WORDS, BYTES = "word_bpe_49k.json", "byte_bpe_50k.json"
 
 
+def op1_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    out = mixing.weigh(table(spark, sf_dir, "documents"))
+    tags = [F.col(f"__{c}").alias(c) for c in ("source", "lang", "topic", "tokens")]
+    return out.select("doc_id", *tags, F.coalesce("__probability", F.lit(0.0)).alias("probability"), F.col("__selected").alias("selected"))
+
+
 def op2_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_dedup.classes(table(spark, sf_dir, "documents"))
 
@@ -42,11 +48,43 @@ def op9_token_output(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_output.read_documents(spark, path)
 
 
-QUERIES = {f.__name__: f for f in (op2_near_dedup, op3_bpe_round_trip, op4_line_dedup, op5_exact_dedup, op7_quality, op8_token_counts, op9_token_output)}
+QUERIES = {f.__name__: f for f in (op1_mixing, op2_near_dedup, op3_bpe_round_trip, op4_line_dedup, op5_exact_dedup, op7_quality, op8_token_counts, op9_token_output)}
 
 ASCII_LOWER = f"translate({{}}, '{UPPER}', '{LOWER}')"
 
+
+
+def _mixing_sql(share: float = 0.7, powers: tuple = (0.5, 0.7, 0.5), topics: int = 8, rounds: int = 8, steps: int = 6) -> str:
+    """The raking rounds unrolled as common table expressions."""
+    margins = ("source", "lang", "topic")
+    ctes = [f"""d AS MATERIALIZED (SELECT doc_id, coalesce(source, '(none)') AS source, coalesce(lang, '(none)') AS lang,
+        list_filter(regexp_split_to_array(coalesce(text, ''), '[ \\t\\n\\r]+'), lambda w: w <> '') AS words FROM documents),
+t AS MATERIALIZED (SELECT doc_id, source, lang, len(words)::BIGINT AS tokens, CASE WHEN len(words) = 0 THEN 0 ELSE
+        (('0x' || substr(sha256(list_max(list_transform(words, lambda w: {{'n': length(w), 'w': w}})).w), 1, 8))::BIGINT % {topics})::INTEGER END AS topic FROM d),
+cells AS MATERIALIZED (SELECT source, lang, topic, sum(tokens)::BIGINT AS tokens FROM t GROUP BY ALL),
+r0 AS MATERIALIZED (SELECT *, tokens / (SELECT greatest(sum(tokens), 1)::DOUBLE FROM cells) AS raked FROM cells)"""]
+    for m, p in zip(margins, powers):
+        ctes.append(f"w_{m} AS MATERIALIZED (SELECT {m}, p / sum(p) OVER () AS target FROM (SELECT {m}, pow(sum(tokens)::DOUBLE, {p}) AS p FROM cells GROUP BY {m} HAVING sum(tokens) > 0))")
+    k = 0
+    for _ in range(rounds):
+        for m in margins:
+            ctes.append(f"""r{k + 1} AS MATERIALIZED (SELECT s.source, s.lang, s.topic, s.tokens, s.raked * coalesce(f.target / nullif(f.now, 0), 0) AS raked FROM r{k} s
+LEFT JOIN (SELECT a.{m}, a.now, w.target FROM (SELECT {m}, sum(raked) AS now FROM r{k} GROUP BY {m}) a JOIN w_{m} w USING ({m})) f ON s.{m} = f.{m})""")
+            k += 1
+    ctes.append(f"c AS MATERIALIZED (SELECT source, lang, topic, tokens, CASE WHEN tokens > 0 THEN raked / tokens ELSE 0 END AS factor FROM r{k})")
+    ctes.append("s0 AS MATERIALIZED (SELECT 0.0::DOUBLE AS scale)")
+    for i in range(steps):
+        ctes.append(f"""s{i + 1} AS MATERIALIZED (SELECT CASE WHEN v > 0 THEN v ELSE (SELECT scale FROM s{i}) END AS scale FROM (SELECT ({share} * sum(tokens) - coalesce(sum(tokens) FILTER (factor * s >= 1), 0))
+/ nullif(sum(factor * tokens) FILTER (factor * s < 1), 0) AS v FROM (SELECT c.*, (SELECT scale FROM s{i}) AS s FROM c)))""")
+    return f"""WITH {", ".join(ctes)},
+p AS (SELECT source, lang, topic, round(least(1.0, factor * coalesce((SELECT scale FROM s{steps}), 0)), 6) AS probability FROM c)
+SELECT t.doc_id, t.source, t.lang, t.topic, t.tokens, p.probability,
+       ('0x' || substr(sha256('mix:' || coalesce(t.doc_id::VARCHAR, 'null')), 1, 12))::BIGINT / 281474976710656.0::DOUBLE < p.probability AS selected
+FROM t JOIN p USING (source, lang, topic)"""
+
+
 ORACLES = {
+    "op1_mixing": _mixing_sql(),
     "op4_line_dedup": f"""
 WITH docs AS (SELECT doc_id, coalesce(text, '') AS text FROM documents),
 parts AS (SELECT doc_id, string_split(text, chr(10)) AS ls FROM docs),
