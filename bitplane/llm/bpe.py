@@ -19,8 +19,7 @@ import codecs
 import heapq
 import json
 import unicodedata
-from collections.abc import Iterable, Iterator
-from itertools import chain
+from collections.abc import Iterator
 
 import numpy as np
 import regex
@@ -218,7 +217,9 @@ class BatchMerger:
             where = np.cumsum(keep) - 1
             ids, owner, rank = ids[keep], owner[keep], rank[keep]
             at = where[hit]
-            near = np.unique(np.r_[at, at[at > 0] - 1])
+            touched = np.zeros(len(ids), bool)
+            touched[at] = touched[at[at > 0] - 1] = True
+            near = np.flatnonzero(touched)
             rank[near] = self.pairs.never
             near = near[near + 1 < len(ids)]
             near = near[owner[near] == owner[near + 1]]
@@ -259,16 +260,16 @@ class OpenWord:
 
 
 class ChunkIds(dict):
-    """Ids by blank-free stretch of normal text; bounded, filled on demand."""
+    """Ids (little-endian 32-bit) by blank-free stretch of normal text; bounded, filled on demand."""
 
-    LIMIT, LONG = 400_000, 64
+    LIMIT, LONG = 800_000, 64
 
     def __init__(self, encode):
         super().__init__()
         self.encode = encode
 
-    def __missing__(self, chunk: str) -> list[int]:
-        ids = self.encode(chunk)
+    def __missing__(self, chunk: str) -> bytes:
+        ids = packed(self.encode(chunk))
         if len(chunk) <= self.LONG:
             if len(self) >= self.LIMIT:
                 self.clear()
@@ -276,6 +277,10 @@ class ChunkIds(dict):
         return ids
 
 
+def packed(ids: list[int]) -> bytes:
+    return np.array(ids, "<u4").tobytes()
+
+
 class WordEncoder:
     """Streaming encoder of the word tokenizer: NFC, lower case, white space dropped, word ends marked.
 
@@ -299,12 +304,13 @@ class WordEncoder:
         self.longest = max(map(len, rules.special), default=0)
         #: str.split() also splits at these four, which the vocabulary takes for marks.
         self.odd = regex.compile(r"[\x1c-\x1f]").search
-        self.memo, self.known = ChunkIds(self.chunk), ChunkIds(self.word)
+        self.marked = regex.compile(self.PATTERN + r"|\n").findall
+        self.memo = ChunkIds(self.chunk)
         self.batch = BatchMerger(rules)
         self.pending, self.open = "", None
 
     def chunk(self, text: str) -> list[int]:
-        return list(chain.from_iterable(map(self.known.__getitem__, self.words(text))))
+        return [i for w in self.words(text) for i in self.word(w)]
 
     def word(self, word: str) -> list[int]:
         syms = symbols(word)
@@ -313,26 +319,34 @@ class WordEncoder:
         stream = OpenWord(self.rules)
         return stream.push(syms) + stream.close()
 
-    def learn(self, texts: Iterable[str]) -> None:
-        """Fills the memo with the new short stretches of many texts at once."""
-        new: set[str] = set()
-        for text in texts:
-            new.update(self.normal(text).split())
-        new = {c for c in new.difference(self.memo) if len(c) <= ChunkIds.LONG}
-        if len(new) < 64 or self.odd("".join(new)):
+    def learn(self, new: set[str]) -> None:
+        """Adds many short stretches to the memo with one pass of the pattern and one of the merges."""
+        order = [c for c in new if len(c) <= ChunkIds.LONG]
+        if len(order) < 64:
             return
-        if len(self.memo) + len(new) > ChunkIds.LIMIT:
+        if len(self.memo) + len(order) > ChunkIds.LIMIT:
             self.memo.clear()
-        if len(self.known) > ChunkIds.LIMIT:
-            self.known.clear()
-        split = {c: self.words(c) for c in new}
-        words = list(set(chain.from_iterable(split.values())).difference(self.known))
-        if words:
-            ids, begins = self.batch.ids(words)
-            ids, begins = ids.tolist(), begins.tolist()
-            self.known.update((w, ids[a:b]) for w, a, b in zip(words, begins, begins[1:]))
-        known = self.known
-        self.memo.update((c, known[w[0]] if len(w) == 1 else list(chain.from_iterable(map(known.__getitem__, w)))) for c, w in split.items())
+        found = self.marked("\n".join(order))
+        words = [w for w in found if w != "\n"]
+        marks = np.flatnonzero(np.fromiter((w == "\n" for w in found), bool, len(found)))
+        stops = np.r_[0, marks - np.arange(len(marks)), len(words)]
+        ids, begins = self.batch.ids(words) if words else (np.empty(0, np.int64), np.zeros(1, np.int64))
+        raw, cut = ids.astype("<u4").tobytes(), (begins[stops] * 4).tolist()
+        self.memo.update(zip(order, [raw[a:b] for a, b in zip(cut, cut[1:])]))
+
+    def encode_many(self, texts: list[str]) -> Iterator[Iterator[np.ndarray]]:
+        """Each text's ids in portions; what the texts have in common is looked up once."""
+        split: list[list[str] | None] = []
+        new: set[str] = set()
+        for text in texts:
+            plain = len(text) < self.window and "<|" not in text and not self.odd(text)
+            split.append(self.normal(text).split() if plain else None)
+            if plain:
+                new.update(split[-1])
+        self.learn(new.difference(self.memo))
+        get = self.memo.__getitem__
+        for text, chunks in zip(texts, split):
+            yield self.encode(text) if chunks is None else iter((np.frombuffer(b"".join(map(get, chunks)), "<u4"),))
 
     @staticmethod
     def normal(text: str) -> str:
@@ -340,14 +354,14 @@ class WordEncoder:
             text = unicodedata.normalize("NFC", text).replace("Σ", "σ")
         return text.lower()
 
-    def plain(self, norm: str, out: list[int]) -> None:
+    def plain(self, norm: str, out: list[bytes]) -> None:
         """Encodes normal text without special strings; blanks always part pre-tokens."""
         if self.odd(norm):
-            out += self.chunk(norm)
+            out.append(packed(self.chunk(norm)))
         else:
-            out.extend(chain.from_iterable(map(self.memo.__getitem__, norm.split())))
+            out.extend(map(self.memo.__getitem__, norm.split()))
 
-    def closed(self, text: str, out: list[int]) -> None:
+    def closed(self, text: str, out: list[bytes]) -> None:
         """Encodes a stretch that ends where a pre-token ends."""
         parts = self.specials.split(text) if self.specials is not None and "<|" in text else [text]
         for part in parts:
@@ -356,29 +370,29 @@ class WordEncoder:
             if self.open is not None:
                 head = self.letters.match(norm)
                 if head:
-                    out += self.open.push(symbols(head[0]))
+                    out.append(packed(self.open.push(symbols(head[0]))))
                     norm = norm[head.end() :]
-                out += self.open.close()
+                out.append(packed(self.open.close()))
                 self.open = None
             if special is not None:
-                out.append(special)
+                out.append(packed([special]))
             elif norm:
                 self.plain(norm, out)
 
-    def push(self, text: str) -> list[int]:
+    def push(self, text: str) -> np.ndarray:
         self.pending += text
-        out: list[int] = []
+        out: list[bytes] = []
         if len(self.pending) < self.window:
-            return out
+            return np.empty(0, "<u4")
         held = self.pending
         if m := self.blank.search(held) or self._turn(held):
             self.pending = held[m.start() :]
             self.closed(held[: m.start()], out)
         elif (at := self._inside(held)) and self.letters.fullmatch(self.normal(held[:at])):
             self.open = self.open or OpenWord(self.rules)
-            out += self.open.push(symbols(self.normal(held[:at])))
+            out.append(packed(self.open.push(symbols(self.normal(held[:at])))))
             self.pending = held[at:]
-        return out
+        return np.frombuffer(b"".join(out), "<u4")
 
     def _turn(self, held: str) -> regex.Match | None:
         """The last place behind a letter and before an ASCII mark or digit, outside special strings."""
@@ -395,19 +409,17 @@ class WordEncoder:
                 return at
         return 0
 
-    def finish(self) -> list[int]:
-        out: list[int] = []
+    def finish(self) -> np.ndarray:
+        out: list[bytes] = []
         held, self.pending = self.pending, ""
         self.closed(held, out)
-        return out
+        return np.frombuffer(b"".join(out), "<u4")
 
-    def encode(self, text: str) -> Iterator[list[int]]:
+    def encode(self, text: str) -> Iterator[np.ndarray]:
         """Ids of a whole text in bounded portions."""
         for i in range(0, len(text), self.window):
-            if ids := self.push(text[i : i + self.window]):
-                yield ids
-        if ids := self.finish():
-            yield ids
+            yield self.push(text[i : i + self.window])
+        yield self.finish()
 
 
 class TokenDecoder:
@@ -432,8 +444,10 @@ class TokenDecoder:
                 self.table[i] = bytes(TO_BYTES[c] for c in body) + (b" " if end else b"")
         self.state = codecs.getincrementaldecoder("utf-8")("replace")
 
-    def push(self, ids: Iterable[int]) -> str:
-        joined = (b" " if self.surface else b"").join(map(self.table.__getitem__, ids))
+    def push(self, ids: np.ndarray | list[int]) -> str:
+        if not len(ids):
+            return ""
+        joined = (b" " if self.surface else b"").join(map(self.table.__getitem__, np.asarray(ids).tolist()))
         if self.surface and not self.first:
             joined = b" " + joined
         self.first = False

@@ -8,7 +8,6 @@ proven whole.  Counting then looks pre-tokens up and merges only the others.
 from __future__ import annotations
 
 from collections.abc import Iterable
-from itertools import chain
 
 import numpy as np
 import regex
@@ -32,10 +31,21 @@ def prove_whole(rules: MergeList) -> set[str]:
     return whole
 
 
+#: Fixed value: the characters of the White_Space property other than space and line feed.
+RARE_ASCII, RARE = "\t\x0b\x0c\r", "\x85\xa0\u1680\u2000\u2001\u2002\u2003\u2004\u2005\u2006\u2007\u2008\u2009\u200a\u2028\u2029\u202f\u205f\u3000"
+
+
+def tangled(text: str) -> bool:
+    """Whether a blank is not a lone space or line feed between other characters."""
+    if text[0] in " \n" or text[-1] in " \n" or any(run in text for run in ("  ", " \n", "\n ", "\n\n")):
+        return True
+    return any(c in text for c in RARE_ASCII) or not text.isascii() and any(c in text for c in RARE)
+
+
 class Counts(dict):
     """Tokens by stretch of text, each behind ``lead``: the proven ones and a bounded memo of others."""
 
-    LIMIT, LONG = 400_000, 64
+    LIMIT, LONG = 800_000, 64
 
     def __init__(self, rules: MergeList, whole: set[str], lead: str = ""):
         self.rules, self.lead, self.find = rules, lead, regex.compile(PATTERN).findall
@@ -68,30 +78,33 @@ class TokenCounter:
         whole = prove_whole(rules) if whole is None else whole
         self.bare, self.spaced = Counts(rules, whole), Counts(rules, whole, " ")
         self.find, self.batch, self.whole = regex.compile(PATTERN).findall, BatchMerger(rules), whole
-        self.tangled = regex.compile(r"[^\P{White_Space} \n]|\p{White_Space}{2}|^\p{White_Space}|\p{White_Space}$").search
         self.special = regex.compile("|".join(map(regex.escape, rules.special))) if rules.special else None
 
     def learn(self, texts: Iterable[str]) -> None:
-        """Fills the memo with the new short stretches of many texts at once."""
+        """Adds the new short stretches of many texts to the memo with one pass of the pattern and one of the merges."""
         new: set[str] = set()
         for text in texts:
-            for line in text.split("\n"):
-                new.update(line.split(" ")[1:])
-        new = {c for c in new.difference(self.spaced) if len(c) <= Counts.LONG}
-        if len(new) < 64:
+            if text and "<|" not in text and not tangled(text):
+                for line in text.split("\n"):
+                    new.update(line.split(" ")[1:])
+        order = [c for c in new.difference(self.spaced) if len(c) <= Counts.LONG]
+        if len(order) < 64:
             return
-        if len(self.spaced) + len(new) > Counts.LIMIT:
+        if len(self.spaced) + len(order) > Counts.LIMIT:
             self.spaced.clear()
             self.spaced.update(self.spaced.proven)
-        split = {c: self.find(" " + c) for c in new}
-        rest = list(set(chain.from_iterable(split.values())).difference(self.whole))
-        sizes = dict(zip(rest, np.diff(self.batch.ids(rest)[1]).tolist())) if rest else {}
-        self.spaced.update((c, sum(sizes.get(p, 1) for p in pre)) for c, pre in split.items())
+        pre = self.find(" " + " ".join(order))
+        rest = [i for i, p in enumerate(pre) if p not in self.whole]
+        sizes = np.ones(len(pre), np.int64)
+        if rest:
+            sizes[rest] = np.diff(self.batch.ids([pre[i] for i in rest])[1])
+        heads = np.flatnonzero(np.fromiter((p[0] == " " for p in pre), bool, len(pre)))
+        self.spaced.update(zip(order, np.add.reduceat(sizes, heads).tolist()))
 
     def plain(self, text: str) -> int:
         if not text:
             return 0
-        if self.tangled(text):
+        if tangled(text):
             return sum(map(self.bare.__getitem__, self.find(text)))
         lines = text.split("\n")
         n = (len(lines) - 1) * self.bare["\n"]

@@ -2,7 +2,8 @@
 
 A range of document ids becomes one file of equal-length sequences (``ids`` and
 ``mask``; only the last sequence of a file is padded) and one index file with
-the documents' places.  File names carry a random part and are published by the
+the documents' places.  Ids take the narrowest unsigned type that holds the
+vocabulary, masks a bit each.  File names carry a random part and are published by the
 manifest that Spark commits, so retried or speculative tasks leave no trace in it.
 """
 
@@ -28,10 +29,11 @@ INDEX = pa.schema([("doc_id", pa.int64()), ("start", pa.int64()), ("n_tokens", p
 class SequenceWriter:
     """Packs a stream of ids into fixed-size-list batches; holds one batch at most."""
 
-    def __init__(self, sink, seq_len: int, rows: int):
+    def __init__(self, sink, seq_len: int, rows: int, largest_id: int):
         self.seq_len, self.rows = seq_len, rows
-        self.buffer, self.filled = np.zeros(seq_len * rows, np.uint32), 0
-        self.schema = pa.schema([("ids", pa.list_(pa.uint32(), seq_len)), ("mask", pa.list_(pa.uint8(), seq_len))])
+        kind = np.uint16 if largest_id < 1 << 16 else np.uint32
+        self.buffer, self.filled = np.zeros(seq_len * rows, kind), 0
+        self.schema = pa.schema([("ids", pa.list_(pa.from_numpy_dtype(kind), seq_len)), ("mask", pa.list_(pa.bool_(), seq_len))])
         self.out = pa.ipc.new_file(sink, self.schema)
         self.tokens = self.sequences = 0
 
@@ -49,10 +51,8 @@ class SequenceWriter:
         if not rows:
             return
         size = rows * self.seq_len
-        mask = np.zeros(size, np.uint8)
-        mask[: self.filled] = 1
         self.buffer[self.filled : size] = 0
-        lists = [pa.FixedSizeListArray.from_arrays(pa.array(x), self.seq_len) for x in (self.buffer[:size], mask)]
+        lists = [pa.FixedSizeListArray.from_arrays(pa.array(x), self.seq_len) for x in (self.buffer[:size], np.arange(size) < self.filled)]
         self.out.write_batch(pa.RecordBatch.from_arrays(lists, schema=self.schema))
         self.sequences, self.filled = self.sequences + rows, 0
 
@@ -106,15 +106,14 @@ def write_sequences(df: DataFrame, path: str, vocabulary: str, seq_len: int = 20
         for rows, texts in portions(batches):
             if writer is None:
                 sinks = [fs.open_output_stream(f"{root}/{name}.{kind}") for kind in ("arrow", "index")]
-                writer = SequenceWriter(sinks[0], seq_len, batch_rows)
+                writer = SequenceWriter(sinks[0], seq_len, batch_rows, max(end_id, *enc.rules.names))
                 index = pa.ipc.new_file(sinks[1], INDEX)
-            enc.learn(texts)
             starts, sizes = [], []
-            for text in texts:
+            for portions_of_text in enc.encode_many(texts):
                 starts.append(writer.tokens)
-                for ids in enc.encode(text):
-                    writer.push(np.array(ids, np.uint32))
-                writer.push(np.array([end_id], np.uint32))
+                for ids in portions_of_text:
+                    writer.push(ids)
+                writer.push(np.array([end_id]))
                 sizes.append(writer.tokens - starts[-1])
             docs += len(texts)
             index.write_batch(pa.RecordBatch.from_arrays([rows.column(0), pa.array(starts, pa.int64()), pa.array(sizes, pa.int64())], schema=INDEX))
@@ -151,7 +150,7 @@ def read_documents(spark: SparkSession, path: str) -> DataFrame:
                     for start, n in zip(starts.to_pylist(), sizes.to_pylist()):
                         crc = 0
                         for piece in reader.pieces(start, n):
-                            crc = zlib.crc32(piece, crc)
+                            crc = zlib.crc32(piece.astype("<u4"), crc)
                         sums.append(crc)
                     yield pa.RecordBatch.from_arrays([ids, pa.array(starts.to_numpy() + f["offset"]), sizes, pa.array(sums, pa.int64())], ["doc_id", "start", "n_tokens", "ids_crc32"])
 

@@ -70,9 +70,8 @@ def encode(df: DataFrame, vocabulary: str, text_col: str = "text", out_col: str
     def ids_of(texts):
         enc, out = encoder(vocabulary), []
         whole = [t or "" for t in texts]
-        enc.learn(whole)
-        for t in whole:
-            out.append(np.fromiter((i for ids in enc.encode(t) for i in ids), np.int32))
+        for ids in enc.encode_many(whole):
+            out.append(np.concatenate([np.empty(0, np.int32), *ids]).astype(np.int32))
         return texts.__class__(out, index=texts.index)
 
     return df.select(*[F.col(f"`{c}`") for c in kept], ids_of(F.col(text_col)).alias(out_col))
@@ -95,13 +94,12 @@ def round_trip(df: DataFrame, vocabulary: str, id_col: str = "doc_id", text_col:
     def run(batches):
         enc, dec = encoder(vocabulary), decoder(vocabulary)
         for part, texts in portions(batches):
-            enc.learn(texts)
             counts, ids_sha, text_sha = [], [], []
-            for text in texts:
+            for portions_of_text in enc.encode_many(texts):
                 n, ids_hash, text_hash = 0, hashlib.sha256(), hashlib.sha256()
-                for ids in enc.encode(text):
+                for ids in portions_of_text:
                     n += len(ids)
-                    ids_hash.update(np.array(ids, "<u4").tobytes())
+                    ids_hash.update(ids)
                     text_hash.update(dec.push(ids).encode())
                 text_hash.update(dec.finish().encode())
                 counts.append(n)
