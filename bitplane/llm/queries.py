@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import exact_dedup, line_dedup, mixing, near_dedup, quality, token_output, tokenizing
+from . import ctph, exact_dedup, line_dedup, mixing, near_dedup, quality, token_output, tokenizing
 from .common import LOWER, UPPER, scratch, table, vocabulary_path
 
 WORDS, BYTES = "word_bpe_49k.json", "byte_bpe_50k.json"
@@ -34,6 +34,10 @@ def op5_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup.groups(table(spark, sf_dir, "documents"))
 
 
+def op6_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ctph.neighbours(table(spark, sf_dir, "documents"))
+
+
 def op7_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.classify(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
@@ -48,7 +52,7 @@ def op9_token_output(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_output.read_documents(spark, path)
 
 
-QUERIES = {f.__name__: f for f in (op1_mixing, op2_near_dedup, op3_bpe_round_trip, op4_line_dedup, op5_exact_dedup, op7_quality, op8_token_counts, op9_token_output)}
+QUERIES = {f.__name__: f for f in (op1_mixing, op2_near_dedup, op3_bpe_round_trip, op4_line_dedup, op5_exact_dedup, op6_fingerprints, op7_quality, op8_token_counts, op9_token_output)}
 
 ASCII_LOWER = f"translate({{}}, '{UPPER}', '{LOWER}')"
 
