@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import ctph, exact_dedup, line_dedup, mixing, near_dedup, quality, token_output, tokenizing
+from . import ctph, exact_dedup, line_dedup, mixing, near_dedup, quality, token_output, tokenizing, wrapper
 from .common import LOWER, UPPER, scratch, table, vocabulary_path
 
 WORDS, BYTES = "word_bpe_49k.json", "byte_bpe_50k.json"
@@ -52,7 +52,11 @@ def op9_token_output(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_output.read_documents(spark, path)
 
 
-QUERIES = {f.__name__: f for f in (op1_mixing, op2_near_dedup, op3_bpe_round_trip, op4_line_dedup, op5_exact_dedup, op6_fingerprints, op7_quality, op8_token_counts, op9_token_output)}
+def op10_main_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return wrapper.main_text(table(spark, sf_dir, "pages"))
+
+
+QUERIES = {f.__name__: f for f in (op1_mixing, op2_near_dedup, op3_bpe_round_trip, op4_line_dedup, op5_exact_dedup, op6_fingerprints, op7_quality, op8_token_counts, op9_token_output, op10_main_text)}
 
 ASCII_LOWER = f"translate({{}}, '{UPPER}', '{LOWER}')"
 

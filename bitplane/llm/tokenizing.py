@@ -88,24 +88,36 @@ def decode(df: DataFrame, vocabulary: str, ids_col: str = "token_ids", out_col:
     return df.withColumn(out_col, text_of(F.col(ids_col)))
 
 
-def round_trip(df: DataFrame, vocabulary: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """Per row: id, n_tokens, ids_sha256, decoded_sha256 of the streamed ids and of the streamed decoding."""
+def round_trip(df: DataFrame, vocabulary: str, keep_ids: bool = False, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """Per row: id, n_tokens, ids_sha256, decoded_sha256 of the streamed ids and of the streamed decoding.
+
+    ``keep_ids`` adds the ids themselves (token_ids).  Null counts as empty: no ids.
+    """
 
     def run(batches):
         enc, dec = encoder(vocabulary), decoder(vocabulary)
         for part, texts in portions(batches):
-            counts, ids_sha, text_sha = [], [], []
+            counts, ids_sha, text_sha, lists = [], [], [], []
             for portions_of_text in enc.encode_many(texts):
-                n, ids_hash, text_hash = 0, hashlib.sha256(), hashlib.sha256()
+                n, ids_hash, text_hash, kept = 0, hashlib.sha256(), hashlib.sha256(), []
                 for ids in portions_of_text:
                     n += len(ids)
                     ids_hash.update(ids)
+                    if keep_ids:
+                        kept.append(ids)
                     text_hash.update(dec.push(ids).encode())
                 text_hash.update(dec.finish().encode())
                 counts.append(n)
                 ids_sha.append(ids_hash.hexdigest())
                 text_sha.append(text_hash.hexdigest())
-            yield pa.RecordBatch.from_arrays([part.column(0), pa.array(counts, pa.int64()), pa.array(ids_sha, pa.string()), pa.array(text_sha, pa.string())], ["__id", "n_tokens", "ids_sha256", "decoded_sha256"])
-
+                if keep_ids:
+                    lists.append(np.concatenate([np.empty(0, np.int32), *kept]).astype(np.int32))
+            cols = [part.column(0), pa.array(counts, pa.int64()), pa.array(ids_sha, pa.string()), pa.array(text_sha, pa.string())]
+            if keep_ids:
+                cols.append(pa.array(lists, pa.list_(pa.int32())))
+            yield pa.RecordBatch.from_arrays(cols, names)
+
+    schema = "__id long, n_tokens long, ids_sha256 string, decoded_sha256 string" + ", token_ids array<int>" * keep_ids
+    names = [f.split(" ")[0] for f in schema.split(", ")]
     rows = df.select(F.col(id_col).cast("long").alias("__id"), F.col(text_col).alias("__text"))
-    return rows.mapInArrow(run, "__id long, n_tokens long, ids_sha256 string, decoded_sha256 string").withColumnRenamed("__id", id_col)
+    return rows.mapInArrow(run, schema).withColumnRenamed("__id", id_col)
