@@ -101,7 +101,7 @@ def sample_features(df: DataFrame, ids: DataFrame) -> Sample:
                 meta = meta_features(fields, layout(flat, bounds))
                 index, share = [], []
                 for a, b in zip(bounds.tolist(), bounds[1:].tolist()):
-                    u, c = np.unique(h[a : b - 2], return_counts=True)
+                    u, c = np.unique(h[a : max(b - 2, a + 1)], return_counts=True)
                     index.append(u.astype(np.int16))
                     share.append((c / max(b - 2 - a, 1)).astype(np.float32))
                 yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(list(meta), pa.list_(pa.int32())), pa.array(index, pa.list_(pa.int16())), pa.array(share, pa.list_(pa.float32()))], ["doc_id", "meta", "index", "share"])
@@ -110,12 +110,11 @@ def sample_features(df: DataFrame, ids: DataFrame) -> Sample:
     got = chosen.mapInArrow(run, "doc_id long, meta array<int>, index array<short>, share array<float>").toArrow().combine_chunks()
     order = np.argsort(got["doc_id"].to_numpy())
     got = got.take(pa.array(order))
-    lists = [x or [] for x in got["index"].to_pylist()]
-    sizes = np.array([max(len(x), 1) for x in lists], np.int64)
-    index = np.concatenate([np.array(x or [0]) for x in lists]) if lists else np.empty(0)
-    share = np.concatenate([np.array(x or [0.0]) for x in got["share"].to_pylist()]) if lists else np.empty(0)
-    meta = np.array(got["meta"].to_pylist(), np.int32)
-    return Sample(got["doc_id"].to_numpy(), meta, np.r_[0, np.cumsum(sizes)], index.astype(np.int64), share)
+    index, share = got["index"].combine_chunks(), got["share"].combine_chunks()
+    bounds = index.offsets.to_numpy().astype(np.int64)
+    index, share = index.flatten().to_numpy(), share.flatten().to_numpy()
+    meta = got["meta"].combine_chunks().flatten().to_numpy().reshape(len(got), -1)
+    return Sample(got["doc_id"].to_numpy(), meta, bounds - bounds[0], index, share)
 
 
 def fit_content(s: Sample, good: np.ndarray, bad: np.ndarray) -> np.ndarray:
@@ -218,7 +217,7 @@ def cotrain(s: Sample, labels: dict[int, int], rounds: int = 3, sure: float = 0.
     return model
 
 
-def fit(docs: DataFrame, labels: DataFrame, max_labelled: int = 6000, max_pool: int = 6000, **how) -> Model | None:
+def fit(docs: DataFrame, labels: DataFrame, max_labelled: int = 3000, max_pool: int = 3000, **how) -> Model | None:
     """Trains on bounded samples of ``labels`` (doc_id, quality) and of unlabelled documents."""
     known = labels.where("doc_id is not null and quality in (0, 1)").groupBy("doc_id").agg(F.min("quality").alias("quality"))
     # Rejected documents are the rarer class, so each class fills half of the bound if it can.
