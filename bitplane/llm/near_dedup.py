@@ -1,22 +1,22 @@
 """Near-duplicate classes: weighted MinHash bands, exact checks, connected classes.
 
 Nodes are distinct shingle multisets, so exact copies never meet in pairs.  In
-every bucket all nodes are first checked against one leader, which costs as many
+every bucket all nodes are first checked against its best-known node, which costs as many
 checks as nodes and joins most of a group of copies; after a second round with
 other leaders, only nodes of one bucket that are still in different classes are
-checked against each other.  Nothing is capped, and tables that grow with the data
+checked against each other, as far as the elements they could share allow.  Nothing is capped, and tables that grow with the data
 stay distributed; skewed joins read stored tables on both sides, which lets
 adaptive execution split a hot bucket or class over tasks.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from . import bagminhash as bag
@@ -103,6 +103,23 @@ def components(nodes: DataFrame, edges: DataFrame, start: DataFrame | None = Non
         )
 
 
+def _rest(unresolved: DataFrame, sets: DataFrame, similarity: float, apart: Callable[[str, str, Column], Column]) -> DataFrame:
+    """Pairs of one bucket and different classes that may still be close.
+
+    An element that no other unresolved node has cannot be shared, so a node with
+    u of them shares n - u at most.  Nodes that fail by this bound alone leave
+    before the join, pairs that fail by both nodes' bounds inside it.
+    """
+    nodes = stored(unresolved.select("node").distinct(), "unresolved")
+    spread = sets.join(nodes.hint("merge"), "node").select("node", F.explode("elements").alias("element"))
+    alone = spread.groupBy("element").agg(F.count(F.lit(1)).alias("c"), F.any_value("node").alias("node")).where("c = 1").groupBy("node").agg(F.count(F.lit(1)).alias("alone"))
+    able = unresolved.join(stored(alone, "alone").hint("merge"), "node", "left").withColumn("able", F.col("n") - F.coalesce("alone", F.lit(0)))
+    able = stored(able.where(F.col("able") >= similarity * F.col("n") - 1e-9).select("bucket", "node", "comp", "n", "able"), "able")
+    x, y = (able.select("bucket", *[F.col(c).alias(f"{c}{k}") for c in ("node", "comp", "n", "able")]) for k in "ab")
+    both = x.join(y.hint("merge"), "bucket").where((F.col("nodea") < F.col("nodeb")) & (F.col("compa") != F.col("compb")) & ~apart("na", "nb", F.least("ablea", "ableb")))
+    return both.select(F.col("nodea").alias("a"), F.col("nodeb").alias("b")).distinct()
+
+
 def classes(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, similarity: float = 0.8, rows: int = 6, n_bands: int = 32) -> DataFrame:
     """One row per input row: id, class_id (smallest id of its class), class_size, kept.
 
@@ -113,49 +130,45 @@ def classes(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", width
     signed = stored(sign(df, width, rows, n_bands, id_col, text_col), "signed")
     buckets = signed.where("node is not null").groupBy("node").agg(F.any_value("bands").alias("bands")).select("node", F.explode("bands").alias("bucket"))
     buckets = stored(buckets, "buckets")
-    first = buckets.groupBy("bucket").agg(F.min("node").alias("lo"), F.max("node").alias("hi"), F.min_by("node", F.xxhash64(F.lit(1), "node")).alias("a"))
-    leaders = stored(first.where("lo != hi").select("bucket", "a"), "leaders")
-    members = stored(buckets.join(leaders.hint("merge"), "bucket").select("bucket", F.col("node").alias("b"), "a"), "members")
-    nodes = stored(members.select(F.col("b").alias("node")).distinct(), "nodes")
+    shared = buckets.groupBy("bucket").agg(F.count(F.lit(1)).alias("size")).where("size > 1")
+    members = stored(buckets.join(stored(shared, "shared").hint("merge"), "bucket"), "members")
+    # The better known a node is in its buckets, the more of a group of copies it is close to.
+    nodes = stored(members.groupBy("node").agg(F.sum("size").alias("known")), "nodes")
 
-    wanted = signed.join(nodes.hint("merge"), "node").groupBy("node").agg(F.min("id").alias("id"))
+    wanted = signed.join(nodes.select("node").hint("merge"), "node").groupBy("node").agg(F.min("id").alias("id"))
     docs = df.select(F.col(id_col).cast("long").alias("__id"), F.col(text_col).alias("__text"))
     source = docs.join(wanted, docs["__id"].eqNullSafe(wanted["id"])).select("__id", "__text", "node")
     sets = stored(elements(source, width).dropDuplicates(["node"]), "sets")
-    sizes = sets.select("node", "n")
-
-    def close(x: str, y: str):
-        return F.least(x, y) >= similarity * F.greatest(x, y) - 1e-9
+    facts = stored(nodes.join(sets.select("node", "n").hint("merge"), "node"), "facts")
 
-    def sized(pairs: DataFrame) -> DataFrame:
-        """Pairs whose sizes alone do not rule the similarity out."""
-        na, nb = (sizes.select(F.col("node").alias(k), F.col("n").alias(f"n{k}")) for k in "ab")
-        return stored(pairs.join(na.hint("merge"), "a").join(nb.hint("merge"), "b").where(close("na", "nb")).select("a", "b"), "pairs")
+    def apart(na: str, nb: str, shareable) -> Column:
+        """Whether sizes and the elements that could be shared rule the similarity out."""
+        most = F.least(na, nb, shareable)
+        return most < similarity * (F.col(na) + F.col(nb) - most) - 1e-9
 
-    tried = sized(members.where("a != b").select("a", "b").distinct())
-    links = stored(verified(tried, sets, similarity), "links")
-    labels = components(nodes, links)
-    for turn in (2, 3):
-        placed = members.select("bucket", F.col("b").alias("node")).join(labels.hint("merge"), "node").join(sizes.hint("merge"), "node")
+    tried, labels = None, None
+    for turn in (1, 2, 3):
+        placed = members.select("bucket", "node").join(facts.hint("merge"), "node")
+        placed = placed.withColumn("comp", F.col("node")) if labels is None else placed.join(labels.hint("merge"), "node")
         placed = stored(placed, "placed")
         split = placed.groupBy("bucket").agg(
-            F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.min_by(F.struct("node", "comp", "n"), F.xxhash64(F.lit(turn), "node")).alias("lead")
+            F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.max_by(F.struct("node", "comp", "n"), F.struct("known", F.xxhash64("node")) if turn == 1 else F.xxhash64("node")).alias("lead")
         )
         split = stored(split.where("lo != hi").select("bucket", "lead"), "split")
         if split.isEmpty():
             break
-        unresolved = placed.join(split.hint("merge"), "bucket")
-        if turn == 2:
-            pairs = unresolved.where("comp != lead.comp").select(F.least("node", "lead.node").alias("a"), F.greatest("node", "lead.node").alias("b"), F.col("n").alias("na"), F.col("lead.n").alias("nb"))
+        open_ = placed.join(split.hint("merge"), "bucket")
+        if turn < 3:
+            pairs = open_.where("comp != lead.comp").select(F.least("node", "lead.node").alias("a"), F.greatest("node", "lead.node").alias("b"), F.col("n").alias("na"), F.col("lead.n").alias("nb"))
+            pairs = pairs.where(~apart("na", "nb", F.col("na"))).select("a", "b").distinct()
         else:
-            x = unresolved.select("bucket", F.col("node").alias("a"), F.col("comp").alias("ca"), F.col("n").alias("na"))
-            y = unresolved.select("bucket", F.col("node").alias("b"), F.col("comp").alias("cb"), F.col("n").alias("nb"))
-            pairs = stored(x, "left").join(stored(y, "right").hint("merge"), "bucket").where("a < b and ca != cb").where(close("na", "nb"))
-        before = tried.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
-        new = stored(pairs.where(close("na", "nb")).select("a", "b").distinct().join(before.hint("merge"), ["a", "b"], "left_anti"), "pairs")
+            pairs = _rest(open_, sets, similarity, apart)
+        new = stored(pairs if tried is None else pairs.join(tried.hint("merge"), ["a", "b"], "left_anti"), "pairs")
         found = stored(verified(new, sets, similarity), "links")
-        tried = tried.unionByName(new)
+        tried = new if tried is None else tried.unionByName(new)
         labels = components(nodes, found, labels)
+    if labels is None:
+        labels = nodes.select("node", F.col("node").alias("comp"))
 
     placed = signed.select("id", "node").join(labels.hint("merge"), "node", "left").select("id", F.coalesce("comp", "node").alias("comp"))
     placed = stored(placed, "placed")
