@@ -14,6 +14,8 @@ import math
 import struct
 from typing import Any
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
@@ -152,29 +154,25 @@ class DoubleCodec(Codec):
 
 
 def ordered_bits():
-    import numpy as np
+    """Arrow functions, as pandas cannot tell null from NaN."""
 
-    @F.pandas_udf("long")
-    def run(s):
-        x = s.to_numpy(dtype="float64", na_value=np.nan) + 0.0
+    @F.arrow_udf("long")
+    def run(c: pa.Array) -> pa.Array:
+        x = c.fill_null(0.0).to_numpy(zero_copy_only=False) + 0.0
         raw = np.where(np.isnan(x), np.int64(0x7FF8000000000000), x.view(np.int64))
-        out = s.__class__(np.where(raw >= 0, raw, -(raw & np.int64(0x7FFFFFFFFFFFFFFF))), index=s.index)
-        return out
+        return pa.array(np.where(raw >= 0, raw, -(raw & np.int64(0x7FFFFFFFFFFFFFFF))), mask=c.is_null().to_numpy(zero_copy_only=False))
 
-    # A pandas column cannot tell null from NaN; the JVM can.
-    return lambda c: F.when(c.isNotNull(), run(F.coalesce(c, F.lit(0.0))))
+    return run
 
 
 def from_ordered_bits():
-    import numpy as np
-
-    @F.pandas_udf("double")
-    def run(s):
-        k = s.to_numpy(dtype="int64")
+    @F.arrow_udf("double")
+    def run(c: pa.Array) -> pa.Array:
+        k = c.fill_null(0).to_numpy(zero_copy_only=False)
         raw = np.where(k >= 0, k, (-k) | np.int64(-0x8000000000000000))
-        return s.__class__(raw.view(np.float64), index=s.index)
+        return pa.array(raw.view(np.float64), mask=c.is_null().to_numpy(zero_copy_only=False))
 
-    return lambda c: F.when(c.isNotNull(), run(F.coalesce(c, F.lit(0).cast("long"))))
+    return run
 
 
 @dataclasses.dataclass(frozen=True)

@@ -31,15 +31,18 @@ class DecodeWord:
             yield p, bias + sum(((w >> p) & 1) << j for j, w in enumerate(planes))
 
 
-@F.pandas_udf("array<bigint>")
 def slice_agg(pos, value):
     """Grouped aggregate: planes of the (at most 64) values of a word; the check on the packers."""
-    top = max(1, int(value.max()).bit_length()) if len(value) else 1
-    out = [0] * top
-    for p, v in zip(pos.tolist(), value.tolist()):
-        for j in range(top):
-            out[j] |= (int(v) >> j & 1) << int(p)
-    return [x - (1 << 64) if x >> 63 else x for x in out]
+
+    def run(pos, value):
+        top = max(1, int(value.max()).bit_length()) if len(value) else 1
+        out = [0] * top
+        for p, v in zip(pos.tolist(), value.tolist()):
+            for j in range(top):
+                out[j] |= (int(v) >> j & 1) << int(p)
+        return [x - (1 << 64) if x >> 63 else x for x in out]
+
+    return F.pandas_udf(run, "array<bigint>", F.PandasUDFType.GROUPED_AGG)(pos, value)
 
 
 FUNCTIONS = {

@@ -71,7 +71,7 @@ def with_ordinals(df: DataFrame, codecs: dict[str, Codec | tuple[Codec, Column]]
     if per_file:
         # One row a file: as small as the file listing that the driver holds anyway.
         lows = out.groupBy(FILE).agg(*[F.min(s.name).alias(f"{s.name}__file_bias") for s in per_file])
-        out = out.join(F.broadcast(lows), FILE)
+        out = out.join(F.broadcast(lows), FILE).sortWithinPartitions(FILE, ROW)  # a join drops the order asked for below it
     return out
 
 

@@ -11,7 +11,10 @@ from ..plans.spec import Manifest
 
 
 class SlicedDataSource(DataSource):
-    """Options: files (comma-separated word files), manifest (JSON).  Reads integer-coded columns as BIGINT ordinals."""
+    """Options: files (comma-separated word files), manifest (JSON).  Reads columns as BIGINT ordinals.
+
+    A loaded frame keeps the filters first pushed into it: load anew for each query.
+    """
 
     @classmethod
     def name(cls) -> str:

@@ -84,8 +84,12 @@ def enrich(events: DataFrame, static: DataFrame, on: str) -> DataFrame:
     return events.join(static, on, "left")
 
 
-def block_builder(events: DataFrame, shard_col: str, value_col: str, block_size: int = 1024) -> DataFrame:
-    """Holds a shard's rows until a block is full: (shard, block, n, lo, planes); the tail leaves at the timeout."""
+def block_builder(events: DataFrame, shard_col: str, value_col: str, block_size: int = 1024, timeout_ms: int | None = None) -> DataFrame:
+    """Holds a shard's rows until a block is full: (shard, block, n, lo, planes).
+
+    With a timeout the tail leaves after so much processing time; such a stream
+    never runs dry, so leave it out with the available-now trigger.
+    """
     import pandas as pd
 
     def packed(shard, block: int, xs: list[int]) -> dict:
@@ -96,17 +100,19 @@ def block_builder(events: DataFrame, shard_col: str, value_col: str, block_size:
     def step(key, frames, state: GroupState):
         held, block = state.get if state.exists else ([], 0)
         held, out = list(held), []
-        if not state.hasTimedOut:
+        timed_out = timeout_ms is not None and state.hasTimedOut
+        if not timed_out:
             for f in frames:
                 held += [int(x) for x in f[value_col]]
-        while len(held) >= block_size or held and state.hasTimedOut:
+        while len(held) >= block_size or held and timed_out:
             out.append(packed(key[0], block, held[:block_size]))
             held, block = held[block_size:], block + 1
-        if held or not state.hasTimedOut:
+        if held or not timed_out:
             state.update((held, block))
-            state.setTimeoutDuration(60_000)
+            if timeout_ms is not None:
+                state.setTimeoutDuration(timeout_ms)
         else:
             state.remove()
         yield pd.DataFrame(out, columns=["shard", "block", "n", "lo", "planes"])
 
-    return events.groupBy(shard_col).applyInPandasWithState(step, "shard long, block long, n long, lo long, planes long", "held array<long>, block long", "append", GroupStateTimeout.ProcessingTimeTimeout)
+    return events.groupBy(shard_col).applyInPandasWithState(step, "shard long, block long, n long, lo long, planes long", "held array<long>, block long", "append", GroupStateTimeout.NoTimeout if timeout_ms is None else GroupStateTimeout.ProcessingTimeTimeout)
