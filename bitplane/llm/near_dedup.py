@@ -22,7 +22,10 @@ from pyspark.sql import functions as F
 from . import bagminhash as bag
 from .common import stored
 
+U = np.uint64
 ROWS_AT_ONCE = 1024
+#: Words of 64 bits in a node's parity bitmap.
+SKETCH = 16
 
 
 def _parts(batches: Iterator[pa.RecordBatch], rows: int = ROWS_AT_ONCE):
@@ -58,18 +61,31 @@ def sign(df: DataFrame, width: int, rows: int, n_bands: int, id_col: str, text_c
     return rows_in.mapInArrow(run, "id long, node binary, bands array<long>")
 
 
+def parities(elements: np.ndarray, bound: np.ndarray) -> np.ndarray:
+    """SKETCH words a set: bit i tells whether an odd number of its elements fall on i.
+
+    Every element that only one of two sets has flips one bit at most, so the bits in
+    which two bitmaps differ are no more than the elements in which the sets differ.
+    """
+    n, bits = len(bound) - 1, SKETCH * 64
+    place = np.repeat(np.arange(n) * bits, np.diff(bound)) + (elements % U(bits)).astype(np.int64)
+    odd = (np.bincount(place, minlength=n * bits) & 1).astype(np.uint8)
+    return np.packbits(odd, bitorder="little").view(np.int64).reshape(n, SKETCH)
+
+
 def elements(df: DataFrame, width: int) -> DataFrame:
-    """(id, text, want) to (node, n, elements), for rows whose text is the wanted multiset."""
+    """(id, text, want) to (node, n, sketch, elements), for rows whose text is the wanted multiset."""
 
     def run(batches):
         for part, texts in _parts(batches, 256):
             owner, hashes, weights, _ = bag.shingles(texts, width)
             nodes, flat, bound = _nodes(len(texts), *bag.occurrences(owner, hashes, weights))
             lists = pa.ListArray.from_arrays(pa.array(bound.astype(np.int32)), pa.array(flat.view(np.int64)))
-            out = pa.RecordBatch.from_arrays([pa.array(nodes, pa.binary()), pa.array(np.diff(bound).astype(np.int64)), lists], ["node", "n", "elements"])
+            sketch = pa.ListArray.from_arrays(pa.array(np.arange(len(texts) + 1, dtype=np.int32) * SKETCH), pa.array(parities(flat, bound).ravel()))
+            out = pa.RecordBatch.from_arrays([pa.array(nodes, pa.binary()), pa.array(np.diff(bound).astype(np.int64)), sketch, lists], ["node", "n", "sketch", "elements"])
             yield out.filter(pa.array([a == b for a, b in zip(nodes, part.column(2).to_pylist())]))
 
-    return df.mapInArrow(run, "node binary, n long, elements array<long>")
+    return df.mapInArrow(run, "node binary, n long, sketch array<long>, elements array<long>")
 
 
 def verified(pairs: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
@@ -104,20 +120,26 @@ def components(nodes: DataFrame, edges: DataFrame, start: DataFrame | None = Non
 
 
 def _rest(unresolved: DataFrame, sets: DataFrame, similarity: float, apart: Callable[[str, str, Column], Column]) -> DataFrame:
-    """Pairs of one bucket and different classes that may still be close.
+    """Pairs of one bucket and different classes that may still be close, each once.
 
     An element that no other unresolved node has cannot be shared, so a node with
     u of them shares n - u at most.  Nodes that fail by this bound alone leave
-    before the join, pairs that fail by both nodes' bounds inside it.
+    before the join, pairs that fail by both nodes' bounds inside it.  A node carries its
+    buckets (one a band at most), so that a pair is made in the first bucket of those it shares,
+    and a parity bitmap, which bounds from below in how many elements two nodes differ.
     """
-    nodes = stored(unresolved.select("node").distinct(), "unresolved")
-    spread = sets.join(nodes.hint("merge"), "node").select("node", F.explode("elements").alias("element"))
+    nodes = stored(unresolved.groupBy("node", "comp", "n").agg(F.collect_set("bucket").alias("buckets")), "unresolved")
+    spread = sets.join(nodes.select("node").hint("merge"), "node").select("node", F.explode("elements").alias("element"))
     alone = spread.groupBy("element").agg(F.count(F.lit(1)).alias("c"), F.any_value("node").alias("node")).where("c = 1").groupBy("node").agg(F.count(F.lit(1)).alias("alone"))
-    able = unresolved.join(stored(alone, "alone").hint("merge"), "node", "left").withColumn("able", F.col("n") - F.coalesce("alone", F.lit(0)))
-    able = stored(able.where(F.col("able") >= similarity * F.col("n") - 1e-9).select("bucket", "node", "comp", "n", "able"), "able")
-    x, y = (able.select("bucket", *[F.col(c).alias(f"{c}{k}") for c in ("node", "comp", "n", "able")]) for k in "ab")
-    both = x.join(y.hint("merge"), "bucket").where((F.col("nodea") < F.col("nodeb")) & (F.col("compa") != F.col("compb")) & ~apart("na", "nb", F.least("ablea", "ableb")))
-    return both.select(F.col("nodea").alias("a"), F.col("nodeb").alias("b")).distinct()
+    able = nodes.join(stored(alone, "alone").hint("merge"), "node", "left").withColumn("able", F.col("n") - F.coalesce("alone", F.lit(0)))
+    able = able.where(F.col("able") >= similarity * F.col("n") - 1e-9).join(sets.select("node", "sketch").hint("merge"), "node")
+    able = stored(able.select("node", "comp", "n", "able", "sketch", "buckets", F.explode("buckets").alias("bucket")), "able")
+    x, y = (able.select("bucket", *[F.col(c).alias(f"{c}{k}") for c in ("node", "comp", "n", "able", "sketch", "buckets")]) for k in "ab")
+    differ = F.aggregate(F.zip_with("sketcha", "sketchb", lambda u, v: F.bit_count(u.bitwiseXOR(v))), F.lit(0), lambda t, d: t + d)
+    open_ = (F.col("nodea") < F.col("nodeb")) & (F.col("compa") != F.col("compb")) & ~apart("na", "nb", F.least("ablea", "ableb"))
+    near = differ * (1 + similarity) <= (1 - similarity) * (F.col("na") + F.col("nb")) + 1e-6
+    once = F.array_min(F.array_intersect("bucketsa", "bucketsb")) == F.col("bucket")
+    return x.join(y.hint("merge"), "bucket").where(open_ & near & once).select(F.col("nodea").alias("a"), F.col("nodeb").alias("b"))
 
 
 def classes(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, similarity: float = 0.8, rows: int = 6, n_bands: int = 32) -> DataFrame:

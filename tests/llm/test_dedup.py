@@ -150,3 +150,15 @@ def test_signatures_are_unbiased():
         assert abs(float(np.mean(sig[i] == sig[j])) - lo / hi) < 4 * np.sqrt(0.25 / 4096)
     again = bag.signatures(1, owner[owner == 1] * 0, hashes[owner == 1], weights[owner == 1], 4096)
     assert np.array_equal(again[0], sig[1])
+
+
+def test_parity_bitmaps_never_overstate_a_difference():
+    rnd = np.random.default_rng(5)
+    sets = [np.unique(rnd.integers(0, 3000, size=k).astype(np.uint64)) for k in (0, 1, 40, 900, 2500) for _ in range(4)]
+    mixed = [bag.mix(x) for x in sets]
+    bound = np.r_[0, np.cumsum([len(x) for x in mixed])]
+    maps = near_dedup.parities(np.concatenate(mixed), bound)
+    for a, x in zip(maps, mixed):
+        for b, y in zip(maps, mixed):
+            differ = sum(bin(int(w) & (2**64 - 1)).count("1") for w in a ^ b)
+            assert differ <= len(np.setxor1d(x, y)) and (differ - len(np.setxor1d(x, y))) % 2 == 0
