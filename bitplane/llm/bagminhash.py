@@ -31,7 +31,8 @@ def mix(x: np.ndarray) -> np.ndarray:
 
 
 class WordHashes(dict):
-    LIMIT = 1_000_000
+    #: Larger memos are no faster here and stay in memory as long as the worker lives.
+    LIMIT = 100_000
 
     def __missing__(self, word: str) -> int:
         if len(self) >= self.LIMIT:

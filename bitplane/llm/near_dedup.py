@@ -23,7 +23,7 @@ from . import bagminhash as bag
 from .common import stored
 
 U = np.uint64
-ROWS_AT_ONCE = 1024
+ROWS_AT_ONCE = 256
 #: Words of 64 bits in a node's parity bitmap.
 SKETCH = 16
 
@@ -77,7 +77,7 @@ def elements(df: DataFrame, width: int) -> DataFrame:
     """(id, text, want) to (node, n, sketch, elements), for rows whose text is the wanted multiset."""
 
     def run(batches):
-        for part, texts in _parts(batches, 256):
+        for part, texts in _parts(batches):
             owner, hashes, weights, _ = bag.shingles(texts, width)
             nodes, flat, bound = _nodes(len(texts), *bag.occurrences(owner, hashes, weights))
             lists = pa.ListArray.from_arrays(pa.array(bound.astype(np.int32)), pa.array(flat.view(np.int64)))
