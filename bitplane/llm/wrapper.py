@@ -18,7 +18,7 @@ import zlib
 from collections.abc import Iterator
 
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import stored
@@ -228,17 +228,22 @@ def unpacked(data: list) -> list[Slot]:
     return out
 
 
-def votes(page: list[Slot], other: list[Slot] | None) -> list[tuple[str, bool, int, int, int]]:
-    """(path, furniture, constant, varying, characters of varying text) of a page's text slots."""
-    same = {id(x) for x, y in align(page, other)[1] if x.digest == y.digest} if other is not None else set()
-    return [(path, off, int(id(s) in same), int(id(s) not in same), 0 if id(s) in same else s.chars) for path, s, off in slots(page) if s.chars]
+def votes(page: list[Slot], other: list[Slot] | None) -> list[tuple[str, bool, int, int, int, int]]:
+    """(path, furniture, constant, varying, characters of varying and of constant text) of a page's text slots.
+
+    A page without another votes neither way; its text counts as varying.
+    """
+    if other is None:
+        return [(path, off, 0, 0, s.chars, 0) for path, s, off in slots(page) if s.chars]
+    same = {id(x) for x, y in align(page, other)[1] if x.digest == y.digest}
+    return [(path, off, 1, 0, 0, s.chars) if id(s) in same else (path, off, 0, 1, s.chars, 0) for path, s, off in slots(page) if s.chars]
 
 
-def container(rows: list[tuple[str, bool, int, int, int]], share: float = 0.9) -> str:
+def container(rows: list[tuple[str, bool, int, int, int, int]], share: float = 0.9) -> str:
     """The deepest path that holds the share of all varying text outside furniture."""
     mass: dict[str, int] = {}
     total = 0
-    for path, off, _, _, chars in rows:
+    for path, off, _, _, chars, _ in rows:
         if off or not chars:
             continue
         total += chars
@@ -256,7 +261,7 @@ def container(rows: list[tuple[str, bool, int, int, int]], share: float = 0.9) -
 
 
 def blocks(node: Node, path: str, template: frozenset[str], out: list[str]) -> None:
-    """Appends the texts of a container's blocks in page order."""
+    """Appends the texts of a container's blocks in page order.  Of a template slot its own text is left out, not the blocks in it."""
     todo: list = [(node, path, False)]
     text: list[str] = []
 
@@ -275,10 +280,14 @@ def blocks(node: Node, path: str, template: frozenset[str], out: list[str]) -> N
         if done:
             flush()
             continue
-        if x is not node and (x.furniture or x.tag in RAW or at in template):
+        if x is not node and (x.furniture or x.tag in RAW):
             if block:
                 flush()
             continue
+        if x is not node and at in template:
+            flush()
+            todo.extend((c, f"{at}/{c.label}", False) for c in reversed(x.children) if isinstance(c, Node) and c.tag not in INLINE)
+            continue
         if x.tag == "br":
             text.append(" ")
             continue
@@ -332,7 +341,9 @@ def induce(pages: DataFrame, salts: int = 64, constant_share: float = 0.8, least
 
     A host's pages are dealt over ``salts`` streams by a hash of the page id, and each is
     aligned with the one before it in its stream, so a task holds two skeletons at a time however
-    large the host.  Slots are called template from ``least_pages`` votes on.
+    large the host.  A stream's first page is aligned with the last of the stream before, the host's first
+    with its last: on a host of any size every page votes, unless it is the only one.
+    Slots are called template from ``least_pages`` votes on.
     """
     def skeleton(batches: Iterator[pa.RecordBatch]):
         for batch in batches:
@@ -341,37 +352,58 @@ def induce(pages: DataFrame, salts: int = 64, constant_share: float = 0.8, least
                 rows = [json.dumps(packed(collapse([c for c in parse(h or "").children if isinstance(c, Node)])), separators=(",", ":")) for h in part.column(3).to_pylist()]
                 yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), part.column(2), pa.array(rows, pa.string())], ["host", "salt", "key", "skeleton"])
 
+    def counted(out: list[tuple]) -> pa.RecordBatch:
+        cols = list(zip(*out)) or [()] * 7
+        kinds = [pa.string(), pa.string(), pa.bool_(), *[pa.int64()] * 4]
+        return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds)], ["host", "path", "furniture", "constant", "varying", "chars", "same_chars"])
+
     def pairwise(batches: Iterator[pa.RecordBatch]):
         before: tuple | None = None
         for batch in batches:
             out: list[tuple] = []
             for host, salt, text in zip(*(batch.column(c).to_pylist() for c in ("host", "salt", "skeleton"))):
                 page = unpacked(json.loads(text))
-                other = before[2] if before is not None and before[:2] == (host, salt) else None
-                out += [(host, *v) for v in votes(page, other)]
+                if before is not None and before[:2] == (host, salt):
+                    out += [(host, *v) for v in votes(page, before[2])]
                 before = (host, salt, page)
-            cols = list(zip(*out)) or [()] * 6
-            kinds = [pa.string(), pa.string(), pa.bool_(), pa.int64(), pa.int64(), pa.int64()]
-            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds)], ["host", "path", "furniture", "constant", "varying", "chars"])
+            yield counted(out)
+
+    def across(batches: Iterator[pa.RecordBatch]):
+        for batch in batches:
+            for i in range(0, batch.num_rows, 256):
+                part = batch.slice(i, 256)
+                out: list[tuple] = []
+                for host, text, before in zip(*(part.column(c).to_pylist() for c in ("host", "first", "before"))):
+                    out += [(host, *v) for v in votes(unpacked(json.loads(text)), None if before is None else unpacked(json.loads(before)))]
+                yield counted(out)
 
     key = F.xxhash64("page_id", "url")
     rows = pages.select(host_of(F.col("url")).alias("host"), F.pmod(key, F.lit(salts)).cast("int").alias("salt"), key.alias("key"), F.col("html"))
-    small = rows.mapInArrow(skeleton, "host string, salt int, key long, skeleton string")
+    small = stored(rows.mapInArrow(skeleton, "host string, salt int, key long, skeleton string"), "skeletons")
     dealt = small.repartition("host", "salt").sortWithinPartitions("host", "salt", "key", "skeleton")
-    counted = dealt.mapInArrow(pairwise, "host string, path string, furniture boolean, constant long, varying long, chars long")
-    counted = counted.groupBy("host", "path", "furniture").agg(F.sum("constant").alias("constant"), F.sum("varying").alias("varying"), F.sum("chars").alias("chars"))
+    # One row a stream, at most ``salts`` a host.
+    page = F.struct("key", "skeleton")
+    ends = small.groupBy("host", "salt").agg(F.min(page).alias("first"), F.max(page).alias("last"))
+    by_host = Window.partitionBy("host").orderBy("salt")
+    around = by_host.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
+    ends = ends.withColumn("before", F.coalesce(F.lag("last").over(by_host), F.last("last").over(around)))
+    ends = ends.select("host", F.col("first.skeleton").alias("first"), F.when(F.col("before") != F.col("first"), F.col("before.skeleton")).alias("before"))
+    schema = "host string, path string, furniture boolean, constant long, varying long, chars long, same_chars long"
+    cast = dealt.mapInArrow(pairwise, schema).unionByName(ends.mapInArrow(across, schema))
+    cast = cast.groupBy("host", "path", "furniture").agg(*[F.sum(c).alias(c) for c in ("constant", "varying", "chars", "same_chars")])
 
     def decide(frame):
-        rows = list(frame[["path", "furniture", "constant", "varying", "chars"]].itertuples(index=False, name=None))
+        rows = list(frame[["path", "furniture", "constant", "varying", "chars", "same_chars"]].itertuples(index=False, name=None))
         where = container(rows)
         held = [r for r in rows if not r[1] and r[0].startswith(f"{where}/")]
-        inside = [p for p, _, c, v, _ in held if c + v >= least_pages and c >= constant_share * (c + v)]
-        if sum(c for _, _, c, _, _ in held) > sum(v for _, _, _, v, _ in held):
+        inside = [p for p, _, c, v, _, _ in held if c + v >= least_pages and c >= constant_share * (c + v)]
+        constant, varying, chars, same_chars = (sum(r[k] for r in held) for k in (2, 3, 4, 5))
+        if constant > varying and same_chars > chars:
             inside = []  # mostly copies of one page: constancy says nothing about the template
         return frame.iloc[:1][["host"]].assign(container=where, template=[sorted(inside)])
 
     # A group is one host's distinct slots, not its pages.
-    return stored(counted.groupBy("host").applyInPandas(decide, "host string, container string, template array<string>"), "wrappers")
+    return stored(cast.groupBy("host").applyInPandas(decide, "host string, container string, template array<string>"), "wrappers")
 
 
 #: Hosts up to which the wrappers are broadcast (a path and a few slots each); beyond, they are joined by shuffling.

@@ -112,6 +112,19 @@ def test_main_text(spark):
     assert wrapper.main_text(df.limit(0)).collect() == []
 
 
+NOTED = "<html><body><article><h1>Head {i}</h1><p>Text of page {i} in its own words</p><p class=tag>Always the same words</p><div class=note>Kept by us<p>Inner part {i}</p></div></article></body></html>"
+
+
+@pytest.mark.parametrize("n", [8, 30, 300])
+def test_template_of_small_hosts(spark, n):
+    rows = [(i, f"https://n.example.com/{i}", NOTED.format(i=i)) for i in range(n)]
+    rows += [(1000 + i, f"https://copies.example.com/{i}", NOTED.format(i=0)) for i in range(n)] + [(2000, "https://lone.example.com", NOTED.format(i=0))]
+    got = {r.page_id: r.text for r in wrapper.main_text(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    whole = "Head 0\nText of page 0 in its own words\nAlways the same words\nKept by us\nInner part 0"
+    assert all(got[i] == f"Head {i}\nText of page {i} in its own words\nInner part {i}" for i in range(n))
+    assert all(got[1000 + i] == whole for i in range(n)) and got[2000] == whole
+
+
 def test_alignment_counts_the_largest_match():
     tree = lambda h: wrapper.collapse([c for c in wrapper.parse(h).children if isinstance(c, wrapper.Node)])
     a, b = tree("<div><h1>x</h1><p>a</p><ul><li>q</ul></div>"), tree("<div><p>b</p><table><tr><td>z</table><ul><li>q</ul></div>")
