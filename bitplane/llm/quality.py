@@ -3,11 +3,12 @@
 The content view sees the text's byte trigrams, the metadata view sees the page's
 fields (source, language, declared length) and its layout (lines, letter case,
 marks, digits, how far it compresses), no words.  Both are log-odds models.  In each round either view
-labels the pool documents it is sure of for the other; at the end each view is
+labels the documents it is sure of for the other; at the end each view is
 calibrated on held-out labels and a logistic model of both log-odds scores all documents.
 
-Only fitting uses samples: at most ``max_labelled`` labelled rows and ``max_pool``
-rows of the pool, taken in hash order, each reduced to at most 2**14 counts.
+Only labels are sampled: at most ``max_labelled`` labelled rows, taken in hash order, each
+reduced to at most 2**14 counts.  Every other document is in the pool: each round scores all of
+them on the executors and adds up there what the sure ones hold, so the driver gets vectors of fixed size.
 """
 
 from __future__ import annotations
@@ -23,6 +24,8 @@ from pyspark.sql import functions as F
 
 DIMS, META_DIMS = 1 << 14, 1 << 12
 FIELDS = ["source", "lang", "n_chars"]
+#: Shares of a document's trigrams are added as whole multiples of 1 / SCALE, so the order of adding does not matter.
+SCALE = 1 << 30
 
 #: Byte classes: 0 other letters and bytes, 1 upper case, 2 digits, 3 blanks, 4 sentence marks, 5 other marks.
 CLASSES = np.zeros(256, np.uint8)
@@ -84,9 +87,40 @@ class Sample:
     def content_score(self, w: np.ndarray) -> np.ndarray:
         return np.add.reduceat(w[self.index] * self.share, self.bounds[:-1]) if len(self.ids) else np.empty(0)
 
-    def profile(self, rows: np.ndarray) -> np.ndarray:
-        weight = np.repeat(rows / max(rows.sum(), 1e-9), np.diff(self.bounds))
-        return np.bincount(self.index, self.share * weight, DIMS)
+    def counts(self, y: np.ndarray) -> Counts:
+        """Of the rows with a class in ``y`` (-1: none)."""
+        out = Counts.zero()
+        for k in (0, 1):
+            rows = (y == k).astype(float)
+            out.content[k] = np.bincount(self.index, self.share * np.repeat(rows, np.diff(self.bounds)), DIMS)
+            out.meta[k] = np.bincount(self.meta.ravel(), np.repeat(rows, self.meta.shape[1]), META_DIMS)
+            out.n_content[k] = out.n_meta[k] = rows.sum()
+        return out
+
+
+@dataclasses.dataclass
+class Counts:
+    """Per class (bad, good): summed trigram shares, counts of metadata slots, and documents behind either."""
+
+    content: np.ndarray
+    meta: np.ndarray
+    n_content: np.ndarray
+    n_meta: np.ndarray
+
+    @staticmethod
+    def zero() -> Counts:
+        return Counts(np.zeros((2, DIMS)), np.zeros((2, META_DIMS)), np.zeros(2), np.zeros(2))
+
+    def flat(self) -> np.ndarray:
+        return np.r_[np.rint(self.content.ravel() * SCALE), self.meta.ravel(), self.n_content, self.n_meta].astype(np.int64)
+
+    @staticmethod
+    def of(flat: np.ndarray) -> Counts:
+        content, meta, n_content, n_meta = np.split(flat.astype(float), np.cumsum([2 * DIMS, 2 * META_DIMS, 2]))
+        return Counts(content.reshape(2, -1) / SCALE, meta.reshape(2, -1), n_content, n_meta)
+
+    def __add__(self, other: Counts) -> Counts:
+        return Counts(*(getattr(self, f.name) + getattr(other, f.name) for f in dataclasses.fields(self)))
 
 
 def sample_features(df: DataFrame, ids: DataFrame) -> Sample:
@@ -117,14 +151,16 @@ def sample_features(df: DataFrame, ids: DataFrame) -> Sample:
     return Sample(got["doc_id"].to_numpy(), meta, bounds - bounds[0], index, share)
 
 
-def fit_content(s: Sample, good: np.ndarray, bad: np.ndarray) -> np.ndarray:
+def fit_content(c: Counts) -> np.ndarray:
     smooth = 1e-5
-    return np.log((s.profile(good) + smooth) / (s.profile(bad) + smooth))
+    bad, good = c.content / np.maximum(c.n_content, 1e-9)[:, None]
+    return np.log((good + smooth) / (bad + smooth))
 
 
-def fit_meta(s: Sample, good: np.ndarray, bad: np.ndarray) -> np.ndarray:
-    g, b = (np.bincount(s.meta.ravel(), np.repeat(x, s.meta.shape[1]), META_DIMS) for x in (good, bad))
-    return np.log((g + 4 * good.sum() / (good.sum() + bad.sum())) / max(good.sum(), 1e-9)) - np.log((b + 4 * bad.sum() / (good.sum() + bad.sum())) / max(bad.sum(), 1e-9))
+def fit_meta(c: Counts) -> np.ndarray:
+    n = c.n_meta
+    bad, good = np.log(c.meta + (4 * n / n.sum())[:, None]) - np.log(np.maximum(n, 1e-9))[:, None]
+    return good - bad
 
 
 def logistic(x: np.ndarray, y: np.ndarray, ridge: float = 1.0, steps: int = 50) -> np.ndarray:
@@ -165,18 +201,61 @@ class Model:
 
     def score(self, texts: list[str], fields: list[tuple]) -> list[np.ndarray]:
         flat, bounds, h = trigrams(texts)
-        w = np.r_[self.content[h], 0.0, 0.0]
-        w[bounds[1:] - 1] = w[bounds[1:] - 2] = 0.0
-        a = np.add.reduceat(w, bounds[:-1]) / np.maximum(np.diff(bounds) - 2, 1)
-        b = self.meta[meta_features(fields, layout(flat, bounds))].sum(axis=1)
+        a, b = log_odds(self.content, self.meta, bounds, h, meta_features(fields, layout(flat, bounds)))
         return [np.round(x, 6) for x in self.probabilities(a, b)]
 
     def keeps(self, p: np.ndarray) -> np.ndarray:
         return p >= np.round(self.cut, 6)
 
 
-def cotrain(s: Sample, labels: dict[int, int], rounds: int = 3, sure: float = 0.97, keep_good: float = 0.999) -> Model | None:
-    """Fits on labelled rows and confident pseudo-labels; None unless both classes have labels.
+def log_odds(content: np.ndarray, meta: np.ndarray, bounds: np.ndarray, h: np.ndarray, slots: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Both views' log-odds of each text."""
+    w = np.r_[content[h], 0.0, 0.0]
+    w[bounds[1:] - 1] = w[bounds[1:] - 2] = 0.0
+    return np.add.reduceat(w, bounds[:-1]) / np.maximum(np.diff(bounds) - 2, 1), meta[slots].sum(axis=1)
+
+
+def classes_of(p: np.ndarray, sure: float) -> np.ndarray:
+    return np.where(p > sure, 1, np.where(p < 1 - sure, 0, -1))
+
+
+def pool_counts(docs: DataFrame, known: np.ndarray, content: np.ndarray, meta: np.ndarray, content_cal: np.ndarray, meta_cal: np.ndarray, sure: float) -> Counts:
+    """What all documents but ``known`` (sorted ids) hold that one view is sure of, counted for the other view."""
+
+    def run(batches: Iterator[pa.RecordBatch]):
+        total = Counts.zero()
+        for batch in batches:
+            for i in range(0, batch.num_rows, 512):
+                part = batch.slice(i, 512)
+                free = [d is None or known[min(np.searchsorted(known, d), len(known) - 1)] != d for d in part.column("doc_id").to_pylist()]
+                part = part.filter(pa.array(free, pa.bool_()))
+                if not part.num_rows:
+                    continue
+                texts, fields = rows_of(part)
+                flat, bounds, h = trigrams(texts)
+                slots = meta_features(fields, layout(flat, bounds))
+                a, b = log_odds(content, meta, bounds, h, slots)
+                for_meta, for_content = classes_of(prob(content_cal, a), sure), classes_of(prob(meta_cal, b), sure)
+                sizes = np.diff(bounds)
+                each = np.repeat(1 / np.maximum(sizes - 2, 1), sizes)
+                each[bounds[1:] - 1] = each[bounds[1:] - 2] = 0.0
+                for k in (0, 1):
+                    total.content[k] += np.bincount(h, (each * np.repeat(for_content == k, sizes))[:-2], DIMS)
+                    total.meta[k] += np.bincount(slots[for_meta == k].ravel(), minlength=META_DIMS)
+                    total.n_content[k] += (for_content == k).sum()
+                    total.n_meta[k] += (for_meta == k).sum()
+        flat = total.flat()
+        at = np.flatnonzero(flat)
+        yield pa.RecordBatch.from_arrays([pa.array(at.astype(np.int32)), pa.array(flat[at])], ["slot", "n"])
+
+    got = docs.mapInArrow(run, "slot int, n long").groupBy("slot").agg(F.sum("n").alias("n")).toArrow()
+    flat = Counts.zero().flat()
+    flat[got["slot"].to_numpy()] = got["n"].to_numpy()
+    return Counts.of(flat)
+
+
+def cotrain(s: Sample, labels: dict[int, int], pool: DataFrame, rounds: int = 3, sure: float = 0.97, keep_good: float = 0.999) -> Model | None:
+    """Fits on labelled rows and confident pseudo-labels of ``pool``; None unless both classes have labels.
 
     A fifth of the labelled rows is held out for calibration and for ``cut``, which
     is at most 0.5 and keeps the share ``keep_good`` of the held-out good documents.
@@ -191,23 +270,18 @@ def cotrain(s: Sample, labels: dict[int, int], rounds: int = 3, sure: float = 0.
     train = (y >= 0) & ~held
     if len(set(y[train].tolist())) < 2:
         return None
-    pseudo = {"content": np.full(len(y), -1), "meta": np.full(len(y), -1)}
+    truth = s.counts(np.where(train, y, -1))
+    pseudo = Counts.zero()
+    ids = np.array(sorted(labels), np.int64)
     log = []
     for turn in range(rounds + 1):
-        def targets(view: str) -> tuple[np.ndarray, np.ndarray]:
-            t = np.where(train, y, np.where(y < 0, pseudo[view], -1))
-            return (t == 1).astype(float), (t == 0).astype(float)
-
-        content = fit_content(s, *targets("content"))
-        meta = fit_meta(s, *targets("meta"))
+        content, meta = fit_content(truth + pseudo), fit_meta(truth + pseudo)
         a, b = s.content_score(content), meta[s.meta].sum(axis=1)
         cal_a, cal_b = logistic(a[held, None], y[held], 1e-3), logistic(b[held, None], y[held], 1e-3)
         if turn == rounds:
             break
-        p_a, p_b = prob(cal_a, a), prob(cal_b, b)
-        pseudo["meta"] = np.where(p_a > sure, 1, np.where(p_a < 1 - sure, 0, -1))
-        pseudo["content"] = np.where(p_b > sure, 1, np.where(p_b < 1 - sure, 0, -1))
-        log.append((int(((pseudo["meta"] >= 0) & (y < 0)).sum()), int(((pseudo["content"] >= 0) & (y < 0)).sum())))
+        pseudo = pool_counts(pool, ids, content, meta, cal_a, cal_b, sure)
+        log.append((int(pseudo.n_meta.sum()), int(pseudo.n_content.sum())))
     model = Model(content, meta, cal_a, cal_b, np.zeros(3), 0.5, log)
     logits = [np.log(np.clip(p, 1e-6, 1) / np.clip(1 - p, 1e-6, 1)) for p in (prob(cal_a, a), prob(cal_b, b))]
     model.joint = logistic(np.stack(logits, 1)[held], y[held], 0.1)
@@ -217,18 +291,16 @@ def cotrain(s: Sample, labels: dict[int, int], rounds: int = 3, sure: float = 0.
     return model
 
 
-def fit(docs: DataFrame, labels: DataFrame, max_labelled: int = 3000, max_pool: int = 3000, **how) -> Model | None:
-    """Trains on bounded samples of ``labels`` (doc_id, quality) and of unlabelled documents."""
+def fit(docs: DataFrame, labels: DataFrame, max_labelled: int = 3000, **how) -> Model | None:
+    """Trains on a bounded sample of ``labels`` (doc_id, quality) and on all documents outside it, whose labels, if any, are not used."""
     known = labels.where("doc_id is not null and quality in (0, 1)").groupBy("doc_id").agg(F.min("quality").alias("quality"))
     # Rejected documents are the rarer class, so each class fills half of the bound if it can.
     parts = [known.where(F.col("quality") == k).orderBy(F.xxhash64("doc_id")).limit(max_labelled // 2).collect() for k in (0, 1)]
     truth = {int(r.doc_id): int(r.quality) for part in parts for r in part}
-    pool = docs.where("doc_id is not null").select("doc_id").orderBy(F.xxhash64(F.lit(5), "doc_id")).limit(max_pool).collect()
-    ids = sorted({*truth, *(int(r.doc_id) for r in pool)})
     if not truth:
         return None
     spark = docs.sparkSession
-    return cotrain(sample_features(docs, spark.createDataFrame([(i,) for i in ids], "doc_id long")), truth, **how)
+    return cotrain(sample_features(docs, spark.createDataFrame([(i,) for i in sorted(truth)], "doc_id long")), truth, docs, **how)
 
 
 def score(docs: DataFrame, model: Model | None) -> DataFrame:

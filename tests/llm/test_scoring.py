@@ -3,7 +3,9 @@
 import hashlib
 import random
 
+import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 import corpus_pipeline
 from bitplane.llm import ctph, mixing, quality, queries, wrapper
@@ -64,6 +66,29 @@ def test_quality_edges(spark, small):
     assert quality.fit(quality.prepared(docs), nulls).cut == model.cut
 
 
+def test_quality_learns_from_all_documents(spark, small):
+    docs, labels = (spark.read.parquet(f"{small.replace('0.001', '0.01')}/{t}.parquet") for t in ("documents", "labels"))
+    more = docs.withColumn("copy", F.explode(F.sequence(F.lit(0), F.lit(5)))).withColumn("doc_id", F.col("doc_id") + F.col("copy") * 10**8)
+    model = quality.fit(quality.prepared(more), labels)
+    assert all(n > 5 * docs.count() * 0.7 > 3000 for n in model.rounds[-1])
+    again = quality.fit(quality.prepared(more.repartition(3, "doc_id")), labels)
+    assert again.rounds == model.rounds and abs(again.cut - model.cut) < 1e-6 and abs(again.content - model.content).max() < 1e-4
+
+
+def test_pool_counts_add_up(spark, small):
+    docs = quality.prepared(spark.read.parquet(f"{small}/documents.parquet")).where("length(text) > 0")
+    ids = sorted(r.doc_id for r in docs.select("doc_id").collect())
+    known, rest = np.array(ids[::4]), spark.createDataFrame([(i,) for k, i in enumerate(ids) if k % 4], "doc_id long")
+    s = quality.sample_features(docs, rest)
+    rnd = np.random.default_rng(3)
+    content, meta = rnd.normal(size=quality.DIMS), rnd.normal(size=quality.META_DIMS)
+    cal = np.array([3.0, 0.0])
+    got = quality.pool_counts(docs.repartition(5), known, content, meta, cal, cal, 0.6)
+    for_meta, for_content = (quality.classes_of(quality.prob(cal, x), 0.6) for x in (s.content_score(content), meta[s.meta].sum(axis=1)))
+    assert got.n_meta.min() > 0 and np.allclose(got.content, s.counts(for_content).content, atol=1e-4)
+    assert (got.meta == s.counts(for_meta).meta).all() and (got.n_content == [(for_content == k).sum() for k in (0, 1)]).all()
+
+
 def test_fingerprints():
     rnd = random.Random(1)
     base = "".join(rnd.choices("abcdefgh \n", k=9000))
