@@ -240,7 +240,7 @@ def votes(page: list[Slot], other: list[Slot] | None) -> list[tuple[str, bool, i
 
 
 def container(rows: list[tuple[str, bool, int, int, int, int]], share: float = 0.9) -> str:
-    """The deepest path that holds the share of all varying text outside furniture."""
+    """The outermost article or main around the share of all varying text outside furniture; without one, the deepest path that holds all of it."""
     mass: dict[str, int] = {}
     total = 0
     for path, off, _, _, chars, _ in rows:
@@ -252,8 +252,14 @@ def container(rows: list[tuple[str, bool, int, int, int, int]], share: float = 0
             mass[path[:at]] = mass.get(path[:at], 0) + chars
             at = path.find("/", at + 1)
         mass[path] = mass.get(path, 0) + chars
-    holders = [p for p, c in mass.items() if c >= share * total]
-    best = max(holders, key=lambda p: p.count("/"), default="")
+    def deepest(least: float) -> str:
+        return max((p for p, c in mass.items() if c >= least), key=lambda p: p.count("/"), default="")
+
+    parts = deepest(share * total).split("/")
+    for k, label in enumerate(parts):
+        if label.split(".")[0] in ("article", "main"):
+            return "/".join(parts[: k + 1])
+    best = deepest(total)
     # A slot of blocks belongs to the element around it.
     while best and best.rsplit("/", 1)[1].split(".")[0] not in ("article", "main", "section", "div", "body", "td", "html"):
         best = best.rsplit("/", 1)[0]
@@ -299,12 +305,13 @@ def blocks(node: Node, path: str, template: frozenset[str], out: list[str]) -> N
 
 
 def extract(page: str | None, where: str = "", template: frozenset[str] = frozenset()) -> str:
-    """Main text of one page.  Where the wrapper's container is missing, the page's own article, main or body stands in."""
+    """Main text of one page.  Where the wrapper's container is missing, the page's own outermost articles and mains or its body stand in."""
     if not page:
         return ""
     root = parse(page)
     found: list[tuple[Node, str]] = []
-    named: dict[str, list[tuple[Node, str]]] = {"article": [], "main": [], "body": []}
+    own: list[tuple[Node, str]] = []
+    named = {"article": own, "main": own, "body": []}
     todo: list[tuple[Node, str]] = [(root, "")]
     while todo:
         x, at = todo.pop()

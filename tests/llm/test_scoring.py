@@ -150,6 +150,23 @@ def test_template_of_small_hosts(spark, n):
     assert all(got[1000 + i] == whole for i in range(n)) and got[2000] == whole
 
 
+SPLIT = {
+    "title": "<body><article><h1>Head {i}</h1><div class=text><p>{long}</p></div></article></body>",
+    "main": "<body><main><article><h1>Head {i}</h1><p>{long}</p></article><section class=notes><p>Note {i}</p></section></main></body>",
+    "plain": "<body><div class=page><h1>Head {i}</h1><section class=long><p>{long}</p></section><section class=notes><p>Note {i}</p></section></div><div class=footer>Foot {i}</div></body>",
+}
+
+
+@pytest.mark.parametrize("kind", SPLIT)
+def test_short_parts_beside_the_long_one(spark, kind):
+    long = {i: f"word{i} " * 99 + "end" for i in range(12)}
+    rows = [(i, f"https://s.example.com/{i}", SPLIT[kind].format(i=i, long=long[i])) for i in long]
+    got = {r.page_id: r.text for r in wrapper.main_text(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    assert all(got[i] == f"Head {i}\n{long[i]}" + f"\nNote {i}" * (kind != "title") for i in long)
+    body = SPLIT["main"].format(i=1, long="x")
+    assert wrapper.extract(body, "/body/div.gone") == "Head 1\nx\nNote 1"
+
+
 def test_alignment_counts_the_largest_match():
     tree = lambda h: wrapper.collapse([c for c in wrapper.parse(h).children if isinstance(c, wrapper.Node)])
     a, b = tree("<div><h1>x</h1><p>a</p><ul><li>q</ul></div>"), tree("<div><p>b</p><table><tr><td>z</table><ul><li>q</ul></div>")
