@@ -41,16 +41,30 @@ def scratch(spark: SparkSession, label: str) -> str:
 
 def stored(df: DataFrame, label: str) -> DataFrame:
     """Write and read back: cuts the lineage and survives lost executors."""
-    spark = df.sparkSession
-    path = scratch(spark, label)
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    return Shelf(df.sparkSession, label).put(df)
 
 
-def drop_stored(spark: SparkSession, path: str) -> None:
-    jvm = spark._jvm
-    target = jvm.org.apache.hadoop.fs.Path(path)
-    target.getFileSystem(spark._jsc.hadoopConfiguration()).delete(target, True)
+class Shelf:
+    """Stored intermediate tables of one operator, in one folder of the shared place."""
+
+    def __init__(self, spark: SparkSession, label: str):
+        self.spark, self.root = spark, scratch(spark, label)
+        self.held: list[tuple[DataFrame, str]] = []
+
+    def put(self, df: DataFrame) -> DataFrame:
+        """Written and read back, as ``stored``."""
+        path = f"{self.root}/{len(self.held)}"
+        df.write.parquet(path)
+        out = self.spark.read.schema(df.schema).parquet(path)
+        self.held.append((out, path))
+        return out
+
+    def clear(self, *keep: DataFrame) -> None:
+        """Deletes all tables but those that a result still reads."""
+        for df, path in self.held:
+            if not any(df is k for k in keep):
+                target = self.spark._jvm.org.apache.hadoop.fs.Path(path)
+                target.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(target, True)
 
 
 def ascii_lower(text: Column) -> Column:
@@ -67,26 +81,33 @@ def leaf_of(row_id: Column, leaves: int) -> Column:
     return F.pmod(F.xxhash64(row_id), F.lit(leaves)).cast("int")
 
 
-def gather_scatter(rows: DataFrame, keys: list[str], leaves: int, first: list[Column], merge: list[Column], keep: Column, fan: int = 16, how: str = "inner") -> DataFrame:
-    """Aggregates per key over a tree of leaves and hands the result back to every row.
+def hand_down(rows: DataFrame, table: DataFrame, keys: list[str], how: str = "inner") -> DataFrame:
+    """Joins ``table``, with one row a key, to ``rows`` in which one key may have a third of all rows.
 
-    ``rows`` has ``keys`` and ``__leaf``.  Going up, the runs of ``fan`` neighbouring
-    leaves merge in each round until one row a key is left (``first`` builds a
-    leaf's run, ``merge`` combines runs; both name the same columns).  Only
-    results that satisfy ``keep`` go down again, level by level, so no task ever
-    meets more than ``fan`` runs of one key, nor the rows of more than one leaf of it:
-    a key with a third of all rows is as cheap as any other.
+    ``rows`` has ``__leaf``.  The table meets one row for each key and leaf first (at most as many a key as
+    there are leaves) and the rows of a leaf then meet their own copy, so a hot key is spread over all leaves.
     """
-    dealt = rows.repartition(*[F.col(k) for k in keys], F.col("__leaf"))
-    levels = [dealt.groupBy(*keys, "__leaf").agg(*first)]
-    width = leaves
+    held = rows.groupBy(*keys, "__leaf").agg(F.count(F.lit(1)).alias("__held"))
+    return rows.join(held.join(table, keys).drop("__held"), [*keys, "__leaf"], how)
+
+
+def merge_up(runs: DataFrame, keys: list[str], leaves: int, merge: list[Column], fan: int = 16) -> DataFrame:
+    """One row a key from the runs of all leaves: in each round the runs of ``fan`` neighbouring leaves merge.
+
+    A round with a fan of 16 does four rounds of a binomial tree at once.  No task meets more than ``fan`` rows of a key.
+    """
+    level, width = runs, leaves
     while width > 1:
         width = -(-width // fan)
-        up = levels[-1].withColumn("__leaf", F.expr(f"cast(__leaf div {fan} as int)"))
-        levels.append(up.groupBy(*keys, "__leaf").agg(*merge))
-    down = levels[-1].where(keep)
-    names = [c for c in down.columns if c not in keys and c != "__leaf"]
-    for level in reversed(levels[:-1]):
-        below = level.select(*keys, F.col("__leaf").alias("__own"), F.expr(f"cast(__leaf div {fan} as int)").alias("__leaf"))
-        down = below.join(down, [*keys, "__leaf"]).select(*keys, F.col("__own").alias("__leaf"), *names)
-    return dealt.join(down, [*keys, "__leaf"], how)
+        level = level.withColumn("__leaf", F.expr(f"cast(__leaf div {fan} as int)")).groupBy(*keys, "__leaf").agg(*merge)
+    return level.drop("__leaf")
+
+
+def gather_scatter(rows: DataFrame, keys: list[str], leaves: int, first: list[Column], merge: list[Column], keep: Column, how: str = "inner") -> DataFrame:
+    """Aggregates per key over a tree of leaves and hands the results that satisfy ``keep`` back to the rows.
+
+    ``rows`` has ``keys`` and ``__leaf``, and is read several times: store what is dear to make.
+    ``first`` builds a leaf's run, ``merge`` combines runs; both name the same columns.
+    """
+    runs = rows.groupBy(*keys, "__leaf").agg(*first)
+    return hand_down(rows, merge_up(runs, keys, leaves, merge).where(keep), keys, how)

@@ -1,19 +1,21 @@
-"""Exact deduplication by tree-merged runs of digests (DataFrame functions only).
+"""Exact deduplication by tree-merged sorted runs of digests (DataFrame functions only).
 
-Every leaf (a hash range of document ids) makes a run with one entry a digest:
-its identifiers' extremes and its number of rows.  Runs of neighbouring leaves
-meet in rounds and merge, key by key, until the root holds one entry a digest;
-the entries with copies then travel back down the same tree to the rows.  Two
-rows are the same only if SHA-256, byte length and an independent 64-bit hash
+Texts are read once, for rows of digest and identifier, which are stored.  Every leaf (a
+hash range of document ids) sorts its rows by digest into a run with one entry a digest: the
+identifier that stays and the number of rows.  In each round the runs of sixteen
+neighbouring leaves are exchanged, four steps of a binomial tree at once, and merged
+in digest order, entry by entry, until the root holds one run; sorted aggregation is the
+merge, as the entries' best identifiers are structures, which Spark never hashes.  The entries with copies then
+go back to the leaves that hold them.  Two rows are the same only if SHA-256, byte length and an independent 64-bit hash
 all agree; that triple is the merge key, so identity is verified at every level.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import ascii_lower, gather_scatter, leaf_count, leaf_of
+from .common import Shelf, ascii_lower, leaf_count, leaf_of, merge_up
 
 KEYS = ["__digest", "__bytes", "__check"]
 
@@ -34,15 +36,18 @@ def groups(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", keep:
     of a group are null, keep_id is null and all its rows are kept.  Rows that
     repeat an id and a text each count in group_size and share their verdict.
     """
-    pick = {"largest": F.max, "smallest": F.min}[keep]
-    leaves = leaf_count(df.sparkSession)
-    rows = fingerprint(df.select(F.col(id_col).alias("__id"), F.col(text_col).alias("__text")), "__text").select("__id", *KEYS).withColumn("__leaf", leaf_of(F.col("__id"), leaves))
-    merged = gather_scatter(
-        rows, KEYS, leaves,
-        [pick("__id").alias("__keep"), F.count(F.lit(1)).alias("__n")],
-        [pick("__keep").alias("__keep"), F.sum("__n").alias("__n")],
-        F.col("__n") > 1, how="left",
-    )
+    spark = df.sparkSession
+    leaves, shelf = leaf_count(spark), Shelf(spark, "exact")
+    ids = fingerprint(df.select(F.col(id_col).alias("__id"), F.col(text_col).alias("__text")), "__text")
+    rows = shelf.put(ids.select("__id", *KEYS, leaf_of(F.col("__id"), leaves).alias("__leaf")))
+    runs = shelf.put(rows.groupBy(*KEYS, "__leaf").agg(best(F.col("__id"), keep).alias("__best"), F.count(F.lit(1)).alias("__n")))
+    pick = F.max if keep == "largest" else F.min
+    root = merge_up(runs, KEYS, leaves, [pick("__best").alias("__best"), F.sum("__n").alias("__n")])
+    # One entry for each leaf that holds a copy: the rows of a hot digest meet their own leaf's entry.
+    found = runs.select(*KEYS, "__leaf").join(root.where("__n > 1"), KEYS).select(*KEYS, "__leaf", F.col("__best.id").alias("__keep"), "__n")
+    found = shelf.put(found)
+    shelf.clear(rows, found)
+    merged = rows.join(found, [*KEYS, "__leaf"], "left")
     winner = F.when(F.col("__n").isNull(), F.col("__id")).otherwise(F.col("__keep"))
     return merged.select(
         F.col("__id").alias(id_col),
@@ -53,6 +58,13 @@ def groups(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", keep:
     )
 
 
+def best(x: Column, keep: str) -> Column:
+    """The identifier that stays, as a structure in which a null comes behind all others."""
+    if keep == "largest":
+        return F.max(F.struct(x.isNotNull().alias("known"), x.alias("id")))
+    return F.min(F.struct(x.isNull().alias("unknown"), x.alias("id")))
+
+
 def dedup(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", keep: str = "largest") -> DataFrame:
     """The rows that stay, with their own columns; exact repeats of a row collapse.
 
