@@ -3,7 +3,8 @@
 Lines are exploded with their position and a 128-bit hash of the normalised
 line; hashes found in enough documents lose their lines everywhere but in the
 smallest document, and the rest of each document is put together by position.
-Only hashes and positions are shuffled by line; texts move once, by document.
+Texts are read twice: once for the hashes and positions of their lines, which are stored and are all that is
+shuffled by line, and once to be put together again; texts move once, by document.
 """
 
 from __future__ import annotations
@@ -11,7 +12,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import ascii_lower, gather_scatter, leaf_count, leaf_of
+from .common import Shelf, ascii_lower, gather_scatter, leaf_count, leaf_of
 
 #: Fixed value: the stripped characters, space and U+0009 to U+000D.
 BLANKS = " \t\n\x0b\x0c\r"
@@ -29,13 +30,14 @@ def dedup_lines(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", m
     document when holders are counted, and each is rebuilt from its own lines.
     """
     spark = df.sparkSession
-    leaves = leaf_count(spark)
+    leaves, shelf = leaf_count(spark), Shelf(spark, "lines")
     text = F.coalesce(F.col(text_col), F.lit(""))
     docs = df.select(F.col(id_col).alias("__id"), text.alias("__text")).withColumn("__row", F.xxhash64(F.lit(3), F.col("__text")))
     lines = docs.select("__id", "__row", F.posexplode(F.split("__text", "\n", -1)).alias("__pos", "__line")).withColumn("__key", line_key(F.col("__line")))
     long_enough = lines.where(F.char_length("__key") >= min_chars).select(
         "__id", "__row", "__pos", F.xxhash64("__key").alias("__h1"), F.xxhash64(F.lit(11), F.col("__key")).alias("__h2"), leaf_of(F.col("__id"), leaves).alias("__leaf")
     )
+    long_enough = shelf.put(long_enough)
     keys = ["__h1", "__h2"]
     # A leaf holds all rows of an id, so distinct ids add up over leaves; for two documents the extremes suffice.
     first = [F.min("__id").alias("__lo"), F.max("__id").alias("__hi"), F.max(F.col("__id").isNull()).alias("__none")]
@@ -48,7 +50,8 @@ def dedup_lines(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", m
         keep = F.col("__docs") >= min_docs
     found = gather_scatter(long_enough, keys, leaves, first, merge, keep)
     gone = found.where(~F.col("__id").eqNullSafe(F.col("__lo"))).groupBy("__id", "__row").agg(F.collect_set("__pos").alias("__gone"))
-    marked = gone.select(F.col("__id").alias("__gid"), F.col("__row").alias("__grow"), "__gone")
+    marked = shelf.put(gone.select(F.col("__id").alias("__gid"), F.col("__row").alias("__grow"), "__gone"))
+    shelf.clear(marked)
     joined = docs.join(marked, F.col("__id").eqNullSafe(F.col("__gid")) & (F.col("__row") == F.col("__grow")), "left")
     parts = F.split("__text", "\n", -1)
     stay = F.array_except(F.sequence(F.lit(0), F.size("__parts") - 1), F.col("__gone"))
