@@ -1,10 +1,11 @@
 """Quality classifier by co-training of two views.
 
-The content view sees the text's byte trigrams, the metadata view sees the page's
-fields (source, language, declared length) and its layout (lines, letter case,
-marks, digits, how far it compresses), no words.  Both are log-odds models.  In each round either view
-labels the documents it is sure of for the other; at the end each view is
-calibrated on held-out labels and a logistic model of both log-odds scores all documents.
+The content view sees the text alone: byte trigrams and layout (lines, letter case, marks,
+digits, how far it compresses).  The metadata view sees the page's declared fields alone
+(source, language, length and their pairs).  Trigrams, layout and metadata are log-odds
+models; a view's calibration on held-out labels turns its log-odds into a probability.  In each round either view
+labels the documents it is sure of for the other; at the end a logistic model of both
+calibrated views scores all documents.
 
 Only labels are sampled: at most ``max_labelled`` labelled rows, taken in hash order, each
 reduced to at most 2**14 counts.  Every other document is in the pool: each round scores all of
@@ -22,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-DIMS, META_DIMS = 1 << 14, 1 << 12
+DIMS, SLOTS = 1 << 14, 1 << 12
 FIELDS = ["source", "lang", "n_chars"]
 #: Shares of a document's trigrams are added as whole multiples of 1 / SCALE, so the order of adding does not matter.
 SCALE = 1 << 30
@@ -57,17 +58,27 @@ def layout(flat: np.ndarray, bounds: np.ndarray) -> np.ndarray:
     return np.stack([*cols[:2], np.array(squeezed), *cols[2:]], axis=1)
 
 
-def meta_features(fields: list[tuple], shapes: np.ndarray) -> np.ndarray:
-    """Hashed indices of a document's metadata, one column a field; null is a value like any other."""
-    def slot(name: str, value) -> int:
-        return zlib.crc32(f"{name}={value}".encode("utf-8", "surrogatepass")) % META_DIMS
+def slot(name: str, value) -> int:
+    return zlib.crc32(f"{name}={value}".encode("utf-8", "surrogatepass")) % SLOTS
 
+
+def layout_features(shapes: np.ndarray) -> np.ndarray:
+    """Hashed indices of a text's layout, one column a measure."""
     out = []
-    for (source, lang, n_chars), (size, feeds, squeezed, *shares) in zip(fields, shapes.tolist()):
-        length = None if n_chars is None else int(np.log2(abs(n_chars) + 1))
-        row = [slot("source", source), slot("lang", lang), slot("length", length), slot("lines", int(np.log2(feeds + 1))), slot("width", int(np.log2(size / (feeds + 1) + 1)))]
+    for size, feeds, squeezed, *shares in shapes.tolist():
+        row = [slot("lines", int(np.log2(feeds + 1))), slot("width", int(np.log2(size / (feeds + 1) + 1)))]
         row.append(slot("squeezed", (int(np.log2(size + 1)), int(12 * squeezed / (size + 12)))))
         out.append(row + [slot(f"share{k}", int(np.sqrt(s) * 16)) for k, s in enumerate(shares)])
+    return np.array(out, np.int32).reshape(len(shapes), -1)
+
+
+def meta_features(fields: list[tuple]) -> np.ndarray:
+    """Hashed indices of a document's declared fields and their pairs, one column each; null is a value like any other."""
+    out = []
+    for source, lang, n_chars in fields:
+        length = None if n_chars is None else int(2 * np.log2(abs(n_chars) + 1))
+        pairs = {"source": source, "lang": lang, "length": length, "source-lang": (source, lang), "source-length": (source, length), "lang-length": (lang, length)}
+        out.append([slot(k, v) for k, v in pairs.items()])
     return np.array(out, np.int32).reshape(len(fields), -1)
 
 
@@ -79,50 +90,93 @@ def rows_of(batch: pa.RecordBatch) -> tuple[list[str], list[tuple]]:
 @dataclasses.dataclass
 class Sample:
     ids: np.ndarray
+    layout: np.ndarray
     meta: np.ndarray
     bounds: np.ndarray
     index: np.ndarray
     share: np.ndarray
 
-    def content_score(self, w: np.ndarray) -> np.ndarray:
-        return np.add.reduceat(w[self.index] * self.share, self.bounds[:-1]) if len(self.ids) else np.empty(0)
+    def scores(self, w: Weights) -> tuple[np.ndarray, np.ndarray]:
+        """Log-odds of the content view (trigrams, layout) and of the metadata view."""
+        grams = np.add.reduceat(w.grams[self.index] * self.share, self.bounds[:-1]) if len(self.ids) else np.empty(0)
+        return np.c_[grams, w.layout[self.layout].sum(axis=1)], w.meta[self.meta].sum(axis=1)[:, None]
 
-    def counts(self, y: np.ndarray) -> Counts:
-        """Of the rows with a class in ``y`` (-1: none)."""
+    def counts(self, for_content: np.ndarray, for_meta: np.ndarray) -> Counts:
+        """Of the rows with a class (-1: none), for either view."""
         out = Counts.zero()
         for k in (0, 1):
-            rows = (y == k).astype(float)
-            out.content[k] = np.bincount(self.index, self.share * np.repeat(rows, np.diff(self.bounds)), DIMS)
-            out.meta[k] = np.bincount(self.meta.ravel(), np.repeat(rows, self.meta.shape[1]), META_DIMS)
-            out.n_content[k] = out.n_meta[k] = rows.sum()
+            rows = (for_content == k).astype(float)
+            out.grams[k] = np.bincount(self.index, self.share * np.repeat(rows, np.diff(self.bounds)), DIMS)
+            out.layout[k] = np.bincount(self.layout.ravel(), np.repeat(rows, self.layout.shape[1]), SLOTS)
+            out.n_content[k] = rows.sum()
+            rows = (for_meta == k).astype(float)
+            out.meta[k] = np.bincount(self.meta.ravel(), np.repeat(rows, self.meta.shape[1]), SLOTS)
+            out.n_meta[k] = rows.sum()
         return out
 
 
 @dataclasses.dataclass
 class Counts:
-    """Per class (bad, good): summed trigram shares, counts of metadata slots, and documents behind either."""
+    """Per class (bad, good): summed trigram shares, counts of layout and of metadata slots, and documents behind either view."""
 
-    content: np.ndarray
+    grams: np.ndarray
+    layout: np.ndarray
     meta: np.ndarray
     n_content: np.ndarray
     n_meta: np.ndarray
 
     @staticmethod
     def zero() -> Counts:
-        return Counts(np.zeros((2, DIMS)), np.zeros((2, META_DIMS)), np.zeros(2), np.zeros(2))
+        return Counts(np.zeros((2, DIMS)), np.zeros((2, SLOTS)), np.zeros((2, SLOTS)), np.zeros(2), np.zeros(2))
 
     def flat(self) -> np.ndarray:
-        return np.r_[np.rint(self.content.ravel() * SCALE), self.meta.ravel(), self.n_content, self.n_meta].astype(np.int64)
+        return np.r_[np.rint(self.grams.ravel() * SCALE), self.layout.ravel(), self.meta.ravel(), self.n_content, self.n_meta].astype(np.int64)
 
     @staticmethod
     def of(flat: np.ndarray) -> Counts:
-        content, meta, n_content, n_meta = np.split(flat.astype(float), np.cumsum([2 * DIMS, 2 * META_DIMS, 2]))
-        return Counts(content.reshape(2, -1) / SCALE, meta.reshape(2, -1), n_content, n_meta)
+        grams, layout, meta, n_content, n_meta = np.split(flat.astype(float), np.cumsum([2 * DIMS, 2 * SLOTS, 2 * SLOTS, 2]))
+        return Counts(grams.reshape(2, -1) / SCALE, layout.reshape(2, -1), meta.reshape(2, -1), n_content, n_meta)
 
     def __add__(self, other: Counts) -> Counts:
         return Counts(*(getattr(self, f.name) + getattr(other, f.name) for f in dataclasses.fields(self)))
 
 
+@dataclasses.dataclass
+class Weights:
+    """Log-odds of each trigram, layout slot and metadata slot."""
+
+    grams: np.ndarray
+    layout: np.ndarray
+    meta: np.ndarray
+
+    @staticmethod
+    def fit(c: Counts) -> Weights:
+        bad, good = c.grams / np.maximum(c.n_content, 1e-9)[:, None]
+        return Weights(np.log((good + 1e-5) / (bad + 1e-5)), slot_odds(c.layout, c.n_content), slot_odds(c.meta, c.n_meta))
+
+    def scores(self, texts: list[str], fields: list[tuple]) -> tuple[np.ndarray, np.ndarray, Features]:
+        """As Sample.scores, and what they were made from."""
+        flat, bounds, h = trigrams(texts)
+        f = Features(bounds, h, layout_features(layout(flat, bounds)), meta_features(fields))
+        w = np.r_[self.grams[h], 0.0, 0.0]
+        w[bounds[1:] - 1] = w[bounds[1:] - 2] = 0.0
+        grams = np.add.reduceat(w, bounds[:-1]) / np.maximum(np.diff(bounds) - 2, 1)
+        return np.c_[grams, self.layout[f.layout].sum(axis=1)], self.meta[f.meta].sum(axis=1)[:, None], f
+
+
+@dataclasses.dataclass
+class Features:
+    bounds: np.ndarray
+    h: np.ndarray
+    layout: np.ndarray
+    meta: np.ndarray
+
+
+def slot_odds(counts: np.ndarray, n: np.ndarray) -> np.ndarray:
+    bad, good = np.log(counts + (4 * n / n.sum())[:, None]) - np.log(np.maximum(n, 1e-9))[:, None]
+    return good - bad
+
+
 def sample_features(df: DataFrame, ids: DataFrame) -> Sample:
     """Sparse features of the documents in ``ids`` (bounded by the caller), on the driver."""
 
@@ -132,35 +186,23 @@ def sample_features(df: DataFrame, ids: DataFrame) -> Sample:
                 part = batch.slice(i, 256)
                 texts, fields = rows_of(part)
                 flat, bounds, h = trigrams(texts)
-                meta = meta_features(fields, layout(flat, bounds))
+                shapes, meta = layout_features(layout(flat, bounds)), meta_features(fields)
                 index, share = [], []
                 for a, b in zip(bounds.tolist(), bounds[1:].tolist()):
                     u, c = np.unique(h[a : max(b - 2, a + 1)], return_counts=True)
                     index.append(u.astype(np.int16))
                     share.append((c / max(b - 2 - a, 1)).astype(np.float32))
-                yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(list(meta), pa.list_(pa.int32())), pa.array(index, pa.list_(pa.int16())), pa.array(share, pa.list_(pa.float32()))], ["doc_id", "meta", "index", "share"])
+                yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(list(shapes), pa.list_(pa.int32())), pa.array(list(meta), pa.list_(pa.int32())), pa.array(index, pa.list_(pa.int16())), pa.array(share, pa.list_(pa.float32()))], ["doc_id", "layout", "meta", "index", "share"])
 
     chosen = df.join(F.broadcast(ids), "doc_id", "left_semi").dropDuplicates(["doc_id"])
-    got = chosen.mapInArrow(run, "doc_id long, meta array<int>, index array<short>, share array<float>").toArrow().combine_chunks()
+    got = chosen.mapInArrow(run, "doc_id long, layout array<int>, meta array<int>, index array<short>, share array<float>").toArrow().combine_chunks()
     order = np.argsort(got["doc_id"].to_numpy())
     got = got.take(pa.array(order))
     index, share = got["index"].combine_chunks(), got["share"].combine_chunks()
     bounds = index.offsets.to_numpy().astype(np.int64)
     index, share = index.flatten().to_numpy(), share.flatten().to_numpy()
-    meta = got["meta"].combine_chunks().flatten().to_numpy().reshape(len(got), -1)
-    return Sample(got["doc_id"].to_numpy(), meta, bounds - bounds[0], index, share)
-
-
-def fit_content(c: Counts) -> np.ndarray:
-    smooth = 1e-5
-    bad, good = c.content / np.maximum(c.n_content, 1e-9)[:, None]
-    return np.log((good + smooth) / (bad + smooth))
-
-
-def fit_meta(c: Counts) -> np.ndarray:
-    n = c.n_meta
-    bad, good = np.log(c.meta + (4 * n / n.sum())[:, None]) - np.log(np.maximum(n, 1e-9))[:, None]
-    return good - bad
+    shapes, meta = (got[c].combine_chunks().flatten().to_numpy().reshape(len(got), -1) for c in ("layout", "meta"))
+    return Sample(got["doc_id"].to_numpy(), shapes, meta, bounds - bounds[0], index, share)
 
 
 def logistic(x: np.ndarray, y: np.ndarray, ridge: float = 1.0, steps: int = 50) -> np.ndarray:
@@ -177,17 +219,20 @@ def logistic(x: np.ndarray, y: np.ndarray, ridge: float = 1.0, steps: int = 50)
     return w
 
 
-def prob(w: np.ndarray, *cols: np.ndarray) -> np.ndarray:
-    z = sum((a * c for a, c in zip(w, cols)), w[-1])
-    return 1 / (1 + np.exp(-np.clip(z, -30, 30)))
+def prob(w: np.ndarray, x: np.ndarray) -> np.ndarray:
+    return 1 / (1 + np.exp(-np.clip(x @ w[:-1] + w[-1], -30, 30)))
+
+
+def logit(p: np.ndarray) -> np.ndarray:
+    return np.log(np.clip(p, 1e-6, 1) / np.clip(1 - p, 1e-6, 1))
 
 
 @dataclasses.dataclass
 class Model:
-    """Weights of both views, their calibrations and combination; ``cut`` is the lowest kept probability."""
+    """Weights of both views, their calibrations and combination; ``cut`` is the lowest kept probability, ``rounds`` the
+    numbers of documents labelled in each round for the metadata view and for the content view."""
 
-    content: np.ndarray
-    meta: np.ndarray
+    weights: Weights
     content_cal: np.ndarray
     meta_cal: np.ndarray
     joint: np.ndarray
@@ -196,30 +241,21 @@ class Model:
 
     def probabilities(self, a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         pa_, pb = prob(self.content_cal, a), prob(self.meta_cal, b)
-        logit = [np.log(np.clip(p, 1e-6, 1 - 1e-6) / np.clip(1 - p, 1e-6, 1)) for p in (pa_, pb)]
-        return pa_, pb, prob(self.joint, *logit)
+        return pa_, pb, prob(self.joint, np.c_[logit(pa_), logit(pb)])
 
     def score(self, texts: list[str], fields: list[tuple]) -> list[np.ndarray]:
-        flat, bounds, h = trigrams(texts)
-        a, b = log_odds(self.content, self.meta, bounds, h, meta_features(fields, layout(flat, bounds)))
+        a, b, _ = self.weights.scores(texts, fields)
         return [np.round(x, 6) for x in self.probabilities(a, b)]
 
     def keeps(self, p: np.ndarray) -> np.ndarray:
         return p >= np.round(self.cut, 6)
 
 
-def log_odds(content: np.ndarray, meta: np.ndarray, bounds: np.ndarray, h: np.ndarray, slots: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Both views' log-odds of each text."""
-    w = np.r_[content[h], 0.0, 0.0]
-    w[bounds[1:] - 1] = w[bounds[1:] - 2] = 0.0
-    return np.add.reduceat(w, bounds[:-1]) / np.maximum(np.diff(bounds) - 2, 1), meta[slots].sum(axis=1)
-
-
 def classes_of(p: np.ndarray, sure: float) -> np.ndarray:
     return np.where(p > sure, 1, np.where(p < 1 - sure, 0, -1))
 
 
-def pool_counts(docs: DataFrame, known: np.ndarray, content: np.ndarray, meta: np.ndarray, content_cal: np.ndarray, meta_cal: np.ndarray, sure: float) -> Counts:
+def pool_counts(docs: DataFrame, known: np.ndarray, weights: Weights, content_cal: np.ndarray, meta_cal: np.ndarray, sure: float) -> Counts:
     """What all documents but ``known`` (sorted ids) hold that one view is sure of, counted for the other view."""
 
     def run(batches: Iterator[pa.RecordBatch]):
@@ -231,18 +267,17 @@ def pool_counts(docs: DataFrame, known: np.ndarray, content: np.ndarray, meta: n
                 part = part.filter(pa.array(free, pa.bool_()))
                 if not part.num_rows:
                     continue
-                texts, fields = rows_of(part)
-                flat, bounds, h = trigrams(texts)
-                slots = meta_features(fields, layout(flat, bounds))
-                a, b = log_odds(content, meta, bounds, h, slots)
+                a, b, f = weights.scores(*rows_of(part))
                 for_meta, for_content = classes_of(prob(content_cal, a), sure), classes_of(prob(meta_cal, b), sure)
-                sizes = np.diff(bounds)
+                sizes = np.diff(f.bounds)
                 each = np.repeat(1 / np.maximum(sizes - 2, 1), sizes)
-                each[bounds[1:] - 1] = each[bounds[1:] - 2] = 0.0
+                each[f.bounds[1:] - 1] = each[f.bounds[1:] - 2] = 0.0
                 for k in (0, 1):
-                    total.content[k] += np.bincount(h, (each * np.repeat(for_content == k, sizes))[:-2], DIMS)
-                    total.meta[k] += np.bincount(slots[for_meta == k].ravel(), minlength=META_DIMS)
-                    total.n_content[k] += (for_content == k).sum()
+                    if (rows := for_content == k).any():
+                        total.grams[k] += np.bincount(f.h, (each * np.repeat(rows, sizes))[:-2], DIMS)
+                        total.layout[k] += np.bincount(f.layout[rows].ravel(), minlength=SLOTS)
+                        total.n_content[k] += rows.sum()
+                    total.meta[k] += np.bincount(f.meta[for_meta == k].ravel(), minlength=SLOTS)
                     total.n_meta[k] += (for_meta == k).sum()
         flat = total.flat()
         at = np.flatnonzero(flat)
@@ -254,11 +289,12 @@ def pool_counts(docs: DataFrame, known: np.ndarray, content: np.ndarray, meta: n
     return Counts.of(flat)
 
 
-def cotrain(s: Sample, labels: dict[int, int], pool: DataFrame, rounds: int = 3, sure: float = 0.97, keep_good: float = 0.999) -> Model | None:
+def cotrain(s: Sample, labels: dict[int, int], pool: DataFrame, rounds: int = 3, sure: float = 0.97, lost_good: float = 0.002, always_below: float = 0.05) -> Model | None:
     """Fits on labelled rows and confident pseudo-labels of ``pool``; None unless both classes have labels.
 
-    A fifth of the labelled rows is held out for calibration and for ``cut``, which
-    is at most 0.5 and keeps the share ``keep_good`` of the held-out good documents.
+    A third of the labelled rows is held out for calibration and for ``cut``: the ``lost_good`` quantile of the
+    held-out good documents, but 0.5 at most and ``always_below`` at least, so that however few
+    are held out, and however odd or mislabelled some are, the surely bad stay rejected.  Rounds end early once they change nothing.
     """
     y = np.array([labels.get(int(i), -1) for i in s.ids])
     known = np.flatnonzero(y >= 0)
@@ -266,28 +302,28 @@ def cotrain(s: Sample, labels: dict[int, int], pool: DataFrame, rounds: int = 3,
         return None
     held = np.zeros(len(y), bool)
     for k in (0, 1):
-        held[np.flatnonzero(y == k)[::5]] = True
+        held[np.flatnonzero(y == k)[::3]] = True
     train = (y >= 0) & ~held
     if len(set(y[train].tolist())) < 2:
         return None
-    truth = s.counts(np.where(train, y, -1))
-    pseudo = Counts.zero()
+    own = np.where(train, y, -1)
+    truth, pseudo = s.counts(own, own), Counts.zero()
     ids = np.array(sorted(labels), np.int64)
     log = []
     for turn in range(rounds + 1):
-        content, meta = fit_content(truth + pseudo), fit_meta(truth + pseudo)
-        a, b = s.content_score(content), meta[s.meta].sum(axis=1)
-        cal_a, cal_b = logistic(a[held, None], y[held], 1e-3), logistic(b[held, None], y[held], 1e-3)
+        weights = Weights.fit(truth + pseudo)
+        a, b = s.scores(weights)
+        content_cal, meta_cal = logistic(a[held], y[held], 1e-3), logistic(b[held], y[held], 1e-3)
         if turn == rounds:
             break
-        pseudo = pool_counts(pool, ids, content, meta, cal_a, cal_b, sure)
+        before, pseudo = pseudo, pool_counts(pool, ids, weights, content_cal, meta_cal, sure)
         log.append((int(pseudo.n_meta.sum()), int(pseudo.n_content.sum())))
-    model = Model(content, meta, cal_a, cal_b, np.zeros(3), 0.5, log)
-    logits = [np.log(np.clip(p, 1e-6, 1) / np.clip(1 - p, 1e-6, 1)) for p in (prob(cal_a, a), prob(cal_b, b))]
-    model.joint = logistic(np.stack(logits, 1)[held], y[held], 0.1)
-    p = model.probabilities(a, b)[2]
-    good = np.sort(p[held & (y == 1)])
-    model.cut = float(min(0.5, good[int((1 - keep_good) * len(good))]))
+        if np.array_equal(before.flat(), pseudo.flat()):
+            break
+    model = Model(weights, content_cal, meta_cal, np.zeros(3), 0.5, log)
+    model.joint = logistic(np.c_[logit(prob(content_cal, a)), logit(prob(meta_cal, b))][held], y[held], 0.1)
+    good = np.sort(model.probabilities(a, b)[2][held & (y == 1)])
+    model.cut = float(np.clip(good[int(lost_good * len(good))], always_below, 0.5))
     return model
 
 

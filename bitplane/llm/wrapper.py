@@ -7,6 +7,9 @@ constant if its text is the same on both pages and varying if not; what
 matches nothing varies.  A host's wrapper follows from its votes: the container
 that holds the varying text outside page furniture, and the constant slots inside it
 that are template.  Extraction then reads every page through its host's wrapper.
+
+A slot's path is the 63-bit hash of its label and its parent's path, and every walk is a
+loop with its own stack, so that trees of any depth cost what their size says.
 """
 
 from __future__ import annotations
@@ -15,9 +18,11 @@ import html
 import json
 import re
 import zlib
+from collections import Counter
 from collections.abc import Iterator
 
 import pyarrow as pa
+import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -35,6 +40,8 @@ CLOSES_P = frozenset("address article aside blockquote center details dialog dir
 SIBLINGS = {"li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr", "td", "th"}, "td": {"td", "th"}, "th": {"td", "th"}, "option": {"option"}, "thead": {"thead", "tbody", "tfoot"}, "tbody": {"thead", "tbody", "tfoot"}}
 FENCES = {"li": {"ul", "ol", "menu"}, "dt": {"dl"}, "dd": {"dl"}, "tr": {"table"}, "td": {"table"}, "th": {"table"}}
 
+ENDS = {tag: re.compile(f"</{tag}", re.I | re.A) for tag in RAW}
+
 #: Words in class, id or role that mark page furniture.
 SIGNS = re.compile(
     r"(?:^|[\s_-])(?:ads?|advert\w*|sponsor\w*|promo\w*|banner|nav|navbar|navigation|menu|menubar|breadcrumbs?|sidebar|side-?bar|aside|complementary|footer|foot|contentinfo|masthead|topbar|"
@@ -44,11 +51,23 @@ SIGNS = re.compile(
 )
 
 
+def step(path: int, label: str) -> int:
+    """The path of a child; 0 is the root's."""
+    return xxhash.xxh3_64_intdigest(label.encode("utf-8", "surrogatepass"), path) >> 1
+
+
+def path_of(*labels: str) -> int:
+    path = 0
+    for label in labels:
+        path = step(path, label)
+    return path
+
+
 class Node:
-    __slots__ = ("label", "children", "furniture", "tag")
+    __slots__ = ("label", "children", "furniture", "tag", "main")
 
-    def __init__(self, tag: str, label: str, furniture: bool):
-        self.tag, self.label, self.furniture, self.children = tag, label, furniture, []
+    def __init__(self, tag: str, label: str, furniture: bool, main: bool):
+        self.tag, self.label, self.furniture, self.main, self.children = tag, label, furniture, main, []
 
 
 def attributes(text: str) -> tuple[str, bool]:
@@ -69,10 +88,25 @@ def attributes(text: str) -> tuple[str, bool]:
 
 def parse(page: str) -> Node:
     """A tolerant tree: unclosed paragraphs, list items and cells end where HTML says, stray end tags are passed over."""
-    root = Node("#root", "#root", False)
+    root = Node("#root", "#root", False, False)
     stack, at = [root], 0
-    lower = None
+    open_tags: Counter[str] = Counter()
     n = len(page)
+
+    def cut(k: int) -> None:
+        for node in stack[k:]:
+            open_tags[node.tag] -= 1
+        del stack[k:]
+
+    def close(tags: set[str], fences: set[str]) -> None:
+        if not any(open_tags[t] for t in tags):
+            return
+        for k in range(len(stack) - 1, 0, -1):
+            if stack[k].tag in tags:
+                return cut(k)
+            if stack[k].tag in fences:
+                return None
+
     while at < n:
         m = TOKEN.search(page, at)
         if m is None:
@@ -87,48 +121,39 @@ def parse(page: str) -> Node:
             continue
         tag = m[2].lower()
         if m[1]:
-            for k in range(len(stack) - 1, 0, -1):
+            for k in range(len(stack) - 1, 0, -1) if open_tags[tag] else ():
                 if stack[k].tag == tag:
-                    del stack[k:]
+                    cut(k)
                     break
                 if tag in INLINE and stack[k].tag not in INLINE:
                     break
             continue
         label, marked = attributes(m[3])
         if tag in CLOSES_P:
-            close(stack, {"p"}, {"table", "td", "th", "div", "article", "section", "main", "li", "blockquote"})
+            close({"p"}, {"table", "td", "th", "div", "article", "section", "main", "li", "blockquote"})
         if tag in SIBLINGS:
-            close(stack, SIBLINGS[tag], FENCES.get(tag, set()))
+            close(SIBLINGS[tag], FENCES.get(tag, set()))
         if tag == "body":
-            close(stack, {"head"}, set())
-        inside = any(s.tag in ("article", "main") for s in stack)
+            close({"head"}, set())
+        inside = stack[-1].main
         # A header or a title group inside the article is part of it.
-        node = Node(tag, tag + label, tag in FURNITURE or tag == "header" and not inside or marked and tag not in ("html", "body", "article", "main"))
+        node = Node(tag, tag + label, tag in FURNITURE or tag == "header" and not inside or marked and tag not in ("html", "body", "article", "main"), inside or tag in ("article", "main"))
         stack[-1].children.append(node)
         if tag in VOID or m[3].rstrip().endswith("/") and tag in RAW:
             continue
         if tag in RAW:
-            lower = page.lower() if lower is None else lower
-            end = lower.find(f"</{tag}", at)
-            if end < 0:
+            end = ENDS[tag].search(page, at)
+            if end is None:
                 at = n if tag in ("script", "style") else at
                 continue
-            stop = page.find(">", end)
+            stop = page.find(">", end.start())
             at = n if stop < 0 else stop + 1
             continue
         stack.append(node)
+        open_tags[tag] += 1
     return root
 
 
-def close(stack: list[Node], tags: set[str], fences: set[str]) -> None:
-    for k in range(len(stack) - 1, 0, -1):
-        if stack[k].tag in tags:
-            del stack[k:]
-            return
-        if stack[k].tag in fences:
-            return
-
-
 def squeezed(text: str) -> str:
     return " ".join(html.unescape(text).split())
 
@@ -144,31 +169,35 @@ class Slot:
 
 def collapse(nodes: list[Node]) -> list[Slot]:
     """Neighbouring siblings of one label become one slot, so alignment costs by kinds of siblings, not by their number."""
-    out: list[Slot] = []
-    groups: list[list[Node]] = []
-    for node in nodes:
-        if node.tag in RAW or node.tag in VOID:
-            continue
-        if out and out[-1].label == node.label:
-            groups[-1].append(node)
-            continue
-        out.append(Slot(node.label, node.furniture))
-        groups.append([node])
-    for slot, members in zip(out, groups):
-        inner: list[Node] = []
-        for node in members:
-            for child in node.children:
-                if isinstance(child, Node) and child.tag not in INLINE:
-                    inner.append(child)
-                else:
-                    text = child if isinstance(child, str) else inline_text(child)
-                    if text and not text.isspace():
-                        slot.digest = zlib.crc32(squeezed(text).encode("utf-8", "surrogatepass"), slot.digest)
-                        slot.chars += len(text)
-        # Children of all members are ordered by first occurrence, so that runs merge across members.
-        inner.sort(key=lambda c, first={}: first.setdefault(c.label, len(first)))
-        slot.children = collapse(inner)
-    return out
+    forest: list[Slot] = []
+    todo: list[tuple[list[Node], list[Slot]]] = [(nodes, forest)]
+    while todo:
+        siblings, out = todo.pop()
+        groups: list[list[Node]] = []
+        for node in siblings:
+            if node.tag in RAW or node.tag in VOID:
+                continue
+            if out and out[-1].label == node.label:
+                groups[-1].append(node)
+                continue
+            out.append(Slot(node.label, node.furniture))
+            groups.append([node])
+        for slot, members in zip(out, groups):
+            inner: list[Node] = []
+            for node in members:
+                for child in node.children:
+                    if isinstance(child, Node) and child.tag not in INLINE:
+                        inner.append(child)
+                    else:
+                        text = child if isinstance(child, str) else inline_text(child)
+                        if text and not text.isspace():
+                            slot.digest = zlib.crc32(squeezed(text).encode("utf-8", "surrogatepass"), slot.digest)
+                            slot.chars += len(text)
+            # Children of all members are ordered by first occurrence, so that runs merge across members.
+            first: dict[str, int] = {}
+            inner.sort(key=lambda c: first.setdefault(c.label, len(first)))
+            todo.append((inner, slot.children))
+    return forest
 
 
 def inline_text(node: Node) -> str:
@@ -185,91 +214,146 @@ def inline_text(node: Node) -> str:
 
 
 def align(a: list[Slot], b: list[Slot]) -> tuple[int, list[tuple[Slot, Slot]]]:
-    """Simple tree matching of two forests: the size of the best match and its pairs of nodes."""
-    n, m = len(a), len(b)
-    best = [[0] * (m + 1) for _ in range(n + 1)]
-    inner: dict[tuple[int, int], tuple[int, list]] = {}
-    for i in range(n):
-        for j in range(m):
-            score = 0
-            if a[i].label == b[j].label:
-                inner[i, j] = align(a[i].children, b[j].children)
-                score = 1 + inner[i, j][0]
-            best[i + 1][j + 1] = max(best[i][j + 1], best[i + 1][j], best[i][j] + score)
-    pairs, i, j = [], n, m
-    while i and j:
-        if (i - 1, j - 1) in inner and best[i][j] == best[i - 1][j - 1] + 1 + inner[i - 1, j - 1][0]:
-            pairs += [(a[i - 1], b[j - 1]), *inner[i - 1, j - 1][1]]
-            i, j = i - 1, j - 1
-        elif best[i][j] == best[i - 1][j]:
-            i -= 1
-        else:
-            j -= 1
-    return best[n][m], pairs
-
+    """Simple tree matching of two forests: the size of the best match and its pairs of nodes.
 
-def slots(forest: list[Slot], path: str = "", outside: bool = False) -> Iterator[tuple[str, Slot, bool]]:
-    for s in forest:
-        own = f"{path}/{s.label}"
-        yield own, s, outside or s.furniture
-        yield from slots(s.children, own, outside or s.furniture)
+    Pairs of forests are listed from the roots down and scored from the leaves up.
+    """
+    forests, inner = [(a, b)], []
+    for x, y in forests:  # grows as pairs of equal labels are met
+        below: dict[tuple[int, int], int] = {}
+        for i, s in enumerate(x):
+            for j, t in enumerate(y):
+                if s.label == t.label:
+                    below[i, j] = len(forests) if s.children and t.children else -1
+                    if s.children and t.children:
+                        forests.append((s.children, t.children))
+        inner.append(below)
+    scores, tables = [0] * len(forests), [None] * len(forests)
+    for k in range(len(forests) - 1, -1, -1):
+        x, y = forests[k]
+        n, m = len(x), len(y)
+        best = tables[k] = [[0] * (m + 1) for _ in range(n + 1)]
+        below = inner[k]
+        for i in range(n):
+            row, up = best[i + 1], best[i]
+            for j in range(m):
+                most = up[j + 1] if up[j + 1] >= row[j] else row[j]
+                if (at := below.get((i, j))) is not None:
+                    most = max(most, up[j] + 1 + (scores[at] if at >= 0 else 0))
+                row[j + 1] = most
+        scores[k] = best[n][m]
+    pairs, todo = [], [0]
+    while todo:
+        k = todo.pop()
+        x, y = forests[k]
+        best, below = tables[k], inner[k]
+        i, j = len(x), len(y)
+        while i and j:
+            at = below.get((i - 1, j - 1))
+            if at is not None and best[i][j] == best[i - 1][j - 1] + 1 + (scores[at] if at >= 0 else 0):
+                pairs.append((x[i - 1], y[j - 1]))
+                if at >= 0:
+                    todo.append(at)
+                i, j = i - 1, j - 1
+            elif best[i][j] == best[i - 1][j]:
+                i -= 1
+            else:
+                j -= 1
+    return scores[0], pairs
+
+
+def slots(forest: list[Slot]) -> Iterator[tuple[int, int, int, Slot, bool]]:
+    """(path, parent's path, depth, slot, whether it is or lies in furniture) of all slots, parents first."""
+    todo = [(s, 0, 1, False) for s in reversed(forest)]
+    while todo:
+        s, parent, depth, outside = todo.pop()
+        path, outside = step(parent, s.label), outside or s.furniture
+        yield path, parent, depth, s, outside
+        todo.extend((c, path, depth + 1, outside) for c in reversed(s.children))
 
 
 def packed(forest: list[Slot]) -> list:
-    return [[s.label, s.furniture, s.digest, s.chars, packed(s.children)] for s in forest]
+    """Slots in pre-order, each with its number of children."""
+    out = [len(forest)]
+    todo = forest[::-1]
+    while todo:
+        s = todo.pop()
+        out.append([s.label, s.furniture, s.digest, s.chars, len(s.children)])
+        todo.extend(reversed(s.children))
+    return out
 
 
 def unpacked(data: list) -> list[Slot]:
-    out = []
-    for label, furniture, digest, chars, children in data:
+    forest: list[Slot] = []
+    open_: list[tuple[list[Slot], int]] = [(forest, data[0])]
+    for label, furniture, digest, chars, children in data[1:]:
+        while len(open_[-1][0]) == open_[-1][1]:
+            open_.pop()
         s = Slot(label, furniture)
-        s.digest, s.chars, s.children = digest, chars, unpacked(children)
-        out.append(s)
-    return out
+        s.digest, s.chars = digest, chars
+        open_[-1][0].append(s)
+        open_.append((s.children, children))
+    return forest
+
+
+#: A slot's place (path, parent's path, depth, label, furniture) and what is counted there.
+Place = tuple[int, int, int, str, bool]
 
 
-def votes(page: list[Slot], other: list[Slot] | None) -> list[tuple[str, bool, int, int, int, int]]:
-    """(path, furniture, constant, varying, characters of varying and of constant text) of a page's text slots.
+def votes(page: list[Slot], other: list[Slot] | None) -> Iterator[tuple[Place, tuple[int, int, int, int]]]:
+    """Per slot: votes for constant and for varying, characters of varying and of constant text.
 
-    A page without another votes neither way; its text counts as varying.
+    A slot without text of its own votes neither way, nor does any of a page without another; its text counts as varying.
     """
-    if other is None:
-        return [(path, off, 0, 0, s.chars, 0) for path, s, off in slots(page) if s.chars]
-    same = {id(x) for x, y in align(page, other)[1] if x.digest == y.digest}
-    return [(path, off, 1, 0, 0, s.chars) if id(s) in same else (path, off, 0, 1, s.chars, 0) for path, s, off in slots(page) if s.chars]
+    same = set() if other is None else {id(x) for x, y in align(page, other)[1] if x.digest == y.digest}
+    for path, parent, depth, s, off in slots(page):
+        place = (path, parent, depth, s.label, off)
+        if not s.chars:
+            yield place, (0, 0, 0, 0)
+        elif id(s) in same:
+            yield place, (1, 0, 0, s.chars)
+        else:
+            yield place, (0, int(other is not None), s.chars, 0)
 
 
-def container(rows: list[tuple[str, bool, int, int, int, int]], share: float = 0.9) -> str:
-    """The outermost article or main around the share of all varying text outside furniture; without one, the deepest path that holds all of it."""
-    mass: dict[str, int] = {}
+def container(rows: list[tuple]) -> int:
+    """The path of the outermost article or main around nine tenths of all varying text outside furniture; without one,
+    of the deepest element that holds all of it.  ``rows`` holds a place and its four counts flat.
+    """
+    place: dict[int, tuple[int, int, str]] = {}
+    mass: dict[int, int] = {}
     total = 0
-    for path, off, _, _, chars, _ in rows:
-        if off or not chars:
-            continue
-        total += chars
-        at = path.find("/", 1)
-        while at > 0:
-            mass[path[:at]] = mass.get(path[:at], 0) + chars
-            at = path.find("/", at + 1)
-        mass[path] = mass.get(path, 0) + chars
-    def deepest(least: float) -> str:
-        return max((p for p, c in mass.items() if c >= least), key=lambda p: p.count("/"), default="")
-
-    parts = deepest(share * total).split("/")
-    for k, label in enumerate(parts):
-        if label.split(".")[0] in ("article", "main"):
-            return "/".join(parts[: k + 1])
-    best = deepest(total)
+    for path, parent, depth, label, off, _, _, chars, _ in rows:
+        place[path] = (parent, depth, label)
+        if chars and not off:
+            mass[path] = mass.get(path, 0) + chars
+            total += chars
+    for path in sorted(place, key=lambda p: -place[p][1]):
+        if path in mass and place[path][0]:
+            mass[place[path][0]] = mass.get(place[path][0], 0) + mass[path]
+
+    def deepest(least: float) -> int:
+        return max((p for p, c in mass.items() if c >= least), key=lambda p: (place[p][1], p), default=0)
+
+    def tag(path: int) -> str:
+        return place[path][2].split(".")[0]
+
+    at, outermost = deepest(0.9 * total), 0
+    while at:
+        outermost = at if tag(at) in ("article", "main") else outermost
+        at = place[at][0]
+    best = outermost or deepest(total)
     # A slot of blocks belongs to the element around it.
-    while best and best.rsplit("/", 1)[1].split(".")[0] not in ("article", "main", "section", "div", "body", "td", "html"):
-        best = best.rsplit("/", 1)[0]
+    while best and tag(best) not in ("article", "main", "section", "div", "body", "td", "html"):
+        best = place[best][0]
     return best
 
 
-def blocks(node: Node, path: str, template: frozenset[str], out: list[str]) -> None:
+def blocks(node: Node, path: int, template: frozenset[int], out: list[str]) -> None:
     """Appends the texts of a container's blocks in page order.  Of a template slot its own text is left out, not the blocks in it."""
     todo: list = [(node, path, False)]
     text: list[str] = []
+    below = step if template else lambda at, label: 0
 
     def flush() -> None:
         joined = squeezed("".join(text))
@@ -292,7 +376,7 @@ def blocks(node: Node, path: str, template: frozenset[str], out: list[str]) -> N
             continue
         if x is not node and at in template:
             flush()
-            todo.extend((c, f"{at}/{c.label}", False) for c in reversed(x.children) if isinstance(c, Node) and c.tag not in INLINE)
+            todo.extend((c, below(at, c.label), False) for c in reversed(x.children) if isinstance(c, Node) and c.tag not in INLINE)
             continue
         if x.tag == "br":
             text.append(" ")
@@ -300,19 +384,19 @@ def blocks(node: Node, path: str, template: frozenset[str], out: list[str]) -> N
         if block:
             flush()
             todo.append((x, at, True))
-        todo.extend((c, f"{at}/{c.label}" if isinstance(c, Node) else at, False) for c in reversed(x.children))
+        todo.extend((c, below(at, c.label) if isinstance(c, Node) else at, False) for c in reversed(x.children))
     flush()
 
 
-def extract(page: str | None, where: str = "", template: frozenset[str] = frozenset()) -> str:
+def extract(page: str | None, where: int = 0, template: frozenset[int] = frozenset()) -> str:
     """Main text of one page.  Where the wrapper's container is missing, the page's own outermost articles and mains or its body stand in."""
     if not page:
         return ""
     root = parse(page)
-    found: list[tuple[Node, str]] = []
-    own: list[tuple[Node, str]] = []
+    found: list[tuple[Node, int]] = []
+    own: list[tuple[Node, int]] = []
     named = {"article": own, "main": own, "body": []}
-    todo: list[tuple[Node, str]] = [(root, "")]
+    todo: list[tuple[Node, int]] = [(root, 0)]
     while todo:
         x, at = todo.pop()
         if where and at == where:
@@ -320,11 +404,17 @@ def extract(page: str | None, where: str = "", template: frozenset[str] = frozen
             continue
         if x.tag in named:
             named[x.tag].append((x, at))
-        todo.extend((c, f"{at}/{c.label}") for c in reversed(x.children) if isinstance(c, Node) and not c.furniture)
+        todo.extend((c, step(at, c.label)) for c in reversed(x.children) if isinstance(c, Node) and not c.furniture)
     if not found:
-        found = next((v for v in named.values() if v), [(root, "")])
-        inner = {id(y) for x, _ in found for y in _descendants(x)}
-        found = [f for f in found if id(f[0]) not in inner]
+        found = next((v for v in named.values() if v), [(root, 0)])
+        # In page order, so the elements inside one come behind it and are passed over.
+        inner: set[int] = set()
+        outer = []
+        for x, at in found:
+            if id(x) not in inner:
+                outer.append((x, at))
+                inner.update(map(id, _descendants(x)))
+        found = outer
     out: list[str] = []
     for x, at in found:
         blocks(x, at, template, out)
@@ -339,6 +429,10 @@ def _descendants(node: Node) -> Iterator[Node]:
         todo.extend(c for c in x.children if isinstance(c, Node))
 
 
+def skeleton_of(page: str | None) -> list[Slot]:
+    return collapse([c for c in parse(page or "").children if isinstance(c, Node)])
+
+
 def host_of(url):
     return F.lower(F.coalesce(F.regexp_extract(url, r"^(?:[a-zA-Z][a-zA-Z0-9+.-]*:)?//(?:[^/?#@]*@)?([^/?#:]*)", 1), F.lit("")))
 
@@ -356,33 +450,43 @@ def induce(pages: DataFrame, salts: int = 64, constant_share: float = 0.8, least
         for batch in batches:
             for i in range(0, batch.num_rows, 256):
                 part = batch.slice(i, 256)
-                rows = [json.dumps(packed(collapse([c for c in parse(h or "").children if isinstance(c, Node)])), separators=(",", ":")) for h in part.column(3).to_pylist()]
+                rows = [json.dumps(packed(skeleton_of(h)), separators=(",", ":")) for h in part.column(3).to_pylist()]
                 yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), part.column(2), pa.array(rows, pa.string())], ["host", "salt", "key", "skeleton"])
 
-    def counted(out: list[tuple]) -> pa.RecordBatch:
-        cols = list(zip(*out)) or [()] * 7
-        kinds = [pa.string(), pa.string(), pa.bool_(), *[pa.int64()] * 4]
-        return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds)], ["host", "path", "furniture", "constant", "varying", "chars", "same_chars"])
+    names = ["host", "path", "parent", "depth", "label", "furniture", "constant", "varying", "chars", "same_chars"]
+
+    def counted(cast: dict[tuple, list[int]]) -> pa.RecordBatch:
+        cols = list(zip(*((host, *place, *counts) for (host, place), counts in cast.items()))) or [()] * 10
+        kinds = [pa.string(), pa.int64(), pa.int64(), pa.int32(), pa.string(), pa.bool_(), *[pa.int64()] * 4]
+        return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds)], names)
+
+    def add(cast: dict[tuple, list[int]], host: str, page: list[Slot], other: list[Slot] | None) -> None:
+        for place, counts in votes(page, other):
+            now = cast.setdefault((host, place), [0, 0, 0, 0])
+            for k, c in enumerate(counts):
+                now[k] += c
 
     def pairwise(batches: Iterator[pa.RecordBatch]):
         before: tuple | None = None
         for batch in batches:
-            out: list[tuple] = []
-            for host, salt, text in zip(*(batch.column(c).to_pylist() for c in ("host", "salt", "skeleton"))):
-                page = unpacked(json.loads(text))
-                if before is not None and before[:2] == (host, salt):
-                    out += [(host, *v) for v in votes(page, before[2])]
-                before = (host, salt, page)
-            yield counted(out)
+            for i in range(0, batch.num_rows, 256):
+                part = batch.slice(i, 256)
+                cast: dict[tuple, list[int]] = {}
+                for host, salt, text in zip(*(part.column(c).to_pylist() for c in ("host", "salt", "skeleton"))):
+                    page = unpacked(json.loads(text))
+                    if before is not None and before[:2] == (host, salt):
+                        add(cast, host, page, before[2])
+                    before = (host, salt, page)
+                yield counted(cast)
 
     def across(batches: Iterator[pa.RecordBatch]):
         for batch in batches:
             for i in range(0, batch.num_rows, 256):
                 part = batch.slice(i, 256)
-                out: list[tuple] = []
+                cast: dict[tuple, list[int]] = {}
                 for host, text, before in zip(*(part.column(c).to_pylist() for c in ("host", "first", "before"))):
-                    out += [(host, *v) for v in votes(unpacked(json.loads(text)), None if before is None else unpacked(json.loads(before)))]
-                yield counted(out)
+                    add(cast, host, unpacked(json.loads(text)), None if before is None else unpacked(json.loads(before)))
+                yield counted(cast)
 
     key = F.xxhash64("page_id", "url")
     rows = pages.select(host_of(F.col("url")).alias("host"), F.pmod(key, F.lit(salts)).cast("int").alias("salt"), key.alias("key"), F.col("html"))
@@ -395,22 +499,28 @@ def induce(pages: DataFrame, salts: int = 64, constant_share: float = 0.8, least
     around = by_host.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
     ends = ends.withColumn("before", F.coalesce(F.lag("last").over(by_host), F.last("last").over(around)))
     ends = ends.select("host", F.col("first.skeleton").alias("first"), F.when(F.col("before") != F.col("first"), F.col("before.skeleton")).alias("before"))
-    schema = "host string, path string, furniture boolean, constant long, varying long, chars long, same_chars long"
+    schema = "host string, path long, parent long, depth int, label string, furniture boolean, constant long, varying long, chars long, same_chars long"
     cast = dealt.mapInArrow(pairwise, schema).unionByName(ends.mapInArrow(across, schema))
-    cast = cast.groupBy("host", "path", "furniture").agg(*[F.sum(c).alias(c) for c in ("constant", "varying", "chars", "same_chars")])
+    cast = cast.groupBy(*names[:6]).agg(*[F.sum(c).alias(c) for c in names[6:]])
 
     def decide(frame):
-        rows = list(frame[["path", "furniture", "constant", "varying", "chars", "same_chars"]].itertuples(index=False, name=None))
+        rows = list(frame[names[1:]].itertuples(index=False, name=None))
         where = container(rows)
-        held = [r for r in rows if not r[1] and r[0].startswith(f"{where}/")]
-        inside = [p for p, _, c, v, _, _ in held if c + v >= least_pages and c >= constant_share * (c + v)]
-        constant, varying, chars, same_chars = (sum(r[k] for r in held) for k in (2, 3, 4, 5))
+        # Parents come before their children.
+        within, held = {where}, []
+        for r in sorted(rows, key=lambda r: r[2]):
+            if r[1] in within and r[0] != where:
+                within.add(r[0])
+                if not r[4]:
+                    held.append(r)
+        inside = [r[0] for r in held if r[5] + r[6] >= least_pages and r[5] >= constant_share * (r[5] + r[6])]
+        constant, varying, chars, same_chars = (sum(r[k] for r in held) for k in (5, 6, 7, 8))
         if constant > varying and same_chars > chars:
             inside = []  # mostly copies of one page: constancy says nothing about the template
         return frame.iloc[:1][["host"]].assign(container=where, template=[sorted(inside)])
 
     # A group is one host's distinct slots, not its pages.
-    return stored(cast.groupBy("host").applyInPandas(decide, "host string, container string, template array<string>"), "wrappers")
+    return stored(cast.groupBy("host").applyInPandas(decide, "host string, container long, template array<long>"), "wrappers")
 
 
 #: Hosts up to which the wrappers are broadcast (a path and a few slots each); beyond, they are joined by shuffling.
@@ -420,7 +530,7 @@ BROADCAST_HOSTS = 200_000
 def main_text(pages: DataFrame, wrappers: DataFrame | None = None) -> DataFrame:
     """page_id, url, text, n_chars of every row.
 
-    Null or empty html gives the empty text.  Pages without a usable url share
+    Null or empty html gives the empty text; pages may be nested to any depth.  Pages without a usable url share
     one wrapper; a host's lone page is its own sample.  Rows that repeat a page are extracted alike.
     """
     wrappers = induce(pages) if wrappers is None else wrappers
@@ -431,7 +541,7 @@ def main_text(pages: DataFrame, wrappers: DataFrame | None = None) -> DataFrame:
         for batch in batches:
             for i in range(0, batch.num_rows, 256):
                 part = batch.slice(i, 256)
-                texts = [extract(h, w or "", frozenset(t or ())) for h, w, t in zip(*(part.column(c).to_pylist() for c in ("html", "container", "template")))]
+                texts = [extract(h, w or 0, frozenset(() if t is None else t)) for h, w, t in zip(*(part.column(c).to_pylist() for c in ("html", "container", "template")))]
                 yield pa.RecordBatch.from_arrays([part.column("page_id"), part.column("url"), pa.array(texts, pa.string()), pa.array(map(len, texts), pa.int64())], ["page_id", "url", "text", "n_chars"])
 
     rows = pages.select(F.col("page_id").cast("long").alias("page_id"), "url", "html", host_of(F.col("url")).alias("host"))

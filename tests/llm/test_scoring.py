@@ -55,7 +55,7 @@ def test_quality_held_out_accuracy(spark, small):
 def test_quality_edges(spark, small):
     docs, labels = (spark.read.parquet(f"{small}/{t}.parquet") for t in ("documents", "labels"))
     model = quality.fit(quality.prepared(docs), labels)
-    assert model is not None and 0 < model.cut <= 0.5 and len(model.rounds) == 3
+    assert model is not None and 0.05 <= model.cut <= 0.5 and 1 <= len(model.rounds) <= 3
     assert quality.score(edge(spark), model).count() == len(EDGE)
     assert quality.keep_good(edge(spark), labels.where("quality = 1")).count() == len(EDGE)
     assert quality.score(edge(spark), None).where("kept").count() == len(EDGE)
@@ -70,9 +70,49 @@ def test_quality_learns_from_all_documents(spark, small):
     docs, labels = (spark.read.parquet(f"{small.replace('0.001', '0.01')}/{t}.parquet") for t in ("documents", "labels"))
     more = docs.withColumn("copy", F.explode(F.sequence(F.lit(0), F.lit(5)))).withColumn("doc_id", F.col("doc_id") + F.col("copy") * 10**8)
     model = quality.fit(quality.prepared(more), labels)
-    assert all(n > 5 * docs.count() * 0.7 > 3000 for n in model.rounds[-1])
+    assert model.rounds[-1][0] > 5 * docs.count() * 0.5 > 2000
     again = quality.fit(quality.prepared(more.repartition(3, "doc_id")), labels)
-    assert again.rounds == model.rounds and abs(again.cut - model.cut) < 1e-6 and abs(again.content - model.content).max() < 1e-4
+    assert again.rounds == model.rounds and abs(again.cut - model.cut) < 1e-6 and abs(again.weights.grams - model.weights.grams).max() < 1e-4
+
+
+def made(rnd, n, first=0):
+    """Documents whose source and whose words both tell their class, mostly and independently."""
+    rows = []
+    for i in range(first, first + n):
+        good = rnd.random() < 0.6
+        words = rnd.choices(["river", "house", "green", "walk"] if (rnd.random() < 0.9) == good else ["zzxq", "$$$", "qqj", "##"], k=40)
+        rows.append((i, " ".join(words + rnd.choices("abcdefgh", k=10)), "en", rnd.choice("abc" if (rnd.random() < 0.97) == good else "xyz"), 300, int(good)))
+    return rows
+
+
+def test_views_are_separate_and_teach_each_other(spark):
+    rnd = random.Random(11)
+    rows = made(rnd, 3000)
+    docs = spark.createDataFrame([r[:5] for r in rows], DOCS)
+    labels = spark.createDataFrame([(r[0], r[5]) for r in rows[:600]], "doc_id long, quality int")
+    model = quality.fit(quality.prepared(docs), labels, sure=0.9)
+    assert all(n > 900 for pair in model.rounds for n in pair)
+    texts, fields = [r[1] for r in rows], [(r[3], r[2], r[4]) for r in rows]
+    y = np.array([r[5] for r in rows[600:]])
+
+    def auc(p):
+        order = np.argsort(np.argsort(p[600:]))
+        return (order[y == 1].mean() - (y.sum() - 1) / 2) / (len(y) - y.sum())
+
+    a, b, joint = model.score(texts, fields)
+    assert auc(a) > 0.8 and auc(b) > 0.9 and auc(joint) > max(auc(a), auc(b))
+    assert np.array_equal(model.score(texts, [("a", "en", 300)] * len(rows))[0], a)  # content does not see fields
+    assert np.array_equal(model.score(["other"] * len(rows), fields)[1], b)  # metadata does not see text
+
+
+def test_cut_stands_flipped_labels(spark, small):
+    docs, labels = (spark.read.parquet(f"{small.replace('0.001', '0.1')}/{t}.parquet") for t in ("documents", "labels"))
+    flipped = labels.withColumn("quality", F.when(F.pmod(F.xxhash64("doc_id", F.lit(1)), F.lit(200)) == 0, 1 - F.col("quality")).otherwise(F.col("quality")))
+    straight, odd = (quality.classify(docs, x).select("doc_id", "kept") for x in (labels, flipped))
+    both = labels.join(straight, "doc_id").join(odd.withColumnRenamed("kept", "odd"), "doc_id")
+    bad, good = both.where("quality = 0"), both.where("quality = 1")
+    assert bad.where("not kept").count() >= 0.9 * bad.count() and bad.where("not odd").count() >= 0.85 * bad.count()
+    assert good.where("odd").count() >= 0.99 * good.count()
 
 
 def test_pool_counts_add_up(spark, small):
@@ -81,12 +121,13 @@ def test_pool_counts_add_up(spark, small):
     known, rest = np.array(ids[::4]), spark.createDataFrame([(i,) for k, i in enumerate(ids) if k % 4], "doc_id long")
     s = quality.sample_features(docs, rest)
     rnd = np.random.default_rng(3)
-    content, meta = rnd.normal(size=quality.DIMS), rnd.normal(size=quality.META_DIMS)
-    cal = np.array([3.0, 0.0])
-    got = quality.pool_counts(docs.repartition(5), known, content, meta, cal, cal, 0.6)
-    for_meta, for_content = (quality.classes_of(quality.prob(cal, x), 0.6) for x in (s.content_score(content), meta[s.meta].sum(axis=1)))
-    assert got.n_meta.min() > 0 and np.allclose(got.content, s.counts(for_content).content, atol=1e-4)
-    assert (got.meta == s.counts(for_meta).meta).all() and (got.n_content == [(for_content == k).sum() for k in (0, 1)]).all()
+    w = quality.Weights(*(rnd.normal(size=n) for n in (quality.DIMS, quality.SLOTS, quality.SLOTS)))
+    content_cal, meta_cal = np.array([3.0, 0.1, 0.0]), np.array([0.5, 0.0])
+    got = quality.pool_counts(docs.repartition(5), known, w, content_cal, meta_cal, 0.6)
+    a, b = s.scores(w)
+    want = s.counts(quality.classes_of(quality.prob(meta_cal, b), 0.6), quality.classes_of(quality.prob(content_cal, a), 0.6))
+    assert got.n_meta.min() > 0 < got.n_content.min() and np.allclose(got.grams, want.grams, atol=1e-4)
+    assert (got.meta == want.meta).all() and (got.layout == want.layout).all() and (got.n_content == want.n_content).all() and (got.n_meta == want.n_meta).all()
 
 
 def test_fingerprints():
@@ -140,7 +181,7 @@ def test_main_text(spark):
 NOTED = "<html><body><article><h1>Head {i}</h1><p>Text of page {i} in its own words</p><p class=tag>Always the same words</p><div class=note>Kept by us<p>Inner part {i}</p></div></article></body></html>"
 
 
-@pytest.mark.parametrize("n", [8, 30, 300])
+@pytest.mark.parametrize("n", [8, 10, 40, 600])
 def test_template_of_small_hosts(spark, n):
     rows = [(i, f"https://n.example.com/{i}", NOTED.format(i=i)) for i in range(n)]
     rows += [(1000 + i, f"https://copies.example.com/{i}", NOTED.format(i=0)) for i in range(n)] + [(2000, "https://lone.example.com", NOTED.format(i=0))]
@@ -164,7 +205,36 @@ def test_short_parts_beside_the_long_one(spark, kind):
     got = {r.page_id: r.text for r in wrapper.main_text(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
     assert all(got[i] == f"Head {i}\n{long[i]}" + f"\nNote {i}" * (kind != "title") for i in long)
     body = SPLIT["main"].format(i=1, long="x")
-    assert wrapper.extract(body, "/body/div.gone") == "Head 1\nx\nNote 1"
+    assert wrapper.extract(body, wrapper.path_of("body", "div.gone")) == "Head 1\nx\nNote 1"
+
+
+def test_pages_without_semantic_tags(spark):
+    page = "<html><body><div class=x1><div>Site</div></div><div class=x2><h1>Head {i}</h1><p>Text {i} {i}<p>more {i}</p><p class=x3>Same on all pages</p></div><div class=x4>Part of page {i} only</div><div class=footer>Foot {i}</div></body></html>"
+    rows = [(i, f"https://d.example.com/{i}", page.format(i=i)) for i in range(40)]
+    got = {r.page_id: r.text for r in wrapper.main_text(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    assert all(got[i] == f"Head {i}\nText {i} {i}\nmore {i}\nPart of page {i} only" for i in range(40))
+
+
+def test_deep_pages(spark):
+    n = 20_000
+    deep = {
+        1: "<div>" * n + "inmost" + "</div>" * n,
+        2: "".join(f"<div>t{k % 7}" for k in range(n)),
+        3: "<ul><li>" * n + "x",
+        4: "<b>" * n + "bold",
+        5: "<div><p>" * n + "</i>" * n + "end",
+    }
+    rows = [(k, f"https://deep.example.com/{k}", t) for k, t in deep.items()] + [(9, "https://deep.example.com/9", "<div>" * n + "other" + "</div>" * n)]
+    got = {r.page_id: r.text for r in wrapper.main_text(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    assert got[1] == "inmost" and got[9] == "other" and got[4] == "bold" and got[5] == "end" and got[3] == "x"
+    assert got[2].split("\n") == [f"t{k % 7}" for k in range(n)]
+
+
+def test_skeletons_survive_packing():
+    for h in ("", "<p>a", "<div><p>a<ul><li>b</ul></div><div class=c>d</div><h1>e</h1>", "<div>" * 3000 + "x"):
+        tree = wrapper.skeleton_of(h)
+        shown = lambda t: [(p, q, d, s.label, s.digest, s.chars, off) for p, q, d, s, off in wrapper.slots(t)]
+        assert shown(wrapper.unpacked(wrapper.packed(tree))) == shown(tree)
 
 
 def test_alignment_counts_the_largest_match():
