@@ -260,7 +260,7 @@ class OpenWord:
 
 
 class ChunkIds(dict):
-    """Ids (little-endian 32-bit) by blank-free stretch of normal text; bounded, filled on demand."""
+    """Ids (little-endian 32-bit) by closed stretch of normal text; bounded, filled on demand.  Ids stand for themselves."""
 
     LIMIT, LONG = 800_000, 64
 
@@ -268,7 +268,9 @@ class ChunkIds(dict):
         super().__init__()
         self.encode = encode
 
-    def __missing__(self, chunk: str) -> bytes:
+    def __missing__(self, chunk: str | bytes) -> bytes:
+        if isinstance(chunk, bytes):
+            return chunk
         ids = packed(self.encode(chunk))
         if len(chunk) <= self.LONG:
             if len(self) >= self.LIMIT:
@@ -288,6 +290,10 @@ class WordEncoder:
     change; ``finish`` returns the rest.  What is held between calls is bounded by
     ``window`` characters plus the lookahead, except for a run of punctuation
     marks without a letter or a blank in it, which is one pre-token and is held whole.
+
+    Every text takes one way.  ``feed`` reads characters and lets go of what is stable: stretches closed by
+    a blank, and ids of a word that is still open but is longer than the lookahead.  ``ids_of``
+    then puts the ids of closed stretches in; the memo is its cache, filled in batches.
     """
 
     #: Fixed value: the pre-token pattern of the vocabulary.
@@ -313,15 +319,12 @@ class WordEncoder:
         return [i for w in self.words(text) for i in self.word(w)]
 
     def word(self, word: str) -> list[int]:
-        syms = symbols(word)
-        if len(syms) <= 512:
-            return self.rules.word_ids(syms)
         stream = OpenWord(self.rules)
-        return stream.push(syms) + stream.close()
+        return stream.push(symbols(word)) + stream.close()
 
-    def learn(self, new: set[str]) -> None:
+    def learn(self, new: set[str | bytes]) -> None:
         """Adds many short stretches to the memo with one pass of the pattern and one of the merges."""
-        order = [c for c in new if len(c) <= ChunkIds.LONG]
+        order = [c for c in new if isinstance(c, str) and len(c) <= ChunkIds.LONG]
         if len(order) < 64:
             return
         if len(self.memo) + len(order) > ChunkIds.LIMIT:
@@ -335,18 +338,22 @@ class WordEncoder:
         self.memo.update(zip(order, [raw[a:b] for a, b in zip(cut, cut[1:])]))
 
     def encode_many(self, texts: list[str]) -> Iterator[Iterator[np.ndarray]]:
-        """Each text's ids in portions; what the texts have in common is looked up once."""
-        split: list[list[str] | None] = []
-        new: set[str] = set()
+        """Each text's ids in portions.  What many short texts let go of is looked up together; longer ones stream one by one."""
+        fed: list[list[str | bytes] | None] = []
+        new: set[str | bytes] = set()
         for text in texts:
-            plain = len(text) < self.window and "<|" not in text and not self.odd(text)
-            split.append(self.normal(text).split() if plain else None)
-            if plain:
-                new.update(split[-1])
+            fed.append(self.feed(text) + self.end() if len(text) < self.window else None)
+            new.update(fed[-1] or ())
         self.learn(new.difference(self.memo))
-        get = self.memo.__getitem__
-        for text, chunks in zip(texts, split):
-            yield self.encode(text) if chunks is None else iter((np.frombuffer(b"".join(map(get, chunks)), "<u4"),))
+        for text, items in zip(texts, fed):
+            yield self.encode(text) if items is None else iter((self.joined(items),))
+
+    def joined(self, items: list[str | bytes]) -> np.ndarray:
+        return np.frombuffer(b"".join(map(self.memo.__getitem__, items)), "<u4")
+
+    def ids_of(self, items: list[str | bytes]) -> np.ndarray:
+        self.learn(set(items).difference(self.memo))
+        return self.joined(items)
 
     @staticmethod
     def normal(text: str) -> str:
@@ -354,15 +361,15 @@ class WordEncoder:
             text = unicodedata.normalize("NFC", text).replace("Σ", "σ")
         return text.lower()
 
-    def plain(self, norm: str, out: list[bytes]) -> None:
-        """Encodes normal text without special strings; blanks always part pre-tokens."""
+    def plain(self, norm: str, out: list[str | bytes]) -> None:
+        """Closed stretches of normal text without special strings; blanks always part pre-tokens."""
         if self.odd(norm):
             out.append(packed(self.chunk(norm)))
         else:
-            out.extend(map(self.memo.__getitem__, norm.split()))
+            out += norm.split()
 
-    def closed(self, text: str, out: list[bytes]) -> None:
-        """Encodes a stretch that ends where a pre-token ends."""
+    def closed(self, text: str, out: list[str | bytes]) -> None:
+        """Lets go of a stretch that ends where a pre-token ends."""
         parts = self.specials.split(text) if self.specials is not None and "<|" in text else [text]
         for part in parts:
             special = self.rules.special.get(part)
@@ -379,11 +386,12 @@ class WordEncoder:
             elif norm:
                 self.plain(norm, out)
 
-    def push(self, text: str) -> np.ndarray:
+    def feed(self, text: str) -> list[str | bytes]:
+        """Reads text; returns what has become stable, closed stretches and ids."""
         self.pending += text
-        out: list[bytes] = []
+        out: list[str | bytes] = []
         if len(self.pending) < self.window:
-            return np.empty(0, "<u4")
+            return out
         held = self.pending
         if m := self.blank.search(held) or self._turn(held):
             self.pending = held[m.start() :]
@@ -392,7 +400,17 @@ class WordEncoder:
             self.open = self.open or OpenWord(self.rules)
             out.append(packed(self.open.push(symbols(self.normal(held[:at])))))
             self.pending = held[at:]
-        return np.frombuffer(b"".join(out), "<u4")
+        return out
+
+    def end(self) -> list[str | bytes]:
+        """The end of the text: what is held is stable."""
+        out: list[str | bytes] = []
+        held, self.pending = self.pending, ""
+        self.closed(held, out)
+        return out
+
+    def push(self, text: str) -> np.ndarray:
+        return self.ids_of(self.feed(text))
 
     def _turn(self, held: str) -> regex.Match | None:
         """The last place behind a letter and before an ASCII mark or digit, outside special strings."""
@@ -404,16 +422,13 @@ class WordEncoder:
     def _inside(self, held: str) -> int:
         """A place inside a run of letters over which nothing composes; 0 if there is none."""
         for at in range(len(held) - 1, max(1, len(held) - 64), -1):
-            a, b = held[at - 1], held[at]
+            a, b = held[max(0, at - 4) : at], held[at]  # more than one character, as a final jamo composes with the two before it
             if not unicodedata.combining(b) and unicodedata.normalize("NFC", a + b) == unicodedata.normalize("NFC", a) + unicodedata.normalize("NFC", b):
                 return at
         return 0
 
     def finish(self) -> np.ndarray:
-        out: list[bytes] = []
-        held, self.pending = self.pending, ""
-        self.closed(held, out)
-        return np.frombuffer(b"".join(out), "<u4")
+        return self.ids_of(self.end())
 
     def encode(self, text: str) -> Iterator[np.ndarray]:
         """Ids of a whole text in bounded portions."""

@@ -34,7 +34,7 @@ def flat(parts):
     return [i for p in parts for i in np.asarray(p).tolist()]
 
 
-@pytest.mark.parametrize("window", [7, 40, 1 << 16])
+@pytest.mark.parametrize("window", [1, 7, 40, 1000, 1 << 16])
 def test_word_encoder(texts, rules, window):
     lib, enc = Tokenizer.from_file(WORDS), WordEncoder(rules, window)
     long = ["the" * 3000, "ab" * 40000, "中" * 40000, "x!" * 20000, "!" * 5000]
@@ -45,6 +45,20 @@ def test_word_encoder(texts, rules, window):
     assert rules.proper and rules.lookahead < 2000
 
 
+def test_every_text_goes_through_the_transducer(texts, rules, monkeypatch):
+    fed, opened = [], []
+    feed, push = WordEncoder.feed, OpenWord.push
+    monkeypatch.setattr(WordEncoder, "feed", lambda self, text: fed.append(text) or feed(self, text))
+    monkeypatch.setattr(OpenWord, "push", lambda self, syms: opened.append(syms) or push(self, syms))
+    lib, enc = Tokenizer.from_file(WORDS), WordEncoder(rules)
+    some = [*texts[:40], "the " * 40000]
+    got = [flat(p) for p in enc.encode_many(some)]
+    assert "".join(fed) == "".join(some) and got == [lib.encode(t, add_special_tokens=False).ids for t in some]
+    monkeypatch.setattr(WordEncoder, "learn", lambda self, new: None)  # without the batches every word is a stream of its own
+    bare = WordEncoder(rules)
+    assert [flat(p) for p in bare.encode_many(some)] == got and len(opened) > 100
+
+
 def test_lookahead_is_enough(rules):
     rnd = random.Random(6)
     for _ in range(30):
