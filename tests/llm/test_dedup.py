@@ -129,6 +129,40 @@ def test_near_classes(spark):
     assert near_dedup.classes(docs(spark, [])).collect() == []
 
 
+def test_near_hot_group(spark, monkeypatch):
+    """One group has most rows, copies and near copies, and its nodes are in blocks and pieces of a few."""
+    monkeypatch.setattr(near_dedup, "BLOCK", 8)
+    monkeypatch.setattr(near_dedup, "STAR", 4)
+    rnd = random.Random(9)
+    words, base = [f"w{i}" for i in range(500)], [f"b{i}" for i in range(100)]
+    rows = []
+    for n in range(150):
+        w = list(base)
+        for _ in range(rnd.choice([0, 1, 2, 3, 4, 6, 9, 14])):
+            w[rnd.randrange(100)] = rnd.choice(words)
+        rows.append((n if n % 3 else None, " ".join(w)))
+    rows += [(1000 + n, " ".join(base)) for n in range(60)] + [(2000 + n, " ".join(rnd.choices(words, k=30))) for n in range(20)]
+    got = sorted((tuple(r) for r in near_dedup.classes(docs(spark, rows)).collect()), key=repr)
+    assert got == brute_classes(rows)
+
+
+def test_recall_at_the_threshold():
+    """Share of pairs with a similarity of 0.8 to 0.82 that meet in a band."""
+    rnd = random.Random(21)
+    met = pairs = 0
+    while pairs < 400:
+        a = [f"r{rnd.randrange(10**9)}" for _ in range(200)]
+        b = list(a)
+        for _ in range(rnd.randint(3, 5)):
+            b[rnd.randrange(200)] = "x"
+        owner, hashes, weights, _ = bag.shingles([" ".join(a), " ".join(b)])
+        x, y = set(hashes[owner == 0].tolist()), set(hashes[owner == 1].tolist())
+        if 0.8 <= len(x & y) / len(x | y) <= 0.82:
+            bands = bag.bands(bag.signatures(2, owner, hashes, weights, 6 * 32), 6)
+            met, pairs = met + bool((bands[0] == bands[1]).any()), pairs + 1
+    assert met / pairs >= 0.98
+
+
 def test_near_dedup_keeps_columns(spark):
     text = " ".join(f"w{i}" for i in range(60))
     kept = near_dedup.dedup(docs(spark, [(1, text), (2, text + " more"), (3, "other words altogether in this one")]))
