@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from functools import reduce
+from collections.abc import Callable
 
 from pyspark.sql import Column
 from pyspark.sql import functions as F
@@ -41,9 +41,16 @@ def positions(mask: Column) -> Column:
     return F.filter(F.sequence(F.lit(0), F.lit(WORD - 1)), lambda i: F.getbit(mask, i) == 1)
 
 
+def balanced(merge: Callable[[Column, Column], Column], parts: list[Column]) -> Column:
+    """A tree as deep as the logarithm of the parts: long lists do not exhaust the planner's stack."""
+    while len(parts) > 1:
+        parts = [merge(*parts[i : i + 2]) if i + 1 < len(parts) else parts[i] for i in range(0, len(parts), 2)]
+    return parts[0]
+
+
 def any_of(masks: list[Column]) -> Column:
-    return reduce(lambda a, b: a.bitwiseOR(b), masks) if masks else lit(NONE)
+    return balanced(lambda a, b: a.bitwiseOR(b), masks) if masks else lit(NONE)
 
 
 def all_of(masks: list[Column]) -> Column:
-    return reduce(lambda a, b: a.bitwiseAND(b), masks) if masks else lit(ALL)
+    return balanced(lambda a, b: a.bitwiseAND(b), masks) if masks else lit(ALL)

@@ -5,11 +5,6 @@ from __future__ import annotations
 import math
 import statistics
 
-#: Two-sided Student t quantiles by degrees of freedom, 99.9 and 95 per cent.
-T999 = {4: 8.610, 9: 4.781, 14: 4.140, 19: 3.883, 29: 3.659}
-T95 = {4: 2.776, 9: 2.262, 14: 2.145, 19: 2.093, 29: 2.045}
-
-
 def width(largest: int) -> int:
     """Planes for values up to ``largest``; one at least."""
     return max(1, int(largest).bit_length())
@@ -79,11 +74,39 @@ def median_of(runs: list[float], warm_up: int = 5) -> float:
     return statistics.median(runs[warm_up:] or runs)
 
 
+def _beta_share(a: float, b: float, x: float) -> float:
+    """The regularised incomplete beta function, by its continued fraction (modified Lentz)."""
+    if x <= 0 or x >= 1:
+        return float(x >= 1)
+    if x > (a + 1) / (a + b + 2):
+        return 1 - _beta_share(b, a, 1 - x)
+    front = math.exp(math.lgamma(a + b) - math.lgamma(a) - math.lgamma(b) + a * math.log(x) + b * math.log1p(-x)) / a
+    tiny = 1e-300
+    c, d = 1.0, 1 / max(1 - (a + b) * x / (a + 1), tiny)
+    out = d
+    for m in range(1, 500):
+        for up in (m * (b - m) * x / ((a + 2 * m - 1) * (a + 2 * m)), -(a + m) * (a + b + m) * x / ((a + 2 * m) * (a + 2 * m + 1))):
+            d = 1 / (1 + up * d or tiny)
+            c = 1 + up / c or tiny
+            out *= c * d
+        if abs(c * d - 1) < 1e-15:
+            break
+    return front * out
+
+
+def t_quantile(degrees: int, level: float) -> float:
+    """The two-sided Student t quantile, by bisection."""
+    lo, hi = 0.0, 1e6
+    for _ in range(200):
+        mid = (lo + hi) / 2
+        outside = _beta_share(degrees / 2, 0.5, degrees / (degrees + mid * mid))
+        lo, hi = (mid, hi) if outside > 1 - level else (lo, mid)
+    return (lo + hi) / 2
+
+
 def mean_ci(xs: list[float], level: float = 0.999) -> tuple[float, float]:
     """Mean and half width of its confidence interval."""
-    table = T999 if level > 0.99 else T95
-    t = table[min(table, key=lambda d: abs(d - (len(xs) - 1)))]
-    return statistics.fmean(xs), t * statistics.stdev(xs) / math.sqrt(len(xs))
+    return statistics.fmean(xs), t_quantile(len(xs) - 1, level) * statistics.stdev(xs) / math.sqrt(len(xs))
 
 
 def economics(values: float, bytes_value: float, node_gb: float, usd_hour: float, hours_year: float = 8 * 250) -> dict[str, float]:

@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 from ..functions.bits import lit, popcount
 from ..plans.kernels import validity
 from ..plans.spec import ColumnSpec, Manifest
+from .select import ordinals
 
 WIDE = "decimal(38,0)"
 
@@ -123,28 +124,46 @@ def equal_code(spec: ColumnSpec, k: int) -> Column:
     return m
 
 
+#: Codes up to which grouping and distinct make one mask a code; beyond, the rows' ordinals are fetched.
+CODES = 1024
+
+
+def few_codes(spec: ColumnSpec) -> list[int] | None:
+    """The ordinals a column can hold, if they are known, not too many, and laid out on a literal bias."""
+    if not spec.literal or spec.lo is None or spec.hi - spec.lo >= CODES:
+        return None
+    return list(range(spec.lo, spec.hi + 1))
+
+
 def group_sum(masked: DataFrame, manifest: Manifest, by: str, measure: str | None = None) -> DataFrame:
-    """Per dictionary code (or small ordinal): n and the exact sum of ``measure``'s ordinals; one mask a code."""
+    """Per value of ``by``: n and the exact sum of ``measure``'s ordinals (null without values); rows with a null ``by`` are left out.
+
+    One mask a code where these are few, else the ordinals of the selected rows are grouped.
+    """
     g = manifest[by]
-    if not g.literal:
-        raise ValueError("grouping needs a literal bias")
-    codes = range(g.lo, g.hi + 1) if g.lo is not None else []
-    if len(codes) > 1024:
-        raise ValueError("too many groups for one mask each; fetch the rows")
+    if measure is not None:
+        linear(manifest[measure])
+    if (codes := few_codes(g)) is None:
+        rows = ordinals(masked, manifest, list({by: 0} | ({} if measure is None else {measure: 0}))).where(F.col(by).isNotNull())
+        sums = [] if measure is None else [F.sum(F.col(measure).cast(WIDE)).alias("sum_ord")]
+        out = rows.groupBy(by).agg(F.count(F.lit(1)).alias("n"), *sums)
+        return out.select(g.codec.value(F.col(by)).alias(by), "n", *(["sum_ord"] if sums else []))
     masks = F.array(*[F.struct(lit(k).alias("k"), equal_code(g, k).alias("m")) for k in codes])
     split = masked.withColumn("__g", F.explode(masks)).where("__g.m <> 0").withColumn("mask", F.col("__g.m"))
+    n = F.sum(popcount(F.col("mask"))).alias("n")
     if measure is None:
-        out = split.groupBy("__g.k").agg(F.sum(popcount(F.col("mask"))).alias("n"))
-        return out.select(g.codec.value(F.col("k")).alias(by), "n")
+        return split.groupBy("__g.k").agg(n).select(g.codec.value(F.col("k")).alias(by), "n")
     s = manifest[measure]
-    linear(s)
-    out = split.groupBy("__g.k").agg(F.sum(popcount(F.col("mask"))).alias("n"), *sum_parts(s, "s"))
+    out = split.groupBy("__g.k").agg(n, *sum_parts(s, "s"))
     return out.select(g.codec.value(F.col("k")).alias(by), "n", sum_of(s, "s").alias("sum_ord"))
 
 
-def distinct_codes(masked: DataFrame, spec: ColumnSpec) -> DataFrame:
-    """Values present among the selected rows."""
-    codes = list(range(spec.lo, spec.hi + 1)) if spec.lo is not None else []
-    seen = masked.agg(*[F.coalesce(F.bool_or(equal_code(spec, k) != 0), F.lit(False)).alias(f"k{k - (spec.lo or 0)}") for k in codes])
+def distinct_codes(masked: DataFrame, manifest: Manifest, col: str) -> DataFrame:
+    """Values present among the selected rows: by one mask a code where these are few, else from the rows' ordinals."""
+    spec = manifest[col]
+    if (codes := few_codes(spec)) is None:
+        found = ordinals(masked, manifest, [col]).where(F.col(col).isNotNull()).distinct()
+        return found.select(spec.codec.value(F.col(col)).alias(col))
+    seen = masked.agg(*[F.coalesce(F.bool_or(equal_code(spec, k) != 0), F.lit(False)).alias(f"k{k - spec.lo}") for k in codes])
     flags = F.array(*[F.struct(lit(k).alias("k"), F.col(f"k{k - spec.lo}").alias("seen")) for k in codes])
     return seen.select(F.explode(flags).alias("x")).where("x.seen").select(spec.codec.value(F.col("x.k")).alias(spec.name))

@@ -21,17 +21,24 @@ from pyspark.sql.types import BinaryType, ByteType, IntegerType, LongType, Struc
 from ..functions.bits import bit_width, lit, shl
 from ..functions.codecs import Codec
 from ..functions.metrics import width
+from ..plans import blooms
 from ..plans.spec import SCOPES, ColumnSpec, Manifest
 from ..sources.tables import FILE, ROW
 
 BIG = np.iinfo(np.int64).max
+FEW_FILES = 1_000_000
 
 
-def plan(df: DataFrame, codecs: dict[str, Codec | tuple[Codec, Column]], bias: str | dict[str, str] = "block", block_size: int = 1024, widths: dict[str, str | int] | None = None, common_base: bool = False) -> Manifest:
+def plan(df: DataFrame, codecs: dict[str, Codec | tuple[Codec, Column]], bias: str | dict[str, str] = "block", block_size: int = 1024, widths: dict[str, str | int] | None = None, common_base: bool = False, bloom: tuple[str, ...] = (), like: Manifest | None = None) -> Manifest:
     """One aggregate finds every column's ordinal range, null count and the plane count that always suffices.
 
     A codec may come with the expression it encodes.  ``common_base`` gives literal biases one base, for column comparisons.
+    Columns in ``bloom`` get a filter in the header of each word.  ``like`` takes biases and sizes from a dataset that the rows
+    are to be appended to, and fails if its literal bases cannot hold them.  ``declare`` needs no scan.
     """
+    if like is not None:
+        bias, block_size = {s.name: s.bias for s in like.columns}, like.block_size
+        widths, bloom = {s.name: s.width for s in like.columns}, tuple(s.name for s in like.columns if s.bloom)
     if block_size % 64 or block_size < 64:
         raise ValueError("blocks hold a multiple of 64 rows")
     scopes = {c: bias if isinstance(bias, str) else bias.get(c, "block") for c in codecs}
@@ -48,6 +55,10 @@ def plan(df: DataFrame, codecs: dict[str, Codec | tuple[Codec, Column]], bias: s
         if scope == "none" and (lo or 0) < 0:
             raise ValueError(f"{c}: negative values need a bias")
         base = 0 if scope == "none" or lo is None else min(lows) if common_base else lo
+        if like is not None and like[c].literal:
+            base, scope = like[c].base, like[c].bias
+            if lo is not None and lo < base:
+                raise ValueError(f"{c}: {lo} is below the dataset's base {base}; encode it anew, or with a block bias")
         planes = width((hi - base) if lo is not None else 0)
         if planes == 64 and scope in ("block", "file"):
             scope = "global"  # a difference of 64 bits overflows in per-block arithmetic, not as a literal
@@ -56,10 +67,19 @@ def plan(df: DataFrame, codecs: dict[str, Codec | tuple[Codec, Column]], bias: s
             if fixed < planes:
                 raise ValueError(f"{c}: {planes} planes do not fit in {fixed}")
             planes = fixed
-        out.append(ColumnSpec(c, k[0] if isinstance(k, tuple) else k, scope, planes, base if scope in ("none", "global") else 0, lo, hi, fixed, got[f"{c}__n"] < got["rows"]))
+        out.append(ColumnSpec(c, k[0] if isinstance(k, tuple) else k, scope, planes, base if scope in ("none", "global") else 0, lo, hi, fixed, got[f"{c}__n"] < got["rows"], c in bloom))
     return Manifest(tuple(out), block_size, got["rows"])
 
 
+def declare(codecs: dict[str, Codec | tuple[Codec, Column]], planes: dict[str, int], bias: str = "block", bases: dict[str, int] | None = None, block_size: int = 1024, bloom: tuple[str, ...] = ()) -> Manifest:
+    """A manifest without a scan: plane counts (and literal bases) are stated, and packing fails where they do not hold.
+
+    Bounds become known when the words are written (sources.sliced).
+    """
+    cols = [ColumnSpec(c, k[0] if isinstance(k, tuple) else k, bias, planes[c], (bases or {}).get(c, 0), bloom=c in bloom) for c, k in codecs.items()]
+    return Manifest(tuple(cols), block_size).open()
+
+
 def ordinal(name: str, codec: Codec | tuple[Codec, Column]) -> Column:
     return codec[0].ordinal(codec[1]) if isinstance(codec, tuple) else codec.ordinal(F.col(name))
 
@@ -69,9 +89,9 @@ def with_ordinals(df: DataFrame, codecs: dict[str, Codec | tuple[Codec, Column]]
     out = df.select(FILE, ROW, *keep, *[ordinal(c, k).alias(c) for c, k in codecs.items()])
     per_file = [s for s in manifest.columns if s.bias == "file"]
     if per_file:
-        # One row a file: as small as the file listing that the driver holds anyway.
         lows = out.groupBy(FILE).agg(*[F.min(s.name).alias(f"{s.name}__file_bias") for s in per_file])
-        out = out.join(F.broadcast(lows), FILE).sortWithinPartitions(FILE, ROW)  # a join drops the order asked for below it
+        # One row a file, of which the driver holds the listing; beyond so many files they are joined by shuffling.
+        out = out.join(F.broadcast(lows) if len(df.inputFiles()) <= FEW_FILES else lows, FILE).sortWithinPartitions(FILE, ROW)  # a join drops the order asked for below it
     return out
 
 
@@ -83,7 +103,7 @@ def words_schema(manifest: Manifest) -> StructType:
     kinds = {"byte": ByteType(), "long": LongType(), "int": IntegerType()}
     fields = [(FILE, "long"), ("block_id", "long"), ("word_no", "int"), ("n", "int"), ("live", "long")]
     for s in manifest.columns:
-        fields += header_fields(s) + [(s.plane(j), "long") for j in range(s.planes)]
+        fields += header_fields(s) + [(f, "long") for f in blooms.names(s)] + [(s.plane(j), "long") for j in range(s.planes)]
     return StructType([StructField(n, kinds[k]) for n, k in fields])
 
 
@@ -126,7 +146,8 @@ def pack(file: np.ndarray, row: np.ndarray, values: dict[str, tuple[np.ndarray,
         valid[at[ok]] = 1
         nulls = np.logical_or.reduceat(~ok, first)
         planes = [np.packbits((dense >> np.uint64(j) & np.uint64(1)).astype(np.uint8), bitorder="little") for j in range(s.planes)]
-        out[s.name] = (bits, bias, low, high, some, nulls, np.packbits(valid, bitorder="little"), planes)
+        filters = blooms.build(x[ok], at[ok] // 64, n * size // 64) if s.bloom else None
+        out[s.name] = (bits, bias, low, high, some, nulls, np.packbits(valid, bitorder="little"), planes, filters)
     return Packed(file[first], block[first], np.packbits(live, bitorder="little"), out)
 
 
@@ -165,6 +186,8 @@ def to_words(df: DataFrame, codecs: dict[str, Codec | tuple[Codec, Column]], man
     """``df`` needs file_id and row_index (sources.tables.addressed)."""
     rows = with_ordinals(df, codecs, manifest)
     if engine == "catalyst":
+        if any(s.bloom for s in manifest.columns):
+            raise ValueError("the aggregating encoder builds no Bloom filters")
         return _words_by_aggregates(rows, manifest)
     schema = words_schema(manifest)
     names = schema.fieldNames()
@@ -178,10 +201,12 @@ def to_words(df: DataFrame, codecs: dict[str, Codec | tuple[Codec, Column]], man
             count = np.bincount(block, np.bitwise_count(live[keep].view(np.uint64)), len(p.block)).astype(np.int32)
             cols = [pa.array(p.file[block]), pa.array(p.block[block]), pa.array((keep % per).astype(np.int32)), pa.array(count[block]), pa.array(live[keep])]
             for s in manifest.columns:
-                bits, bias, low, high, some, nulls, valid, planes = p.columns[s.name]
+                bits, bias, low, high, some, nulls, valid, planes, filters = p.columns[s.name]
                 cols += [pa.array(bits[block].astype(np.int8)), pa.array(bias[block].astype(np.int64))]
                 cols += [pa.array(x[block], mask=~some[block]) for x in (low, high)]
                 cols.append(pa.array(valid.view("<i8")[keep], mask=~nulls[block]))
+                if s.bloom:
+                    cols += [pa.array(f[keep]) for f in filters]
                 cols += [pa.array(q.view("<i8")[keep]) for q in planes]
             yield pa.RecordBatch.from_arrays(cols, names)
 
@@ -229,7 +254,7 @@ def to_blocks(df: DataFrame, codecs: dict[str, Codec | tuple[Codec, Column]], ma
             live = p.live.reshape(n, step)
             cols = [pa.array(p.file), pa.array(p.block), pa.array(np.bitwise_count(live).sum(axis=1).astype(np.int32)), pa.array([x.tobytes() for x in live])]
             for s in manifest.columns:
-                bits, bias, low, high, some, nulls, valid, planes = p.columns[s.name]
+                bits, bias, low, high, some, nulls, valid, planes, _ = p.columns[s.name]
                 stack = np.stack([q.reshape(n, step) for q in planes], axis=1)
                 cols += [pa.array(bits.astype(np.int8)), pa.array(bias.astype(np.int64)), *[pa.array(x, mask=~some) for x in (low, high)]]
                 cols.append(pa.array([v.tobytes() if k else None for v, k in zip(valid.reshape(n, step), nulls)], pa.binary()))

@@ -6,17 +6,17 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.codecs import DecimalCodec, IntCodec
-from ..plans.planner import IN_PASSES
 from ..plans.predicates import in_list
 from ..sources.tables import load, load_addressed
+from . import dictionary
 from .table import SlicedTable
 
 
 def semi_by_slices(table: SlicedTable, col: str, keys: DataFrame, fetch: list[str], most: int = 1000) -> DataFrame:
-    """A small key set becomes an IN list on planes; a larger one a semi join of the fetched rows."""
+    """A small key set becomes an IN list (on planes, or a hash set of ordinals); a larger one a semi join of the fetched rows."""
     key = keys.columns[0]
     few = keys.select(key).where(F.col(key).isNotNull()).distinct().limit(most + 1).collect()
-    if len(few) <= most and len(few) * table.manifest[col].planes <= IN_PASSES * 2:
+    if len(few) <= most:
         return table.where(in_list(col, [r[0] for r in few])).fetch(*fetch)
     rows = table.all().fetch(*dict.fromkeys([*fetch, col]))
     return rows.join(keys.select(F.col(key).alias(col)).distinct(), col, "left_semi").select(*fetch)
@@ -79,12 +79,19 @@ def _as_of(spark, d) -> DataFrame:
     return as_of(left, right, "user_id", "ts", "before_id").select("event_id", "before_id")
 
 
+def _keys(spark, d, table: str, where: str, *cols: str) -> DataFrame:
+    """Key columns of the rows of an encoded filter."""
+    return SlicedTable.from_df(load_addressed(spark, d, table, list(cols)), {c: IntCodec(sql="bigint") for c in cols}).where(where).fetch(*cols)
+
+
 WORKLOADS = {
     "join_star": (_star, "SELECT n_name, count(*)::BIGINT AS n, sum(round(l_extendedprice * 100)::BIGINT)::BIGINT AS cents FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey WHERE l_quantity > 45 GROUP BY n_name"),
     "join_semi_by_slices": (_semi, "SELECT l_orderkey, l_quantity::INTEGER AS l_quantity FROM lineitem WHERE l_orderkey IN (SELECT o_orderkey FROM orders WHERE o_totalprice > 495000)"),
-    "join_left": (lambda spark, d: load(spark, d, "documents", ["doc_id"]).join(load(spark, d, "labels"), "doc_id", "left").groupBy("quality").agg(F.count(F.lit(1)).alias("n")), "SELECT quality, count(*)::BIGINT AS n FROM documents LEFT JOIN labels USING (doc_id) GROUP BY quality"),
-    "join_anti": (lambda spark, d: load(spark, d, "documents", ["doc_id"]).join(load(spark, d, "labels"), "doc_id", "left_anti"), "SELECT doc_id FROM documents WHERE doc_id NOT IN (SELECT doc_id FROM labels)"),
-    "join_full": (lambda spark, d: load(spark, d, "customer").select(F.col("c_custkey").alias("k")).join(load(spark, d, "orders").select(F.col("o_custkey").alias("k"), "o_orderkey"), "k", "full").agg(F.count("k").alias("n"), F.count("o_orderkey").alias("orders")), "SELECT count(coalesce(c_custkey, o_custkey))::BIGINT AS n, count(o_orderkey)::BIGINT AS orders FROM customer FULL JOIN orders ON c_custkey = o_custkey"),
+    "join_left": (lambda spark, d: _keys(spark, d, "documents", "doc_id > 50", "doc_id").join(load(spark, d, "labels"), "doc_id", "left").groupBy("quality").agg(F.count(F.lit(1)).alias("n")), "SELECT quality, count(*)::BIGINT AS n FROM documents LEFT JOIN labels USING (doc_id) WHERE doc_id > 50 GROUP BY quality"),
+    "join_anti": (lambda spark, d: _keys(spark, d, "documents", "doc_id > 50", "doc_id").join(load(spark, d, "labels"), "doc_id", "left_anti"), "SELECT doc_id FROM documents WHERE doc_id > 50 AND doc_id NOT IN (SELECT doc_id FROM labels)"),
+    "join_full": (lambda spark, d: _keys(spark, d, "customer", "c_custkey < 100", "c_custkey").select(F.col("c_custkey").alias("k")).join(_keys(spark, d, "orders", "o_orderkey < 1000", "o_custkey", "o_orderkey").select(F.col("o_custkey").alias("k"), "o_orderkey"), "k", "full").agg(F.count("k").alias("n"), F.count("o_orderkey").alias("orders")), "SELECT count(coalesce(c_custkey, o_custkey))::BIGINT AS n, count(o_orderkey)::BIGINT AS orders FROM (SELECT * FROM customer WHERE c_custkey < 100) FULL JOIN (SELECT * FROM orders WHERE o_orderkey < 1000) ON c_custkey = o_custkey"),
+    "join_right": (lambda spark, d: _keys(spark, d, "customer", "c_custkey < 100", "c_custkey").join(_keys(spark, d, "orders", "o_orderkey < 1000", "o_custkey", "o_orderkey"), F.col("c_custkey") == F.col("o_custkey"), "right").agg(F.count("c_custkey").alias("n"), F.count("o_orderkey").alias("orders")), "SELECT count(c_custkey)::BIGINT AS n, count(o_orderkey)::BIGINT AS orders FROM (SELECT * FROM customer WHERE c_custkey < 100) RIGHT JOIN (SELECT * FROM orders WHERE o_orderkey < 1000) ON c_custkey = o_custkey"),
+    "join_dictionary": (lambda spark, d: dictionary.codes(load(spark, d, "customer", ["c_custkey", "c_name"]), "c_name", dictionary.table(load(spark, d, "customer"), "c_name")).select("c_custkey", "code"), "SELECT c_custkey, dense_rank() OVER (ORDER BY c_name) - 1 AS code FROM customer"),
     "join_address": (_address, "SELECT count(*)::BIGINT AS n FROM lineitem WHERE l_quantity > 25 AND l_linenumber < 4"),
     "join_range": (_range, "SELECT count(*)::BIGINT AS n FROM lineitem JOIN orders ON l_orderkey = o_orderkey AND l_shipdate::DATE BETWEEN o_orderdate::DATE AND o_orderdate::DATE + 30"),
     "join_as_of": (_as_of, "WITH k AS (SELECT event_type, row_number() OVER (ORDER BY event_type) AS r FROM (SELECT DISTINCT event_type FROM events)), l AS (SELECT e.* FROM events e JOIN k USING (event_type) WHERE r = 1), r AS (SELECT user_id, ts, max(event_id) AS before_id FROM events e JOIN k USING (event_type) WHERE r = 2 GROUP BY ALL) SELECT l.event_id, r.before_id FROM l ASOF LEFT JOIN r ON l.user_id = r.user_id AND l.ts >= r.ts"),

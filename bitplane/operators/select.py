@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.bits import any_of, bit, lit, positions
+from ..functions.bits import any_of, bit, lit, popcount, positions
 from ..plans.spec import ColumnSpec, Manifest
 from ..sources.tables import FILE, ROW
 
@@ -20,19 +20,28 @@ def row_ids(masked: DataFrame, block_size: int) -> DataFrame:
     return at.select(FILE, (F.col("block_id") * block_size + F.col("word_no") * 64 + F.col("pos")).alias(ROW))
 
 
-def decoded(spec: ColumnSpec, pos: Column) -> Column:
-    """The value at ``pos`` of a word: null where invalid."""
+def ordinal(spec: ColumnSpec, pos: Column) -> Column:
+    """The ordinal at ``pos`` of a word: null where invalid."""
     bits = any_of([F.shiftleft(bit(F.col(spec.plane(j)), pos), j) for j in range(spec.planes)])
     if spec.planes == 64:  # the sum wraps around, which ANSI arithmetic forbids
         wide = F.when(bits < 0, bits.cast("decimal(20,0)") + F.lit(str(1 << 64)).cast("decimal(20,0)")).otherwise(bits.cast("decimal(20,0)"))
         raw = (wide + F.lit(spec.base).cast("decimal(20,0)")).cast("long")
     else:
         raw = bits + (lit(spec.base) if spec.literal else F.col(spec.header("bias")))
-    value = spec.codec.value(raw)
     if not spec.has_nulls:
-        return value
-    ok = bit(F.coalesce(F.col(spec.header("v")), lit(-1)), pos) == 1
-    return F.when(ok, value)
+        return raw
+    return F.when(bit(F.coalesce(F.col(spec.header("v")), lit(-1)), pos) == 1, raw)
+
+
+def decoded(spec: ColumnSpec, pos: Column) -> Column:
+    """The value at ``pos`` of a word: null where invalid."""
+    return spec.codec.value(ordinal(spec, pos))
+
+
+def ordinals(masked: DataFrame, manifest: Manifest, cols: list[str]) -> DataFrame:
+    """The selected rows' ordinals."""
+    at = masked.withColumn("__pos", F.explode(positions(F.col("mask"))))
+    return at.select(*[ordinal(manifest[c], F.col("__pos")).alias(c) for c in cols])
 
 
 def fetch(masked: DataFrame, manifest: Manifest, cols: list[str], address: bool = False) -> DataFrame:
@@ -44,6 +53,16 @@ def fetch(masked: DataFrame, manifest: Manifest, cols: list[str], address: bool
     return at.select(*out)
 
 
-def late(masked: DataFrame, base: DataFrame, block_size: int, cols: list[str]) -> DataFrame:
-    """Columns that were not encoded, from the addressed base table by row address."""
-    return base.join(row_ids(masked, block_size), [FILE, ROW]).select(*cols)
+#: Selected rows (16 bytes each) up to which their addresses go to the base table's readers, which then is not shuffled.
+LATE_ROWS = 1_000_000
+
+
+def late(masked: DataFrame, base: DataFrame, block_size: int, cols: list[str], most: int = LATE_ROWS) -> DataFrame:
+    """Columns that were not encoded, from the addressed base table by row address.
+
+    A count of the masks tells how many rows are asked for: few are broadcast, and the base table is read once where it lies;
+    many are joined by shuffling both sides.
+    """
+    wanted = masked.agg(F.coalesce(F.sum(popcount(F.col("mask"))), lit(0))).first()[0]
+    ids = row_ids(masked, block_size)
+    return base.join(F.broadcast(ids) if wanted <= most else ids, [FILE, ROW]).select(*cols)

@@ -1,4 +1,4 @@
-"""Data skipping: extremes and Bloom bits of blocks."""
+"""Data skipping by word headers: extremes and Bloom filters."""
 
 from __future__ import annotations
 
@@ -7,10 +7,9 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.bits import lit, positions, shl
-from ..plans.spec import ColumnSpec, Manifest
-from ..sources.tables import FILE
-from .select import decoded
+from ..functions.bits import lit
+from ..plans import blooms
+from ..plans.spec import Manifest
 
 
 def zone(node: tuple, manifest: Manifest) -> Column | None:
@@ -23,6 +22,8 @@ def zone(node: tuple, manifest: Manifest) -> Column | None:
         return reduce(lambda a, b: a & b, parts) if parts else None
     if node[0] == "none":
         return F.lit(False)
+    if node[0] == "set" and not node[3]:
+        return (F.col(f"{node[1]}__mn") <= F.lit(node[2][-1]).cast("long")) & (F.col(f"{node[1]}__mx") >= F.lit(node[2][0]).cast("long"))
     if node[0] != "cmp":
         return None
     _, name, op, k = node
@@ -31,42 +32,33 @@ def zone(node: tuple, manifest: Manifest) -> Column | None:
 
 
 def zone_filter(words: DataFrame, manifest: Manifest, node: tuple) -> DataFrame:
-    cond = zone(node, manifest)
-    return words if cond is None else words.where(cond)
+    """Extremes first, then Bloom filters."""
+    for cond in (zone(node, manifest), bloom(node, manifest)):
+        words = words if cond is None else words.where(cond)
+    return words
 
 
 def skipped(words: DataFrame, manifest: Manifest, node: tuple) -> DataFrame:
-    """Words in all and words left by the zone map."""
-    cond = zone(node, manifest)
+    """Words in all and words left by extremes and Bloom filters."""
+    conds = [c for c in (zone(node, manifest), bloom(node, manifest)) if c is not None]
+    cond = reduce(lambda a, b: a & b, conds) if conds else None
     return words.agg(F.count(F.lit(1)).alias("words"), F.coalesce(F.count_if(cond if cond is not None else F.lit(True)), lit(0)).alias("kept"))
 
 
-BLOOM_BITS = 1 << 14
+#: Constants of an IN list up to which each is tested against the words' Bloom filters.
+BLOOM_CONSTANTS = 64
 
 
-def _slots(x: Column, hashes: int) -> list[Column]:
-    return [F.pmod(F.xxhash64(F.lit(i), x), F.lit(BLOOM_BITS)) for i in range(hashes)]
-
-
-def bloom_build(words: DataFrame, spec: ColumnSpec, hashes: int = 4) -> DataFrame:
-    """(file_id, block_id, part, bits): the set words of each block's filter of 2**14 bits, 16 bits a value at 1024 rows."""
-    at = words.withColumn("__pos", F.explode(positions(F.col("live"))))
-    x = at.select(FILE, "block_id", decoded(spec, F.col("__pos")).alias("x")).where("x is not null")
-    bits = x.select(FILE, "block_id", F.explode(F.array(*_slots(F.col("x"), hashes))).alias("slot"))
-    return bits.groupBy(FILE, "block_id", F.floor(F.col("slot") / 64).cast("int").alias("part")).agg(F.bit_or(shl(lit(1), (F.col("slot") % 64).cast("int"))).alias("bits"))
-
-
-def bloom_blocks(bloom: DataFrame, constants: list, kind: str, hashes: int = 4) -> DataFrame:
-    """Blocks that may hold one of the constants: all of its bits must be set."""
-    spark = bloom.sparkSession
-    asked = spark.createDataFrame([(x,) for x in constants], f"x {kind}").select("x", F.explode(F.array(*_slots(F.col("x"), hashes))).alias("slot"))
-    asked = asked.select("x", F.floor(F.col("slot") / 64).cast("int").alias("part"), shl(lit(1), (F.col("slot") % 64).cast("int")).alias("bit")).groupBy("x", "part").agg(F.bit_or("bit").alias("need"))
-    parts = asked.groupBy("x").agg(F.count(F.lit(1)).alias("parts"))
-    # The constants are a literal list of the query.
-    hit = bloom.join(F.broadcast(asked), "part").where(F.col("bits").bitwiseAND(F.col("need")) == F.col("need"))
-    full = hit.groupBy(FILE, "block_id", "x").agg(F.count(F.lit(1)).alias("hits")).join(F.broadcast(parts), "x").where("hits = parts")
-    return full.select(FILE, "block_id").distinct()
-
-
-def bloom_filter(words: DataFrame, bloom: DataFrame, constants: list, kind: str) -> DataFrame:
-    return words.join(bloom_blocks(bloom, constants, kind), [FILE, "block_id"], "left_semi")
+def bloom(node: tuple, manifest: Manifest) -> Column | None:
+    """Words that may hold a constant of an equality or IN by their headers' Bloom filters; None if all may."""
+    if node[0] == "and":
+        parts = [p for p in (bloom(x, manifest) for x in node[1]) if p is not None]
+        return reduce(lambda a, b: a & b, parts) if parts else None
+    if node[0] == "or":
+        parts = [bloom(x, manifest) for x in node[1]]
+        return None if not parts or len(parts) > BLOOM_CONSTANTS or any(p is None for p in parts) else reduce(lambda a, b: a | b, parts)
+    if node[0] == "cmp" and node[2] == "eq" and manifest[node[1]].bloom:
+        return blooms.may_hold(manifest[node[1]], node[3])
+    if node[0] == "set" and not node[3] and manifest[node[1]].bloom and len(node[2]) <= BLOOM_CONSTANTS:
+        return reduce(lambda a, b: a | b, [blooms.may_hold(manifest[node[1]], k) for k in node[2]])
+    return None

@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.types import LongType, StructField, StructType
 
 from ..functions import metrics
+from ..functions.bits import lit, positions, shl
 from ..functions.codecs import Codec
 from ..plans import binding, kernels, planner, predicates
 from ..plans.predicates import Pred
@@ -23,15 +24,22 @@ class SlicedTable:
     words: DataFrame
     manifest: Manifest
     base: DataFrame | None = None  # the addressed source, for late materialisation
+    measured: dict[str, float] | None = None  # seconds by engine
 
     @classmethod
-    def from_df(cls, df: DataFrame, codecs: dict[str, Codec | tuple[Codec, Column]], bias="global", block_size: int = 1024, widths=None, engine: str = "arrow", manifest: Manifest | None = None, common_base: bool = False) -> SlicedTable:
-        manifest = manifest or encode.plan(df, codecs, bias, block_size, widths, common_base)
+    def from_df(cls, df: DataFrame, codecs: dict[str, Codec | tuple[Codec, Column]], bias="global", block_size: int = 1024, widths=None, engine: str = "arrow", manifest: Manifest | None = None, common_base: bool = False, bloom: tuple[str, ...] = (), like: Manifest | None = None) -> SlicedTable:
+        manifest = manifest or encode.plan(df, codecs, bias, block_size, widths, common_base, bloom, like)
         return cls(encode.to_words(df, codecs, manifest, engine), manifest, df)
 
     def where(self, pred: Pred | str, mode: str = "skip", in_strategy: str = "auto", engine: str = "catalyst", **kernel) -> Selection:
-        """Rows of a predicate.  Parts that no encoded column can decide raise; see ``split``."""
+        """Rows of a predicate.  Parts that no encoded column can decide raise; see ``split``.
+
+        The planner orders conjuncts by width where words are skipped and picks between planes and a hash set for IN
+        lists; ``engine="auto"`` takes the fastest of a calibration (``calibrate``), generated code without one.
+        """
         p = predicates.parse(pred) if isinstance(pred, str) else pred
+        p = planner.order_conjuncts(predicates.normalise(p), self.manifest) if mode == "skip" else p
+        engine = planner.kernel_for(self.measured) if engine == "auto" else engine
         node = binding.bind(p, self.manifest, in_strategy)
         if engine == "numpy":
             masked = _numpy(self.words, self.manifest, node, kernel)
@@ -41,6 +49,11 @@ class SlicedTable:
             masked = select.with_mask(words, mask)
         return Selection(masked, self, node)
 
+    def calibrate(self, pred: Pred | str) -> dict[str, float]:
+        """Times a count on both engines and remembers it for ``engine="auto"``."""
+        self.measured = planner.calibrate(lambda engine: self.where(pred, engine=engine).count())
+        return self.measured
+
     def all(self) -> Selection:
         return Selection(self.words.withColumn("mask", F.col("live")), self, ("and", []))
 
@@ -116,7 +129,7 @@ class Selection:
         return aggregate.group_sum(self.masked, self.table.manifest, by, measure)
 
     def distinct(self, col: str) -> DataFrame:
-        return aggregate.distinct_codes(self.masked, self.table.manifest[col])
+        return aggregate.distinct_codes(self.masked, self.table.manifest, col)
 
     def kth(self, col: str, k: int) -> int | None:
         return aggregate.kth(self.masked, self.table.manifest[col], k)
@@ -127,6 +140,13 @@ class Selection:
     def late(self, *cols: str) -> DataFrame:
         return select.late(self.masked, self.table.base, self.table.manifest.block_size, list(cols) or self.table.base.columns)
 
+    def sample(self, share: float, seed: int = 0) -> Selection:
+        """About ``share`` of the selected rows: each row's address is hashed, so a repeat gives the same rows."""
+        pos = lambda i: F.col("block_id") * self.table.manifest.block_size + F.col("word_no") * 64 + i
+        drawn = F.filter(positions(F.col("mask")), lambda i: F.pmod(F.xxhash64(F.lit(seed), F.col("file_id"), pos(i)), F.lit(1 << 30)) < int(share * (1 << 30)))
+        mask = F.aggregate(drawn, lit(0), lambda m, i: m.bitwiseOR(shl(lit(1), i)))
+        return Selection(select.with_mask(self.masked, mask), self.table, self.node)
+
     def row_ids(self) -> DataFrame:
         return select.row_ids(self.masked, self.table.manifest.block_size)
 

@@ -2,7 +2,7 @@
 
 The result is a small tree of tuples that all engines read:
 ("and" | "or", [nodes]), ("cmp", column, op, ordinal), ("cols", op, a, b),
-("valid", column), ("null", column), ("none",).
+("set", column, ordinals, negated), ("valid", column), ("null", column), ("none",).
 """
 
 from __future__ import annotations
@@ -14,6 +14,13 @@ from .spec import ColumnSpec, Manifest
 
 NONE = ("none",)
 
+#: Plane reads up to which an IN list is evaluated on planes rather than by hash on values.
+IN_PASSES = 256
+
+
+def in_strategy(planes: int, k: int) -> str:
+    return "runs" if planes * k <= IN_PASSES else "hash"
+
 
 def bind(p: Pred, manifest: Manifest, in_strategy: str = "auto") -> tuple:
     return _bind(normalise(p), manifest, in_strategy)
@@ -69,9 +76,16 @@ def runs(codes: list[int]) -> list[tuple[int, int]]:
 
 
 def in_set(spec: ColumnSpec, codes: list[int], negated: bool, strategy: str) -> tuple:
-    """Equality per ordinal, or one range per run of neighbours where that takes fewer planes."""
+    """Equality per ordinal, one range per run of neighbours where that takes fewer planes, or a hash set of ordinals.
+
+    ``auto`` takes the hash set for lists that need more than IN_PASSES plane reads.
+    """
     parts = []
-    for a, b in runs(codes) if strategy in ("auto", "runs") else [(k, k) for k in sorted(set(codes))]:
+    codes = sorted({k for k in codes if (spec.lo is None or k >= spec.lo) and (spec.hi is None or k <= spec.hi)})
+    pieces = runs(codes) if strategy != "each" else [(k, k) for k in codes]
+    if codes and (strategy == "hash" or strategy == "auto" and in_strategy(spec.planes, sum(min(b - a + 1, 2) for a, b in pieces)) == "hash"):
+        return ("set", spec.name, tuple(codes), negated)
+    for a, b in pieces:
         if b - a < 2:
             parts += [verdict(spec, "ne" if negated else "eq", k) for k in range(a, b + 1)]
         elif negated:
@@ -102,7 +116,7 @@ def _bind(p: Pred, manifest: Manifest, strategy: str) -> tuple:
         return in_set(spec, [k for op, k in exact if op == "eq"], p.negated, strategy)
     if isinstance(p, Like):
         test = re.compile(like_regex(p.pattern), re.S).fullmatch
-        return in_set(spec, spec.codec.matching(test), p.negated, "runs")
+        return in_set(spec, spec.codec.matching(test), p.negated, "auto")
     if isinstance(p, IsNull):
         return ("valid" if p.negated else "null", spec.name)
     if isinstance(p, CmpCols):
@@ -132,7 +146,7 @@ def passes(node: tuple, manifest: Manifest) -> int:
     """Plane reads of a bound predicate."""
     if node[0] in ("and", "or"):
         return sum(passes(x, manifest) for x in node[1])
-    if node[0] == "cmp":
+    if node[0] in ("cmp", "set"):
         return manifest[node[1]].planes
     if node[0] == "cols":
         return manifest[node[2]].planes + manifest[node[3]].planes

@@ -12,7 +12,7 @@ import numpy as np
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
-from ..functions.bits import all_of, any_of, lit
+from ..functions.bits import all_of, any_of, lit, positions, shl
 from .spec import ColumnSpec, Manifest
 
 U64 = (1 << 64) - 1
@@ -46,11 +46,29 @@ def catalyst(node: tuple, manifest: Manifest, mode: str = "skip") -> Column:
     if node[0] == "cols":
         a, b = manifest[node[2]], manifest[node[3]]
         return _columns(node[1], a, b).bitwiseAND(validity(a, live)).bitwiseAND(validity(b, live))
+    if node[0] == "set":
+        spec = manifest[node[1]]
+        found = _members(spec, node[2], mode)
+        return (F.bitwise_not(found) if node[3] else found).bitwiseAND(validity(spec, live))
     _, name, op, k = node
     spec = manifest[name]
     return _leaf(spec, op, k, mode).bitwiseAND(validity(spec, live))
 
 
+def _members(spec: ColumnSpec, codes: tuple[int, ...], mode: str) -> Column:
+    """Rows whose value is in a hash set: values are put together from the planes, word by word, where the extremes allow a hit."""
+    def value(pos: Column) -> Column:
+        bits = any_of([F.shiftleft(F.getbit(F.col(spec.plane(j)), pos).cast("long"), j) for j in range(spec.planes)])
+        return bits if spec.literal else bits + F.col(spec.header("bias"))
+
+    wanted = [signed(k - spec.base) if spec.literal else k for k in codes]
+    at = F.filter(positions(F.col("live")), lambda pos: value(pos).isin(wanted))
+    found = F.aggregate(at, lit(0), lambda m, pos: m.bitwiseOR(shl(lit(1), pos)))
+    if mode != "skip":
+        return found
+    return F.when((F.col(spec.header("mx")) < codes[0]) | (F.col(spec.header("mn")) > codes[-1]), lit(0)).otherwise(found)
+
+
 def _leaf(spec: ColumnSpec, op: str, k: int, mode: str) -> Column:
     planes = [F.col(spec.plane(j)) for j in range(spec.planes)]
     if spec.literal:
@@ -139,6 +157,17 @@ def numpy_mask(node: tuple, manifest: Manifest, column, kernel: str = "lsb", lan
             return valid(manifest[x[1]])
         if x[0] == "null":
             return live & ~valid(manifest[x[1]])
+        if x[0] == "cols":
+            raise ValueError("the numpy engine compares columns with constants only")
+        if x[0] == "set":
+            spec = manifest[x[1]]
+            value = np.zeros(len(live) * 64, np.uint64)
+            for j in range(spec.planes):
+                value |= np.unpackbits(np.ascontiguousarray(column(spec.plane(j))).view(np.uint8), bitorder="little").astype(np.uint64) << np.uint64(j)
+            base = np.full(len(live), spec.base & U64, np.uint64) if spec.literal else column(spec.header("bias")).view(np.uint64)
+            hit = np.isin((value + np.repeat(base, 64)).view(np.int64), np.array(x[2], np.int64))
+            mask = np.packbits(hit, bitorder="little").view(np.int64)
+            return (~mask if x[3] else mask) & valid(spec)
         _, name, op, k = x
         spec = manifest[name]
         n = len(live)

@@ -3,17 +3,19 @@
 from __future__ import annotations
 
 import math
+import time
+from collections.abc import Callable
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import metrics
-from .binding import passes
-from .predicates import And, In, Like, Pred, columns, leaves
+from .binding import IN_PASSES, in_strategy, passes  # noqa: F401
+from .predicates import And, Like, Pred, columns, leaves
 from .spec import Manifest
 
-#: Plane reads up to which an IN list is evaluated on planes rather than on values.
-IN_PASSES = 256
+#: Values up to which a wide column is better held as dictionary codes.
+DICTIONARY = 4096
 
 
 def estimate(node: tuple, manifest: Manifest, w: int = 64) -> dict:
@@ -31,23 +33,26 @@ def _leaves(node: tuple):
         yield node
 
 
-def choose_representation(b: int, distinct: int | None = None, point_lookups: bool = False, scans: float = math.inf, break_even: float = 0.0) -> str:
-    """sliced, dict (codes, not sliced) or plain: narrow columns that are scanned often are sliced; point lookups and wide ones stay plain."""
+def choose_representation(b: int, distinct: int | None = None, point_lookups: bool = False, scans: float = math.inf, break_even: float = 0.0, most: int = DICTIONARY) -> str:
+    """sliced, dict (sliced codes of a dictionary) or plain: narrow columns that are scanned often are sliced; point lookups and wide ones stay plain."""
     if point_lookups or scans < break_even:
         return "plain"
     if b <= 16:
         return "sliced"
-    if distinct is not None and distinct <= 1 << 16:
+    if distinct is not None and distinct <= most:
         return "dict"
     return "sliced" if b < 32 else "plain"
 
 
-def representation_table(df: DataFrame, cols: list[str]) -> DataFrame:
-    """column, lo, hi, distinct (approximate) of integer columns, with the planes they need."""
-    aggs = [F.struct(F.lit(c).alias("column"), F.min(c).cast("long").alias("lo"), F.max(c).cast("long").alias("hi"), F.approx_count_distinct(c).alias("distinct")) for c in cols]
-    x = df.agg(F.array(*aggs).alias("x")).select(F.explode("x").alias("x")).select("x.*")
-    planes = F.greatest(F.lit(1), F.length(F.bin(F.col("hi") - F.col("lo")))).alias("planes")
-    return x.select("column", planes, F.when(planes <= 16, "sliced").when(planes < 32, "sliced").otherwise("plain").alias("choice"))
+def representation_table(df: DataFrame, cols: dict[str, Column]) -> DataFrame:
+    """column, planes, distinct (approximate), choice: one row for each of the named integer expressions, from one scan."""
+    aggs = [f.alias(f"{c}__{n}") for c, x in cols.items() for n, f in (("lo", F.min(x).cast("long")), ("hi", F.max(x).cast("long")), ("k", F.approx_count_distinct(x)))]
+    got = df.agg(*aggs).first()
+    out = []
+    for c in cols:
+        planes = metrics.width((got[f"{c}__hi"] or 0) - (got[f"{c}__lo"] or 0))
+        out.append((c, planes, got[f"{c}__k"], choose_representation(planes, got[f"{c}__k"])))
+    return df.sparkSession.createDataFrame(out, "column string, planes int, distinct long, choice string")
 
 
 def should_encode(encode: float, scalar: float, sliced: float, expected_scans: float) -> bool:
@@ -62,10 +67,6 @@ def order_conjuncts(p: Pred, manifest: Manifest) -> Pred:
     return And(tuple(sorted(p.parts, key=lambda q: sum(manifest[c].planes for c in columns(q)))))
 
 
-def in_strategy(spec_planes: int, k: int) -> str:
-    return "runs" if spec_planes * k <= IN_PASSES else "hash"
-
-
 def split(p: Pred, manifest: Manifest) -> tuple[Pred | None, list[Pred]]:
     """The conjuncts that encoded columns decide, and the rest."""
     parts = p.parts if isinstance(p, And) else (p,)
@@ -75,11 +76,19 @@ def split(p: Pred, manifest: Manifest) -> tuple[Pred | None, list[Pred]]:
     return (And(mine) if len(mine) > 1 else mine[0] if mine else None), [q for q in parts if not sliceable(q)]
 
 
-def too_long(p: Pred, manifest: Manifest) -> list[In]:
-    """IN lists that are cheaper by hash on values."""
-    return [x for x in leaves(p) if isinstance(x, In) and in_strategy(manifest[x.col].planes, len(x.consts)) == "hash"]
+def calibrate(count: Callable[[str], DataFrame], engines: tuple[str, ...] = ("catalyst", "numpy"), runs: int = 3) -> dict[str, float]:
+    """Seconds of a count on each engine (the best of a few warm runs), for ``kernel_for``."""
+    took = {}
+    for engine in engines:
+        times = []
+        for _ in range(runs):
+            start = time.perf_counter()
+            count(engine).collect()
+            times.append(time.perf_counter() - start)
+        took[engine] = min(times[1:] or times)
+    return took
 
 
-def kernel_for(planes: int, measured: dict[str, float] | None = None) -> str:
-    """The engine of the session: generated code unless a calibration run has numpy ahead."""
+def kernel_for(measured: dict[str, float] | None = None) -> str:
+    """The engine of the session: generated code unless a calibration run has another one ahead."""
     return min(measured, key=measured.get) if measured else "catalyst"

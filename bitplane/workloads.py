@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import time
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -13,6 +14,8 @@ from .operators import aggregate, baselines, dictionary, encode, joins, relation
 from .operators.table import SlicedTable
 from .plans import binding, planner
 from .plans.predicates import parse
+from .sources import sliced as store
+from .sources.sliced import scratch
 from .sources.tables import FILE, ROW, load, load_addressed
 from .streaming import events as streams
 
@@ -67,8 +70,8 @@ def totals(rows: DataFrame) -> DataFrame:
 
 def predicate(text: str, **how) -> Query:
     def run(spark: SparkSession, d: str) -> DataFrame:
-        table = sliced(spark, d, "lineitem", LINEITEM, bias=how.get("bias", "global"))
-        return totals(table.where(text, **{k: v for k, v in how.items() if k != "bias"}).fetch("l_orderkey", "l_extendedprice"))
+        table = sliced(spark, d, "lineitem", LINEITEM, bias=how.get("bias", "global"), widths=how.get("widths"))
+        return totals(table.where(text, **{k: v for k, v in how.items() if k not in ("bias", "widths")}).fetch("l_orderkey", "l_extendedprice"))
 
     return run
 
@@ -85,6 +88,15 @@ add("kernel_two_mask", predicate(PREDICATES["nested"], engine="numpy", kernel="m
 add("kernel_lanes_32", predicate(PREDICATES["nested"], engine="numpy", lane_bits=32), ROWS_SQL.format(PREDICATES["nested"]))
 add("in_by_equality", predicate(PREDICATES["in16"], in_strategy="each"), ROWS_SQL.format(PREDICATES["in16"]))
 
+MANY = ", ".join(str(k * 13 % 20011) for k in range(1000))
+add("pred_in1000", predicate(f"l_orderkey IN ({MANY})"), ROWS_SQL.format(f"l_orderkey IN ({MANY})"))
+add("pred_not_in1000", predicate(f"l_orderkey NOT IN ({MANY}) AND l_quantity > 25"), ROWS_SQL.format(f"l_orderkey NOT IN ({MANY}) AND l_quantity > 25"))
+add("engine_numpy_in1000", predicate(f"l_orderkey IN ({MANY})", engine="numpy", bias="block"), ROWS_SQL.format(f"l_orderkey IN ({MANY})"))
+add("in_by_equality_400", predicate(f"l_orderkey IN ({', '.join(str(37 * k) for k in range(400))})", in_strategy="each"), ROWS_SQL.format("l_orderkey % 37 = 0 AND l_orderkey < 14800"))
+add("in_by_hash", predicate(PREDICATES["in16"], in_strategy="hash", bias="block"), ROWS_SQL.format(PREDICATES["in16"]))
+add("widths_fixed_32", predicate(PREDICATES["and"], widths={c: 32 for c in LINEITEM}), ROWS_SQL.format(PREDICATES["and"]))
+add("widths_fixed_64", predicate(PREDICATES["nested"], bias="none", widths={c: 64 for c in LINEITEM}), ROWS_SQL.format(PREDICATES["nested"]))
+
 NULLABLE = {
     "is_null": "quality IS NULL", "not_null": "quality IS NOT NULL", "gt": "quality > 0", "not_gt": "NOT (quality > 0)", "not_or": "NOT (quality = 0 OR toxic = 1)",
     "not_and": "NOT (quality = 1 AND toxic = 0)", "not_in": "quality NOT IN (0)", "or_null": "quality = 1 OR toxic IS NULL",
@@ -179,13 +191,16 @@ typed("str_range_lang", "documents", "lang", None, "lang > 'de' AND lang <= 'fr'
 typed("str_not_in_type", "part", "p_type", None, "p_type NOT IN ('ECONOMY', 'STANDARD')", "p_partkey")
 
 
-def day_seconds(spark: SparkSession, d: str) -> DataFrame:
+def day_seconds(spark: SparkSession, d: str, text: str = "secs > 43200") -> DataFrame:
     secs = (F.hour("ts") * 3600 + F.minute("ts") * 60 + F.floor(F.second("ts"))).cast("long")
     t = SlicedTable.from_df(load_addressed(spark, d, "events", ["ts", "event_id"]), {"secs": (KEY, secs), "event_id": KEY})
-    return t.where("secs > 43200").fetch("event_id").agg(F.count(F.lit(1)).alias("n"), F.sum("event_id").alias("sum_key"))
+    return t.where(text).fetch("event_id").agg(F.count(F.lit(1)).alias("n"), F.sum("event_id").alias("sum_key"))
 
 
 add("ts_daysec_gt", day_seconds, "SELECT count(*)::BIGINT AS n, sum(event_id)::BIGINT AS sum_key FROM events WHERE hour(ts) * 3600 + minute(ts) * 60 + second(ts) > 43200")
+add("ts_daysec_eq", lambda spark, d: day_seconds(spark, d, "secs BETWEEN 43200 AND 43260 OR secs = 86399"), "SELECT count(*)::BIGINT AS n, sum(event_id)::BIGINT AS sum_key FROM events WHERE hour(ts) * 3600 + minute(ts) * 60 + second(ts) BETWEEN 43200 AND 43260 OR hour(ts) * 3600 + minute(ts) * 60 + second(ts) = 86399")
+typed("long_gt_orderdate", "orders", "o_orderdate", DAYS, "o_orderdate > DATE '1996-01-01'", "o_orderkey")
+typed("long_us_shipdate", "lineitem", "l_shipdate", TimestampCodec(), "l_shipdate = TIMESTAMP '1995-06-15 00:00:00'", "l_orderkey")
 add("bool_eq_toxic", lambda spark, d: SlicedTable.from_df(load_addressed(spark, d, "labels").withColumn("flag", F.col("toxic") == 1), {"flag": BoolCodec(), "doc_id": KEY}).where("flag = true").fetch("doc_id"), "SELECT doc_id FROM labels WHERE toxic = 1")
 
 
@@ -246,6 +261,19 @@ def median(spark: SparkSession, d: str) -> DataFrame:
 add("sliced_median", median, "SELECT quantile_disc(round(l_extendedprice * 100)::BIGINT, 0.5) AS median_cents, max(round(l_extendedprice * 100)::BIGINT) AS top_cents FROM lineitem WHERE l_quantity > 25")
 add("sliced_group_sum", lambda spark, d: line(spark, d).where("l_quantity > 25").group_sum("l_returnflag", "l_extendedprice").select("l_returnflag", "n", F.col("sum_ord").cast("long").alias("sum_cents")), "SELECT l_returnflag, count(*)::BIGINT AS n, sum(round(l_extendedprice * 100)::BIGINT)::BIGINT AS sum_cents FROM lineitem WHERE l_quantity > 25 GROUP BY 1")
 add("sliced_distinct", lambda spark, d: line(spark, d).where("l_quantity = 7 AND l_extendedprice < 9000").distinct("l_returnflag"), "SELECT DISTINCT l_returnflag FROM lineitem WHERE l_quantity = 7 AND l_extendedprice < 9000")
+add("distinct_wide", lambda spark, d: line(spark, d).where("l_quantity = 50").distinct("l_extendedprice").select((F.col("l_extendedprice") * 100).cast("long").alias("cents")), "SELECT DISTINCT round(l_extendedprice * 100)::BIGINT AS cents FROM lineitem WHERE l_quantity = 50")
+add("group_sum_wide", lambda spark, d: line(spark, d).where("l_quantity > 25").group_sum("l_orderkey", "l_extendedprice").select("l_orderkey", "n", F.col("sum_ord").cast("long").alias("sum_cents")), "SELECT l_orderkey, count(*)::BIGINT AS n, sum(round(l_extendedprice * 100)::BIGINT)::BIGINT AS sum_cents FROM lineitem WHERE l_quantity > 25 GROUP BY 1")
+
+
+def emptied(spark: SparkSession, d: str) -> DataFrame:
+    none = load_addressed(spark, d, "lineitem", ["l_quantity", "l_extendedprice"]).where("l_quantity < 0")
+    t = SlicedTable.from_df(none, {"l_quantity": QUANTITY, "l_extendedprice": CENTS}).all()
+    assert t.distinct("l_quantity").isEmpty()
+    return t.group_sum("l_quantity", "l_extendedprice").select("l_quantity", "n", F.col("sum_ord").cast("long").alias("sum_cents"))
+
+
+add("group_sum_empty", emptied, "SELECT l_quantity::INTEGER AS l_quantity, count(*)::BIGINT AS n, sum(round(l_extendedprice * 100)::BIGINT)::BIGINT AS sum_cents FROM lineitem WHERE l_quantity < 0 GROUP BY 1")
+add("mask_sample", lambda spark, d: line(spark, d).where("l_quantity > 25").sample(0.5).fetch("l_orderkey").agg((F.abs(F.count(F.lit(1)) * 2 - load(spark, d, "lineitem").where("l_quantity > 25").count()) * 5 < F.count(F.lit(1))).alias("near_half")), "SELECT true AS near_half")
 add("sliced_topk", lambda spark, d: line(spark, d).where("l_quantity > 25").fetch("l_extendedprice", "l_orderkey").orderBy(F.desc("l_extendedprice"), "l_orderkey").limit(10).select((F.col("l_extendedprice") * 100).cast("long").alias("cents"), "l_orderkey"), "SELECT round(l_extendedprice * 100)::BIGINT AS cents, l_orderkey FROM lineitem WHERE l_quantity > 25 ORDER BY 1 DESC, 2 LIMIT 10")
 
 
@@ -292,17 +320,26 @@ k AS (SELECT b, max(o_orderkey) > 14000 AS keep FROM b GROUP BY b) SELECT count(
 
 
 def bloom(spark: SparkSession, d: str) -> DataFrame:
-    t = sliced(spark, d, "lineitem", {"l_orderkey": KEY, "l_quantity": QUANTITY}, bias="block")
-    built = skipping.bloom_build(t.words, t.manifest["l_orderkey"])
-    wanted = [77, 4242, 999_999_999]
-    left = skipping.bloom_filter(t.words, built, wanted, "long")
-    return SlicedTable(left, t.manifest).where("l_orderkey IN (77, 4242, 999999999)").fetch("l_orderkey", "l_quantity")
+    t = sliced(spark, d, "lineitem", {"l_orderkey": KEY, "l_quantity": QUANTITY}, bias="block", bloom=("l_orderkey",))
+    return t.where("l_orderkey IN (77, 4242, 999999999)").fetch("l_orderkey", "l_quantity")
 
 
 add("bloom_in", bloom, "SELECT l_orderkey, l_quantity::INTEGER AS l_quantity FROM lineitem WHERE l_orderkey IN (77, 4242, 999999999)")
-add("choose_representation", lambda spark, d: planner.representation_table(load(spark, d, "lineitem"), ["l_linenumber", "l_orderkey", "l_partkey"]).withColumn("planes", F.col("planes").cast("int")), """SELECT column_name AS "column", planes, CASE WHEN planes < 32 THEN 'sliced' ELSE 'plain' END AS choice FROM (
-SELECT 'l_linenumber' AS column_name, length(format('{:b}', (max(l_linenumber) - min(l_linenumber))::BIGINT))::INTEGER AS planes FROM lineitem UNION ALL
-SELECT 'l_orderkey', length(format('{:b}', max(l_orderkey) - min(l_orderkey)))::INTEGER FROM lineitem UNION ALL SELECT 'l_partkey', length(format('{:b}', max(l_partkey) - min(l_partkey)))::INTEGER FROM lineitem)""")
+
+
+def representations(spark: SparkSession, d: str) -> DataFrame:
+    micros = TimestampCodec().ordinal(F.col("l_shipdate"))
+    cols = {"line": F.col("l_linenumber"), "order": F.col("l_orderkey"), "micros": micros, "spread": F.col("l_orderkey") * 5_000_000_000 + F.col("l_partkey")}
+    return planner.representation_table(load(spark, d, "lineitem"), cols).select("column", "planes", "choice")
+
+
+def represented(name: str, sql: str) -> str:
+    return f"SELECT '{name}' AS name, max({sql})::BIGINT - min({sql})::BIGINT AS range, count(DISTINCT {sql}) AS k FROM lineitem"
+
+
+add("choose_representation", representations, f"""SELECT name AS "column", greatest(1, length(format('{{:b}}', range)))::INTEGER AS planes,
+CASE WHEN length(format('{{:b}}', range)) <= 16 THEN 'sliced' WHEN k <= {planner.DICTIONARY} THEN 'dict' WHEN length(format('{{:b}}', range)) < 32 THEN 'sliced' ELSE 'plain' END AS choice
+FROM ({" UNION ALL ".join(represented(n, q) for n, q in (("line", "l_linenumber"), ("order", "l_orderkey"), ("micros", "epoch_us(l_shipdate)"), ("spread", "(l_orderkey * 5000000000 + l_partkey)")))})""")
 
 
 def cost(spark: SparkSession, d: str) -> DataFrame:
@@ -319,7 +356,9 @@ add("base_scalar", lambda spark, d: baselines.scalar(load(spark, d, "lineitem"),
 add("base_boxed", lambda spark, d: baselines.boxed(load(spark, d, "lineitem"), "l_quantity", lambda x: x > 25), Q1_SQL)
 add("base_arrow", lambda spark, d: baselines.arrow(load(spark, d, "lineitem"), "l_quantity", "gt", 25), Q1_SQL)
 add("base_arrow_accessor", lambda spark, d: baselines.arrow(load(spark, d, "lineitem"), "l_quantity", "gt", 25, False), Q1_SQL)
-add("base_parquet_materialised", lambda spark, d: spark.createDataFrame([(baselines.parquet_materialised(spark, f"{d}/lineitem.parquet", "l_quantity > 25"),)], "n long"), Q1_SQL)
+add("base_parquet_materialised", lambda spark, d: baselines.parquet_materialised(load(spark, d, "lineitem"), "l_quantity > 25"), Q1_SQL)
+for name, tab, text in (("long", "events", "ts > TIMESTAMP_NTZ '2024-01-10 00:00:00'"), ("long_eq", "lineitem", "l_shipdate = TIMESTAMP_NTZ '1995-06-15 00:00:00'"), ("double", "customer", "c_acctbal BETWEEN 1000 AND 5000"), ("string", "part", "p_brand = 'Brand#7'"), ("string_in", "part", "p_brand IN ('Brand#7', 'Brand#11', 'Brand#20', 'Brand#2')")):
+    add(f"base_scalar_{name}", lambda spark, d, tab=tab, text=text: baselines.scalar(load(spark, d, tab), text), f"SELECT count(*)::BIGINT AS n FROM {tab} WHERE {text.replace('_NTZ', '')}")
 add("base_parquet_pushdown", lambda spark, d: baselines.parquet_pushdown(load(spark, d, "orders"), "o_orderkey > 14000"), "SELECT count(*)::BIGINT AS n FROM orders WHERE o_orderkey > 14000")
 
 
@@ -361,16 +400,17 @@ add("sel_sweep", selectivity, "SELECT cut, count(*)::BIGINT AS n FROM (VALUES (1
 
 
 def widths(spark: SparkSession, d: str) -> DataFrame:
-    cents = F.round(F.col("l_extendedprice") * 100).cast("long")
-    df = load_addressed(spark, d, "lineitem", ["l_extendedprice"])
-    shifts = [0, 4, 8, 12, 16, 20]
-    t = SlicedTable.from_df(df, {f"w{s}": (KEY, F.shiftright(cents, s)) for s in shifts}, bias="none")
-    w = t.mask_each([f"w{s} > {5000000 >> s}" for s in shifts])
-    got = w.agg(*[F.sum(F.bit_count(f"mask{i}")).cast("long").alias(f"n{i}") for i in range(len(shifts))])
-    return got.select(F.explode(F.array(*[F.struct(F.lit(s).alias("shift"), F.lit(t.manifest[f"w{s}"].planes).alias("planes"), F.col(f"n{i}").alias("n")) for i, s in enumerate(shifts)])).alias("x")).select("x.*")
+    """Columns of 1 to 32 planes, each compared with the middle of its range."""
+    df = load_addressed(spark, d, "lineitem", ["l_orderkey", "l_partkey"])
+    spread = F.col("l_orderkey") * 2654435761 + F.col("l_partkey") * 40503
+    bits = range(1, 33)
+    t = SlicedTable.from_df(df, {f"w{b}": (KEY, spread.bitwiseAND(F.lit((1 << b) - 1))) for b in bits}, bias="none", widths={f"w{b}": b for b in bits})
+    w = t.mask_each([f"w{b} > {(1 << b) // 2 - 1}" for b in bits])
+    got = w.agg(*[F.sum(F.bit_count(f"mask{b - 1}")).cast("long").alias(f"n{b}") for b in bits])
+    return got.select(F.explode(F.array(*[F.struct(F.lit(t.manifest[f"w{b}"].planes).alias("planes"), F.col(f"n{b}").alias("n")) for b in bits])).alias("x")).select("x.*")
 
 
-add("width_sweep", widths, "SELECT s AS shift, length(format('{:b}', max(c >> s)))::INTEGER AS planes, (count(*) FILTER ((c >> s) > (5000000::BIGINT >> s)))::BIGINT AS n FROM (SELECT round(l_extendedprice * 100)::BIGINT AS c FROM lineitem), (VALUES (0), (4), (8), (12), (16), (20)) t(s) GROUP BY s")
+add("width_sweep", widths, "SELECT b::INTEGER AS planes, (count(*) FILTER (((l_orderkey * 2654435761 + l_partkey * 40503) & ((1::BIGINT << b) - 1)) > (1::BIGINT << b) // 2 - 1))::BIGINT AS n FROM lineitem, range(1, 33) t(b) GROUP BY b")
 
 
 def block_sizes(spark: SparkSession, d: str) -> DataFrame:
@@ -386,6 +426,72 @@ def block_sizes(spark: SparkSession, d: str) -> DataFrame:
 add("block_size_sweep", block_sizes, "SELECT s AS size, count(DISTINCT r // s)::BIGINT AS blocks, least(length(format('{:b}', (s - 1)::BIGINT)), length(format('{:b}', max(r))))::INTEGER AS bits FROM (SELECT row_number() OVER () - 1 AS r FROM orders), (VALUES (256), (1024), (4096), (16384)) t(s) GROUP BY s")
 
 
+#: The three columns of the throughput and footprint experiments: table, expression, predicate at about half of the rows, and SQL of both.
+DATASETS = {
+    "d1": ("lineitem", "cast(l_quantity as bigint)", 25, "l_quantity::BIGINT"),
+    "d2": ("lineitem", "floor(l_extendedprice)", 52923, "floor(l_extendedprice)::BIGINT"),
+    "d3": ("orders", "o_orderkey * 400", 400 * 700, "o_orderkey * 400"),
+}
+
+
+def dataset(spark: SparkSession, d: str, name: str, **how) -> SlicedTable:
+    tab, value, _, _ = DATASETS[name]
+    return SlicedTable.from_df(load_addressed(spark, d, tab), {"x": (KEY, F.expr(value))}, bias="none", **how)
+
+
+for name, (tab, _, cut, sql) in DATASETS.items():
+    add(f"throughput_{name}", lambda spark, d, name=name, cut=cut: dataset(spark, d, name).where(f"x > {cut}").count(), f"SELECT count(*)::BIGINT AS n FROM {tab} WHERE {sql} > {cut}")
+
+
+def footprints(spark: SparkSession, d: str) -> DataFrame:
+    """Bytes a value of each representation: planes, 32-bit integers, boxed objects of 24 bytes."""
+    parts = None
+    for name in DATASETS:
+        t = dataset(spark, d, name)
+        one = t.words.agg(F.lit(name).alias("name"), (F.count(F.lit(1)) * 8 * t.manifest["x"].planes).alias("sliced"), (F.sum(F.bit_count("live").cast("long")) * 4).alias("ints"), (F.sum(F.bit_count("live").cast("long")) * 24).alias("boxed"))
+        parts = one if parts is None else parts.unionByName(one)
+    return parts
+
+
+add("footprint", footprints, " UNION ALL ".join(f"SELECT '{n}' AS name, ((count(*) + 63) // 64 * 8 * length(format('{{:b}}', max({sql}))))::BIGINT AS sliced, count(*)::BIGINT * 4 AS ints, count(*)::BIGINT * 24 AS boxed FROM {tab}" for n, (tab, _, _, sql) in DATASETS.items()))
+
+
+def replicated(df: DataFrame, times: int) -> DataFrame:
+    """An addressed table ``times`` over: every copy of a file is a file of its own."""
+    return df.withColumn("__copy", F.explode(F.sequence(F.lit(0), F.lit(times - 1)))).withColumn(FILE, F.xxhash64(FILE, "__copy")).drop("__copy").repartition(times, FILE).sortWithinPartitions(FILE, ROW) if times > 1 else df
+
+
+def scaled(spark: SparkSession, d: str) -> DataFrame:
+    """The first pattern at one, two and four times the rows."""
+    out = None
+    for times in (1, 2, 4):
+        df = replicated(load_addressed(spark, d, "lineitem", ["l_quantity"]), times)
+        one = SlicedTable.from_df(df, {"l_quantity": QUANTITY}).where("l_quantity > 25").count().select(F.lit(times).alias("times"), "n")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+add("scaling", scaled, "SELECT k::INTEGER AS times, count(*) * k AS n FROM lineitem, (VALUES (1), (2), (4)) t(k) WHERE l_quantity > 25 GROUP BY k")
+
+
+def cardinalities(spark: SparkSession, d: str) -> DataFrame:
+    """Equality with the last of a column's strings: on planes of codes, and on codes that are not sliced."""
+    out = None
+    for tab, col in (("part", "p_type"), ("part", "p_brand"), ("part", "p_name"), ("customer", "c_name")):
+        df = load_addressed(spark, d, tab, [col])
+        known = dictionary.build(df, col, most=1 << 16)
+        t = SlicedTable.from_df(df, {col: known})
+        last = known.values[-1]
+        planes = t.where(f"{col} = '{last}'").count().select(F.col("n").alias("on_planes"))
+        codes = baselines.dict_scan(df.select(known.ordinal(F.col(col)).alias("code")), "code", [last], list(known.values)).select(F.col("n").alias("on_codes"))
+        one = planes.join(codes).select(F.lit(col).alias("col"), F.lit(len(known.values)).alias("k"), F.lit(t.manifest[col].planes).alias("planes"), "on_planes", "on_codes")  # one row each
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+add("dictionary_cardinality", cardinalities, " UNION ALL ".join(f"SELECT '{c}' AS col, count(DISTINCT {c})::INTEGER AS k, greatest(1, length(format('{{:b}}', count(DISTINCT {c}) - 1)))::INTEGER AS planes, (count(*) FILTER ({c} = (SELECT max({c}) FROM {t})))::BIGINT AS on_planes, (count(*) FILTER ({c} = (SELECT max({c}) FROM {t})))::BIGINT AS on_codes FROM {t}" for t, c in (("part", "p_type"), ("part", "p_brand"), ("part", "p_name"), ("customer", "c_name"))))
+
+
 def mixed(spark: SparkSession, d: str) -> DataFrame:
     """One block in ten is wide: adaptive width against one width for all."""
     base = load_addressed(spark, d, "lineitem", ["l_extendedprice", "l_quantity"])
@@ -418,13 +524,88 @@ for name, (query, sql) in (joins.WORKLOADS | relational.WORKLOADS).items():
 
 
 def ingest_count(spark: SparkSession, d: str) -> DataFrame:
-    from .sources.sliced import scratch
+    out, at = scratch(spark, "ingest"), scratch(spark, "ingest-checkpoint")
+    streams.ingest(streams.stream(spark, f"{d}/events.parquet"), {"value": CENTS, "event_id": KEY}, out, at)
+    return streams.ingested(spark, out).where("value > 200").fetch("event_id")
+
+
+BEYOND = "CASE WHEN event_id % 7 = 0 THEN NULL WHEN event_id % 2 = 0 THEN event_id % 100 ELSE event_id % 1000 - 300 END"
+
+
+def in_files(spark: SparkSession, rows: DataFrame, *conditions: str) -> str:
+    """One file for the rows of each condition, in this order for a stream."""
+    out = scratch(spark, "files")
+    for k, condition in enumerate(conditions):
+        time.sleep(k and 1)  # the file source orders files by time
+        rows.where(condition).coalesce(1).write.mode("append").parquet(out)
+    return out
+
 
-    codecs = {"value": CENTS, "event_id": KEY}
-    m = encode.plan(load_addressed(spark, d, "events", ["value", "event_id"]), codecs, "global")
+def ingest_beyond(spark: SparkSession, d: str) -> DataFrame:
+    """The second batch holds smaller and larger values than the first, and nulls."""
+    rows = load(spark, d, "events").selectExpr("event_id", f"IF(event_id % 14 = 0, 50, {BEYOND}) AS x")
+    files = in_files(spark, rows, "event_id % 2 = 0", "event_id % 2 = 1")
     out, at = scratch(spark, "ingest"), scratch(spark, "ingest-checkpoint")
-    streams.ingest(streams.stream(spark, f"{d}/events.parquet"), codecs, m, out, at)
-    return streams.ingested(spark, out, m).where("value > 200").fetch("event_id")
+    streams.ingest(streams.stream(spark, files), {"x": KEY, "event_id": KEY}, out, at)
+    return bounded(streams.ingested(spark, out))
+
+
+BOUNDS = {"above": "x > 110", "upto": "x <= 110", "below": "x < 0", "nulls": "x IS NULL", "known": "x >= -1000", "not_in": "x NOT IN (50, -300)"}
+
+
+def bounded(t: SlicedTable) -> DataFrame:
+    """Rows and sums of keys on either side of the first part's bounds."""
+    out = None
+    for name, text in BOUNDS.items():
+        one = t.where(text).fetch("event_id").agg(F.lit(name).alias("name"), F.count(F.lit(1)).alias("n"), F.sum("event_id").alias("sum_id"))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+def bounds_sql(value: str) -> str:
+    return " UNION ALL ".join(f"SELECT '{n}' AS name, count(*)::BIGINT AS n, sum(event_id)::BIGINT AS sum_id FROM (SELECT event_id, {value} AS x FROM events) WHERE {text}" for n, text in BOUNDS.items())
+
+
+def appended(parts: tuple[str, str], **how) -> Query:
+    """Two parts of an encoded dataset, the second appended beyond the first one's bounds."""
+    def run(spark: SparkSession, d: str) -> DataFrame:
+        path, codecs = scratch(spark, "appended"), {"x": KEY, "event_id": KEY}
+        events = load_addressed(spark, d, "events", ["event_id"])
+        first, second = (events.where(f"event_id % 2 = {k}").withColumn("x", F.expr(x)) for k, x in enumerate(parts))
+        a = SlicedTable.from_df(first, codecs, **how)
+        store.write_sliced(a, path)
+        store.write_sliced(SlicedTable.from_df(second, codecs, like=a.manifest), path, mode="append")
+        return bounded(store.read_sliced(spark, path))
+
+    return run
+
+
+add("append_bounds", appended(("event_id % 100", "event_id % 121 - 5"), bias="block"), bounds_sql("CASE WHEN event_id % 2 = 0 THEN event_id % 100 ELSE event_id % 121 - 5 END"))
+add("append_nulls", appended(("event_id % 100", "IF(event_id % 5 = 0, NULL, event_id % 121)"), bias="none"), bounds_sql("CASE WHEN event_id % 2 = 0 THEN event_id % 100 WHEN event_id % 5 = 0 THEN NULL ELSE event_id % 121 END"))
+add("stream_ingest_beyond", ingest_beyond, bounds_sql(f"CASE WHEN event_id % 14 = 0 THEN 50 ELSE {BEYOND} END"))
+
+
+LATE = "ts < TIMESTAMP_NTZ '2024-01-06 00:00:00' AND event_id % 20 = 0"
+
+
+def late_rows(spark: SparkSession, d: str) -> DataFrame:
+    """A twentieth of the first days' rows comes with the end of the month, two batches after its windows could be closed."""
+    day = "ts < TIMESTAMP_NTZ '2024-01-{} 00:00:00'".format
+    files = in_files(spark, load(spark, d, "events"), f"{day(16)} AND NOT ({LATE})", f"NOT ({day(16)}) AND {day(20)}", f"NOT ({day(20)}) OR {LATE}")
+    return streams.run_to_table(streams.late(streams.stream(spark, files), "1 hour", "1 day"), "late").selectExpr("date_format(start, 'yyyy-MM-dd') AS day", "n")
+
+
+add("stream_late", late_rows, """SELECT strftime(time_bucket(INTERVAL 1 DAY, ts), '%Y-%m-%d') AS day, count(*)::BIGINT AS n FROM events WHERE NOT (ts < TIMESTAMP '2024-01-06' AND event_id % 20 = 0)
+GROUP BY time_bucket(INTERVAL 1 DAY, ts) HAVING time_bucket(INTERVAL 1 DAY, ts) + INTERVAL 1 DAY <= (SELECT max(ts) - INTERVAL 1 HOUR FROM events)""")
+
+
+def stream_blocks(spark: SparkSession, d: str) -> DataFrame:
+    shards = streams.stream(spark, f"{d}/events.parquet").selectExpr("user_id % 4 AS shard", "event_id")
+    blocks = streams.finished(streams.run_to_table(streams.block_builder(shards, "shard", "event_id", 256), "blocks"))
+    return streams.unpacked(blocks).groupBy("shard").agg(F.count_distinct("block").alias("blocks"), F.count(F.lit(1)).alias("n"), F.sum("value").alias("sum_id"))
+
+
+add("stream_blocks", stream_blocks, "SELECT user_id % 4 AS shard, (count(*) + 255) // 256 AS blocks, count(*)::BIGINT AS n, sum(event_id)::BIGINT AS sum_id FROM events GROUP BY 1")
 
 
 def streamed(build: Callable[[DataFrame], DataFrame], label: str) -> Query:

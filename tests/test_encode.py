@@ -8,7 +8,7 @@ from bitplane.functions.codecs import DecimalCodec, IntCodec
 from bitplane.operators import aggregate, encode, skipping
 from bitplane.operators.table import SlicedTable
 from bitplane.plans import binding, planner
-from bitplane.plans.predicates import And, Not, Or, between, columns, eq, gt, in_list, is_null, le, normalise, parse
+from bitplane.plans.predicates import And, In, Not, Or, between, columns, eq, gt, in_list, is_null, le, normalise, parse
 
 LONG = IntCodec(sql="bigint")
 
@@ -126,9 +126,36 @@ def test_zone_map_and_bloom(spark):
     node = binding.bind(parse("x BETWEEN 2100 AND 2200"), t.manifest)
     kept = skipping.skipped(t.words, t.manifest, node).first()
     assert (kept.words, kept.kept) == (79, 16)
-    bloom = skipping.bloom_build(t.words, t.manifest["x"])
-    left = skipping.bloom_filter(t.words, bloom, [4097, 99999], "long").select("block_id").distinct().collect()
-    assert 4 in {r.block_id for r in left} and len(left) <= 2
+    t = SlicedTable.from_df(frame(spark, list(range(5000))), {"x": LONG}, bias="block", bloom=("x",))
+    left = t.words.where(skipping.bloom(("set", "x", (4097, 99999), False), t.manifest)).select("block_id").distinct().collect()
+    assert 4 in {r.block_id for r in left} and len(left) <= 3
+    assert skipping.bloom(("or", [("cmp", "x", "eq", 5), ("cmp", "x", "gt", 5)]), t.manifest) is None
+
+
+def test_long_lists(spark):
+    xs = [None if i % 91 == 0 else i * 7 % 5003 for i in range(4000)]
+    df = frame(spark, xs)
+    wanted = [k * 11 % 6007 - 50 for k in range(700)]
+    for bias in ("block", "global"):
+        t = SlicedTable.from_df(df, {"x": LONG}, bias=bias)
+        for negated in (False, True):
+            p = In("x", tuple(wanted), negated)
+            want = sum(x is not None and (x in set(wanted)) != negated for x in xs)
+            for how in ({}, {"engine": "numpy"}, {"mode": "oblivious"}, {"in_strategy": "hash"}):
+                assert t.where(p, **how).count().first()[0] == want
+        assert t.where(In("x", (*wanted, None), True)).count().first()[0] == 0
+    assert t.where(In("x", tuple(wanted[:40])), in_strategy="each").count().first()[0] == sum(x in set(wanted[:40]) for x in xs)
+
+
+def test_groups_and_distinct_without_known_codes(spark):
+    xs = [None if i % 50 == 0 else i * 13 % 4001 for i in range(3000)]
+    t = SlicedTable.from_df(frame(spark, xs), {"x": LONG}, bias="block")
+    kept = [x for x in xs if x is not None and x > 100]
+    assert sorted(r.x for r in t.where("x > 100").distinct("x").collect()) == sorted(set(kept))
+    got = {r.x: (r.n, int(r.sum_ord)) for r in t.where("x > 100").group_sum("x", "x").collect()}
+    assert got == {k: (kept.count(k), kept.count(k) * k) for k in set(kept)}
+    none = SlicedTable.from_df(frame(spark, []), {"x": LONG}).all()
+    assert none.distinct("x").collect() == none.group_sum("x", "x").collect() == none.group_sum("x").collect() == []
 
 
 def test_planner():
@@ -157,6 +184,9 @@ def test_metrics():
     assert metrics.compound_ops([6, 17], 64) == 24 and metrics.beats_scalar(32, 128) and not metrics.beats_scalar(64, 64)
     mean, half = metrics.mean_ci([1.0, 2.0, 3.0, 4.0, 5.0])
     assert mean == 3 and round(half, 2) == 6.09
+    # Textbook values.
+    for degrees, level, t in ((6, 0.999, 5.959), (4, 0.999, 8.610), (9, 0.999, 4.781), (1, 0.95, 12.706), (9, 0.95, 2.262), (6, 0.95, 2.447), (29, 0.95, 2.045), (200, 0.95, 1.972)):
+        assert round(metrics.t_quantile(degrees, level), 3) == t
     e = metrics.economics(1e11, 4, 250, 1.0)
     assert e["gb"] == 400 and e["nodes"] == 2 and e["usd_year"] == 4000
 
