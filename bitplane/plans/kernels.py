@@ -52,7 +52,17 @@ def catalyst(node: tuple, manifest: Manifest, mode: str = "skip") -> Column:
         return (F.bitwise_not(found) if node[3] else found).bitwiseAND(validity(spec, live))
     _, name, op, k = node
     spec = manifest[name]
-    return _leaf(spec, op, k, mode).bitwiseAND(validity(spec, live))
+    # One text a leaf: building it out of column objects would cost a call into the JVM for every plane.
+    valid = f"(coalesce({quoted(spec.header('v'))}, -1L) & live)" if spec.has_nulls else "live"
+    return F.expr(f"({_leaf(spec, op, k, mode)} & {valid})")
+
+
+def quoted(name: str) -> str:
+    return f"`{name.replace('`', '``')}`"
+
+
+def number(k: int) -> str:
+    return f"({k}L)" if k > -(1 << 63) else "(-9223372036854775807L - 1L)"
 
 
 def _members(spec: ColumnSpec, codes: tuple[int, ...], mode: str) -> Column:
@@ -69,51 +79,49 @@ def _members(spec: ColumnSpec, codes: tuple[int, ...], mode: str) -> Column:
     return F.when((F.col(spec.header("mx")) < codes[0]) | (F.col(spec.header("mn")) > codes[-1]), lit(0)).otherwise(found)
 
 
-def _leaf(spec: ColumnSpec, op: str, k: int, mode: str) -> Column:
-    planes = [F.col(spec.plane(j)) for j in range(spec.planes)]
+def _leaf(spec: ColumnSpec, op: str, k: int, mode: str) -> str:
+    """SQL of a comparison's mask."""
+    planes = [quoted(spec.plane(j)) for j in range(spec.planes)]
     if spec.literal:
         c = k - spec.base
         if c < 0 or c >> spec.planes:
-            return lit(-1 if (op in ("gt", "ge", "ne")) == (c < 0) or op == "ne" else 0)
+            return "(-1L)" if (op in ("gt", "ge", "ne")) == (c < 0) or op == "ne" else "0L"
         out = _literal(op, planes, c)
         if mode != "skip":
             return out
     else:
         # Blocks that the extremes decide are not computed, so the difference below cannot overflow.
-        delta = F.lit(k).cast("long") - F.col(spec.header("bias"))
-        out = _per_block(op, planes, delta)
-    mn, mx = F.col(spec.header("mn")), F.col(spec.header("mx"))
+        out = _per_block(op, planes, f"({number(k)} - {quoted(spec.header('bias'))})")
+    mn, mx, k = quoted(spec.header("mn")), quoted(spec.header("mx")), number(k)
     every, none = {
-        "gt": (mn > k, mx <= k), "ge": (mn >= k, mx < k), "lt": (mx < k, mn >= k), "le": (mx <= k, mn > k),
-        "eq": ((mn == k) & (mx == k), (mn > k) | (mx < k)), "ne": ((mn > k) | (mx < k), (mn == k) & (mx == k)),
+        "gt": (f"{mn} > {k}", f"{mx} <= {k}"), "ge": (f"{mn} >= {k}", f"{mx} < {k}"), "lt": (f"{mx} < {k}", f"{mn} >= {k}"), "le": (f"{mx} <= {k}", f"{mn} > {k}"),
+        "eq": (f"{mn} = {k} AND {mx} = {k}", f"{mn} > {k} OR {mx} < {k}"), "ne": (f"{mn} > {k} OR {mx} < {k}", f"{mn} = {k} AND {mx} = {k}"),
     }[op]
     if mode == "skip":
-        return F.when(every, lit(-1)).when(none, lit(0)).otherwise(out)
-    inside = (mn <= k) & (mx >= k)
-    return F.when(inside, out).otherwise(F.when(every, lit(-1)).otherwise(lit(0)))
+        return f"CASE WHEN {every} THEN -1L WHEN {none} THEN 0L ELSE {out} END"
+    return f"CASE WHEN {mn} <= {k} AND {mx} >= {k} THEN {out} WHEN {every} THEN -1L ELSE 0L END"
 
 
-def _literal(op: str, planes: list[Column], c: int) -> Column:
+def _literal(op: str, planes: list[str], c: int) -> str:
     if op in ("eq", "ne"):
-        same = all_of([p if c >> j & 1 else F.bitwise_not(p) for j, p in enumerate(planes)])
-        return same if op == "eq" else F.bitwise_not(same)
-    g = lit(-1 if op in ("ge", "lt") else 0)
+        same = " & ".join(p if c >> j & 1 else f"~{p}" for j, p in enumerate(planes))
+        return f"({same})" if op == "eq" else f"~({same})"
+    g = "-1L" if op in ("ge", "lt") else "0L"
     for j, p in enumerate(planes):
-        g = p.bitwiseAND(g) if c >> j & 1 else p.bitwiseOR(g)
-    return F.bitwise_not(g) if op in ("lt", "le") else g
+        g = f"({p} {'&' if c >> j & 1 else '|'} {g})"
+    return f"~{g}" if op in ("lt", "le") else g
 
 
-def _per_block(op: str, planes: list[Column], delta: Column) -> Column:
+def _per_block(op: str, planes: list[str], delta: str) -> str:
     """As above with the constant's bits spread to whole words: -1 where set, 0 where not."""
-    ones = [-(F.shiftrightunsigned(delta, j).bitwiseAND(lit(1))) for j in range(len(planes))]
+    ones = [f"(-(shiftrightunsigned({delta}, {j}) & 1L))" for j in range(len(planes))]
     if op in ("eq", "ne"):
-        differ = any_of([p.bitwiseXOR(m) for p, m in zip(planes, ones)])
-        return F.bitwise_not(differ) if op == "eq" else differ
-    g = lit(-1 if op in ("ge", "lt") else 0)
+        differ = " | ".join(f"({p} ^ {m})" for p, m in zip(planes, ones))
+        return f"~({differ})" if op == "eq" else f"({differ})"
+    g = "-1L" if op in ("ge", "lt") else "0L"
     for p, m in zip(planes, ones):
-        off = F.bitwise_not(m)
-        g = p.bitwiseAND(off).bitwiseOR(g.bitwiseAND(p.bitwiseXOR(off)))
-    return F.bitwise_not(g) if op in ("lt", "le") else g
+        g = f"(({p} & ~{m}) | ({g} & ({p} ^ ~{m})))"
+    return f"~{g}" if op in ("lt", "le") else g
 
 
 def _columns(op: str, a: ColumnSpec, b: ColumnSpec) -> Column:
