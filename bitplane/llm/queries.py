@@ -67,8 +67,11 @@ def _mixing_sql(share: float = 0.7, powers: tuple = (0.5, 0.7, 0.5), topics: int
     margins = ("source", "lang", "topic")
     ctes = [f"""d AS MATERIALIZED (SELECT doc_id, coalesce(source, '(none)') AS source, coalesce(lang, '(none)') AS lang,
         list_filter(regexp_split_to_array(coalesce(text, ''), '[ \\t\\n\\r]+'), lambda w: w <> '') AS words FROM documents),
-t AS MATERIALIZED (SELECT doc_id, source, lang, len(words)::BIGINT AS tokens, CASE WHEN len(words) = 0 THEN 0 ELSE
-        (('0x' || substr(sha256(list_max(list_transform(words, lambda w: {{'n': length(w), 'w': w}})).w), 1, 8))::BIGINT % {topics})::INTEGER END AS topic FROM d),
+top AS MATERIALIZED (SELECT word, n FROM (SELECT word, count(*) AS n FROM (SELECT unnest(list_distinct(list_filter(words, lambda w: length(w) BETWEEN 5 AND 7))) AS word FROM d) GROUP BY word)
+        WHERE n <= 0.1::DOUBLE * (SELECT count(*) FROM d) ORDER BY n DESC, word LIMIT {topics}),
+named AS MATERIALIZED (SELECT list(word ORDER BY n, word DESC) AS anchors FROM top),
+t AS MATERIALIZED (SELECT doc_id, source, lang, len(words)::BIGINT AS tokens,
+        coalesce(list_position(anchors, list_filter(anchors, lambda a: list_contains(words, a))[1]), 0)::INTEGER AS topic FROM d, named),
 cells AS MATERIALIZED (SELECT source, lang, topic, sum(tokens)::BIGINT AS tokens FROM t GROUP BY ALL),
 r0 AS MATERIALIZED (SELECT *, tokens / (SELECT greatest(sum(tokens), 1)::DOUBLE FROM cells) AS raked FROM cells)"""]
     for m, p in zip(margins, powers):

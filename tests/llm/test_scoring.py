@@ -22,7 +22,14 @@ def test_raking_meets_its_margins(spark):
     rnd = random.Random(4)
     rows = [(i, " ".join(f"w{rnd.randint(0, 99)}" for _ in range(rnd.randint(5, 60))), rnd.choice(["en", "en", "de"]), rnd.choice(["a", "a", "a", "b", "c"]), 1) for i in range(600)]
     df = spark.createDataFrame(rows, DOCS)
-    cells = mixing.stored(mixing.cells_of(mixing.features(df, 4)), "cells")
+    words = mixing.anchors(df, 4, most_share=0.9, sizes=(2, 3))
+    held = {w: sum(w in r[1].split() for r in rows) for w in {w for r in rows for w in r[1].split()}}
+    assert words == sorted(sorted((w for w in held if held[w] <= 540 and 2 <= len(w) <= 3), key=lambda w: (-held[w], w))[:4], key=lambda w: (held[w], [-ord(c) for c in w]))
+    tagged = mixing.features(df, words)
+    for r in tagged.collect():
+        own = r.text.split()
+        assert r["__tokens"] == len(own) and r["__topic"] == next((k + 1 for k, w in enumerate(words) if w in own), 0)
+    cells = mixing.stored(mixing.cells_of(tagged), "cells")
     wanted = {m: mixing.targets(cells, m, 0.5) for m in mixing.MARGINS}
     raked = mixing.rake(cells, wanted, 12)
     for m in mixing.MARGINS:
@@ -35,6 +42,25 @@ def test_raking_meets_its_margins(spark):
     assert sum(r["__tokens"] for r in out if r["__selected"]) == pytest.approx(total / 2, rel=0.2)
 
 
+def test_mixing_to_the_callers_targets(spark):
+    rnd = random.Random(14)
+    rows = [(i, " ".join(rnd.choices(["alpha", "beta"], k=20)), rnd.choice(["en", "de"]), rnd.choice("aab"), 1, rnd.choice(["x", "y", None])) for i in range(900)]
+    df = spark.createDataFrame(rows, DOCS + ", kind string")
+    wanted = {"source": {"a": 1, "b": 3, "absent": 5}, "lang": {"en": 0.9, "de": 0.1}, "topic": {"x": 1, "y": 1, "(none)": 2}}
+    out = mixing.weigh(df, share=0.05, wanted=wanted, topic_col="kind", rounds=20).collect()
+    mass = lambda m, v: sum(r["__tokens"] * r["__probability"] for r in out if r[f"__{m}"] == v)
+    total = sum(r["__tokens"] * r["__probability"] for r in out)
+    assert total == pytest.approx(0.05 * sum(r["__tokens"] for r in out), rel=1e-3)
+    assert mass("source", "b") / total == pytest.approx(0.75, abs=0.01) and mass("lang", "en") / total == pytest.approx(0.9, abs=0.01) and mass("topic", "(none)") / total == pytest.approx(0.5, abs=0.01)
+    none = mixing.weigh(df, wanted={"source": {"b": 1}}, topic_col="kind").collect()
+    assert all(r["__probability"] == 0 for r in none if r["__source"] == "a")
+    twice = mixing.weigh(df.unionByName(df), share=0.05, wanted=wanted, topic_col="kind", rounds=20).collect()
+    fates = {}
+    for r in twice:
+        fates.setdefault(r.doc_id, set()).add((r["__probability"], r["__selected"]))
+    assert all(len(f) == 1 for f in fates.values())
+
+
 def test_mixing_edges(spark):
     out = mixing.weigh(edge(spark))
     got = {r.doc_id: r for r in out.collect()}
