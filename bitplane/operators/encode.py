@@ -71,12 +71,12 @@ def plan(df: DataFrame, codecs: dict[str, Codec | tuple[Codec, Column]], bias: s
     return Manifest(tuple(out), block_size, got["rows"])
 
 
-def declare(codecs: dict[str, Codec | tuple[Codec, Column]], planes: dict[str, int], bias: str = "block", bases: dict[str, int] | None = None, block_size: int = 1024, bloom: tuple[str, ...] = ()) -> Manifest:
+def declare(codecs: dict[str, Codec | tuple[Codec, Column]], planes: dict[str, int], bias: str | dict[str, str] = "block", bases: dict[str, int] | None = None, block_size: int = 1024, bloom: tuple[str, ...] = ()) -> Manifest:
     """A manifest without a scan: plane counts (and literal bases) are stated, and packing fails where they do not hold.
 
     Bounds become known when the words are written (sources.sliced).
     """
-    cols = [ColumnSpec(c, k[0] if isinstance(k, tuple) else k, bias, planes[c], (bases or {}).get(c, 0), bloom=c in bloom) for c, k in codecs.items()]
+    cols = [ColumnSpec(c, k[0] if isinstance(k, tuple) else k, bias if isinstance(bias, str) else bias.get(c, "block"), planes[c], (bases or {}).get(c, 0), bloom=c in bloom) for c, k in codecs.items()]
     return Manifest(tuple(cols), block_size).open()
 
 

@@ -41,13 +41,14 @@ class SlicedTable:
         p = planner.order_conjuncts(predicates.normalise(p), self.manifest) if mode == "skip" else p
         engine = planner.kernel_for(self.measured) if engine == "auto" else engine
         node = binding.bind(p, self.manifest, in_strategy)
+        every = None
         if engine == "numpy":
             masked = _numpy(self.words, self.manifest, node, kernel)
         else:
             words = skipping.zone_filter(self.words, self.manifest, node) if mode == "skip" else self.words
             mask = kernels.array_mask(node, self.manifest) if engine == "array" else kernels.catalyst(node, self.manifest, mode)
-            masked = select.with_mask(words, mask)
-        return Selection(masked, self, node)
+            masked, every = select.with_mask(words, mask), words.select(mask.alias("mask"))
+        return Selection(masked, self, node, every)
 
     def calibrate(self, pred: Pred | str) -> dict[str, float]:
         """Times a count on both engines and remembers it for ``engine="auto"``."""
@@ -118,9 +119,10 @@ class Selection:
     masked: DataFrame
     table: SlicedTable
     node: tuple
+    every: DataFrame | None = None  # the masks alone, empty ones too: a count need not compute them twice to drop those
 
     def count(self) -> DataFrame:
-        return aggregate.count(self.masked)
+        return aggregate.count(self.masked if self.every is None else self.every)
 
     def summary(self, col: str) -> DataFrame:
         return aggregate.summary(self.masked, self.table.manifest[col])
