@@ -196,6 +196,9 @@ def sample_features(df: DataFrame, ids: DataFrame) -> Sample:
 
     chosen = df.join(F.broadcast(ids), "doc_id", "left_semi").dropDuplicates(["doc_id"])
     got = chosen.mapInArrow(run, "doc_id long, layout array<int>, meta array<int>, index array<short>, share array<float>").toArrow().combine_chunks()
+    if not len(got):  # no labelled document is in the table
+        none = np.empty((0, 1), np.int32)
+        return Sample(np.empty(0, np.int64), none, none, np.zeros(1, np.int64), np.empty(0, np.int16), np.empty(0, np.float32))
     order = np.argsort(got["doc_id"].to_numpy())
     got = got.take(pa.array(order))
     index, share = got["index"].combine_chunks(), got["share"].combine_chunks()

@@ -2,6 +2,7 @@
 
 import hashlib
 import random
+import zlib
 
 import numpy as np
 import pytest
@@ -169,6 +170,50 @@ def test_fingerprints():
     assert ctph.fingerprints(["x" + base, far])[0] == ctph.fingerprints(["x" + base])[0]
 
 
+def plain_fingerprint(text):
+    """The fingerprint byte by byte: a rolling hash of seven bytes, one digit a piece."""
+    raw = text.encode()
+
+    def pieces(size, most):
+        out, start, window = "", 0, [0] * 7
+        for at, byte in enumerate(raw):
+            window = window[1:] + [byte]
+            total = sum(window) + sum((k + 1) * b for k, b in enumerate(window))
+            shifted = 0
+            for b in window:
+                shifted = (shifted << 5 ^ b) & 0xFFFFFFFF
+            if ((total + shifted) % 2**32 + 1) % size == 0 and len(out) < most - 1:
+                out += ctph.DIGITS[(zlib.crc32(raw[start : at + 1]) * 0x9E3779B1 >> 20) & 63]
+                start = at + 1
+        return out + (ctph.DIGITS[(zlib.crc32(raw[start:]) * 0x9E3779B1 >> 20) & 63] if start < len(raw) else "")
+
+    size = 3
+    while size * 64 < len(raw):
+        size *= 2
+    while size > 3 and len(pieces(size, 10**9)) - (len(raw) > 0) < 32:
+        size //= 2
+    return f"{size}:{pieces(size, 64)}:{pieces(2 * size, 32)}" if raw else "3::"
+
+
+def edit_distance(a, b):
+    row = list(range(len(b) + 1))
+    for i, x in enumerate(a):
+        new = [i + 1]
+        for j, y in enumerate(b):
+            new.append(row[j] if x == y else 1 + min(row[j + 1], new[j]))
+        row = new
+    return row[-1]
+
+
+def test_fingerprints_against_a_plain_rolling_hash():
+    rnd = random.Random(17)
+    texts = ["", "a", "abc" * 5, "é中😀" * 30] + ["".join(rnd.choices("abcdefgh \n.,é", k=rnd.randint(1, 6000))) for _ in range(60)]
+    assert ctph.fingerprints(texts) == [plain_fingerprint(t) for t in texts]
+    for _ in range(200):
+        a, b = ("".join(rnd.choices("abcd", k=rnd.randint(1, 60))) for _ in "xy")
+        assert len(a) + len(b) - 2 * ctph.common_length(a, b) == edit_distance(a, b)
+
+
 @pytest.mark.parametrize("rows", [EDGE, EDGE[:1], []])
 def test_fingerprint_neighbours(spark, rows):
     order = sorted(rows, key=lambda r: (r[0] is None, -(r[0] or 0), r[1] or ""))
@@ -295,3 +340,14 @@ def test_pipeline(spark, small):
         ids = set(left)
     out = corpus_pipeline.run(spark, small).collect()
     assert {r.doc_id for r in out} == ids and all(len(r.token_ids) == r.n_tokens for r in out)
+
+
+def test_pipeline_on_empty_tables_and_clashing_columns(spark, small, tmp_path):
+    docs = spark.read.parquet(f"{small}/documents.parquet")
+    labels = spark.read.parquet(f"{small}/labels.parquet")
+    for name, some in (("none", docs.limit(0)), ("clash", docs.withColumns({"node": F.lit("x"), "kept": F.lit(1), "topic": F.lit("t"), "token_ids": F.lit("y"), "__keep": F.lit(2)}))):
+        some.write.parquet(f"{tmp_path}/{name}/documents.parquet")
+        labels.write.parquet(f"{tmp_path}/{name}/labels.parquet")
+    assert corpus_pipeline.run(spark, f"{tmp_path}/none").collect() == []
+    plain, clash = (corpus_pipeline.run(spark, d).select("doc_id", "ids_sha256").collect() for d in (small, f"{tmp_path}/clash"))
+    assert sorted(plain) == sorted(clash) and plain
