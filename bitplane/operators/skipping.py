@@ -2,12 +2,10 @@
 
 from __future__ import annotations
 
-from functools import reduce
-
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.bits import lit
+from ..functions.bits import balanced, lit
 from ..plans import blooms
 from ..plans.spec import Manifest
 
@@ -17,9 +15,9 @@ def zone(node: tuple, manifest: Manifest) -> Column | None:
     if node[0] in ("and", "or"):
         parts = [zone(x, manifest) for x in node[1]]
         if node[0] == "or":
-            return None if not parts or any(p is None for p in parts) else reduce(lambda a, b: a | b, parts)
+            return None if not parts or any(p is None for p in parts) else balanced(lambda a, b: a | b, parts)
         parts = [p for p in parts if p is not None]
-        return reduce(lambda a, b: a & b, parts) if parts else None
+        return balanced(lambda a, b: a & b, parts) if parts else None
     if node[0] == "none":
         return F.lit(False)
     if node[0] == "set" and not node[3]:
@@ -41,7 +39,7 @@ def zone_filter(words: DataFrame, manifest: Manifest, node: tuple) -> DataFrame:
 def skipped(words: DataFrame, manifest: Manifest, node: tuple) -> DataFrame:
     """Words in all and words left by extremes and Bloom filters."""
     conds = [c for c in (zone(node, manifest), bloom(node, manifest)) if c is not None]
-    cond = reduce(lambda a, b: a & b, conds) if conds else None
+    cond = balanced(lambda a, b: a & b, conds) if conds else None
     return words.agg(F.count(F.lit(1)).alias("words"), F.coalesce(F.count_if(cond if cond is not None else F.lit(True)), lit(0)).alias("kept"))
 
 
@@ -53,12 +51,12 @@ def bloom(node: tuple, manifest: Manifest) -> Column | None:
     """Words that may hold a constant of an equality or IN by their headers' Bloom filters; None if all may."""
     if node[0] == "and":
         parts = [p for p in (bloom(x, manifest) for x in node[1]) if p is not None]
-        return reduce(lambda a, b: a & b, parts) if parts else None
+        return balanced(lambda a, b: a & b, parts) if parts else None
     if node[0] == "or":
         parts = [bloom(x, manifest) for x in node[1]]
-        return None if not parts or len(parts) > BLOOM_CONSTANTS or any(p is None for p in parts) else reduce(lambda a, b: a | b, parts)
+        return None if not parts or len(parts) > BLOOM_CONSTANTS or any(p is None for p in parts) else balanced(lambda a, b: a | b, parts)
     if node[0] == "cmp" and node[2] == "eq" and manifest[node[1]].bloom:
         return blooms.may_hold(manifest[node[1]], node[3])
     if node[0] == "set" and not node[3] and manifest[node[1]].bloom and len(node[2]) <= BLOOM_CONSTANTS:
-        return reduce(lambda a, b: a | b, [blooms.may_hold(manifest[node[1]], k) for k in node[2]])
+        return balanced(lambda a, b: a | b, [blooms.may_hold(manifest[node[1]], k) for k in node[2]])
     return None

@@ -92,7 +92,7 @@ MANY = ", ".join(str(k * 13 % 20011) for k in range(1000))
 add("pred_in1000", predicate(f"l_orderkey IN ({MANY})"), ROWS_SQL.format(f"l_orderkey IN ({MANY})"))
 add("pred_not_in1000", predicate(f"l_orderkey NOT IN ({MANY}) AND l_quantity > 25"), ROWS_SQL.format(f"l_orderkey NOT IN ({MANY}) AND l_quantity > 25"))
 add("engine_numpy_in1000", predicate(f"l_orderkey IN ({MANY})", engine="numpy", bias="block"), ROWS_SQL.format(f"l_orderkey IN ({MANY})"))
-add("in_by_equality_400", predicate(f"l_orderkey IN ({', '.join(str(37 * k) for k in range(400))})", in_strategy="each"), ROWS_SQL.format("l_orderkey % 37 = 0 AND l_orderkey < 14800"))
+add("in_by_equality_64", predicate(f"l_orderkey IN ({', '.join(str(23 * k) for k in range(64))})", in_strategy="each"), ROWS_SQL.format("l_orderkey % 23 = 0 AND l_orderkey < 1472"))
 add("in_by_hash", predicate(PREDICATES["in16"], in_strategy="hash", bias="block"), ROWS_SQL.format(PREDICATES["in16"]))
 add("widths_fixed_32", predicate(PREDICATES["and"], widths={c: 32 for c in LINEITEM}), ROWS_SQL.format(PREDICATES["and"]))
 add("widths_fixed_64", predicate(PREDICATES["nested"], bias="none", widths={c: 64 for c in LINEITEM}), ROWS_SQL.format(PREDICATES["nested"]))
