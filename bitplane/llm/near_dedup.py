@@ -21,7 +21,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from . import bagminhash as bag
-from .common import Shelf, gather_scatter, hand_down, leaf_count, leaf_of, merge_up
+from .common import Shelf, gather_scatter, hand_down, leaf_count, leaf_of, lean, merge_up
 
 U = np.uint64
 ROWS_AT_ONCE = 256
@@ -59,7 +59,7 @@ def sign(df: DataFrame, width: int, rows: int, n_bands: int, id_col: str, text_c
             yield pa.RecordBatch.from_arrays([part.column(0), part.column(2), pa.array(nodes, pa.binary()), lists], ["id", "mark", "node", "bands"])
 
     rows_in = df.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"), F.xxhash64(text_col).alias("mark"))
-    return rows_in.mapInArrow(run, "id long, mark long, node binary, bands array<long>")
+    return rows_in.mapInArrow(lean(run), "id long, mark long, node binary, bands array<long>")
 
 
 def parities(elements: np.ndarray, bound: np.ndarray) -> np.ndarray:
@@ -86,7 +86,7 @@ def elements(df: DataFrame, width: int) -> DataFrame:
             out = pa.RecordBatch.from_arrays([pa.array(nodes, pa.binary()), pa.array(np.diff(bound).astype(np.int64)), sketch, lists], ["node", "n", "sketch", "elements"])
             yield out.filter(pa.array([a == b for a, b in zip(nodes, part.column(2).to_pylist())]))
 
-    return df.mapInArrow(run, "node binary, n long, sketch array<long>, elements array<long>")
+    return df.mapInArrow(lean(run), "node binary, n long, sketch array<long>, elements array<long>")
 
 
 #: Pairs of one node that a task checks; a node with more is read by several tasks.

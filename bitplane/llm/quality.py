@@ -23,6 +23,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import give_back, lean
+
 DIMS, SLOTS = 1 << 14, 1 << 12
 FIELDS = ["source", "lang", "n_chars"]
 #: Shares of a document's trigrams are added as whole multiples of 1 / SCALE, so the order of adding does not matter.
@@ -195,7 +197,7 @@ def sample_features(df: DataFrame, ids: DataFrame) -> Sample:
                 yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(list(shapes), pa.list_(pa.int32())), pa.array(list(meta), pa.list_(pa.int32())), pa.array(index, pa.list_(pa.int16())), pa.array(share, pa.list_(pa.float32()))], ["doc_id", "layout", "meta", "index", "share"])
 
     chosen = df.join(F.broadcast(ids), "doc_id", "left_semi").dropDuplicates(["doc_id"])
-    got = chosen.mapInArrow(run, "doc_id long, layout array<int>, meta array<int>, index array<short>, share array<float>").toArrow().combine_chunks()
+    got = chosen.mapInArrow(lean(run), "doc_id long, layout array<int>, meta array<int>, index array<short>, share array<float>").toArrow().combine_chunks()
     if not len(got):  # no labelled document is in the table
         none = np.empty((0, 1), np.int32)
         return Sample(np.empty(0, np.int64), none, none, np.zeros(1, np.int64), np.empty(0, np.int16), np.empty(0, np.float32))
@@ -286,7 +288,7 @@ def pool_counts(docs: DataFrame, known: np.ndarray, weights: Weights, content_ca
         at = np.flatnonzero(flat)
         yield pa.RecordBatch.from_arrays([pa.array(at.astype(np.int32)), pa.array(flat[at])], ["slot", "n"])
 
-    got = docs.mapInArrow(run, "slot int, n long").groupBy("slot").agg(F.sum("n").alias("n")).toArrow()
+    got = docs.mapInArrow(lean(run), "slot int, n long").groupBy("slot").agg(F.sum("n").alias("n")).toArrow()
     flat = Counts.zero().flat()
     flat[got["slot"].to_numpy()] = got["n"].to_numpy()
     return Counts.of(flat)
@@ -359,7 +361,7 @@ def score(docs: DataFrame, model: Model | None) -> DataFrame:
                 p = model.score(*rows_of(part))
                 yield pa.RecordBatch.from_arrays([part.column("doc_id"), *map(pa.array, p), pa.array(model.keeps(p[2]))], ["doc_id", "p_content", "p_metadata", "p_quality", "kept"])
 
-    return prepared(docs).mapInArrow(run, schema)
+    return prepared(docs).mapInArrow(lean(run), schema)
 
 
 def prepared(docs: DataFrame) -> DataFrame:
@@ -387,6 +389,7 @@ def keep_good(docs: DataFrame, labels: DataFrame, **how) -> DataFrame:
             texts = [t or "" for t in text[i : i + 512]]
             fields = [(s, g, None if n != n or n is None else int(n)) for s, g, n in zip(source[i : i + 512], lang[i : i + 512], n_chars[i : i + 512])]
             out.append(model.keeps(model.score(texts, fields)[2]))
+        give_back()
         return text.__class__(np.concatenate(out) if out else [], dtype=bool)
 
     cols = [(F.col(c) if c in names else F.lit(None)).cast(k) for c, k in (("source", "string"), ("lang", "string"), ("n_chars", "long"))]

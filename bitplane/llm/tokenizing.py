@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import contextlib
 import functools
 import gc
 import hashlib
@@ -13,6 +14,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .bpe import MergeList, TokenDecoder, WordEncoder
+from .common import lean
 from .token_counts import TokenCounter
 
 #: Rows handled at once; memory is bounded by them and by the longest text.
@@ -21,7 +23,7 @@ ROWS = 512
 
 @functools.lru_cache(maxsize=2)
 def encoder(path: str) -> WordEncoder:
-    """One encoder a worker process, so that its memo outlives the task."""
+    """One encoder a worker process, so that its memo outlives the task, unless ``memo_for_task`` ends it."""
     gc.disable()  # the memo holds no cycles, and scanning it costs more than the work
     return WordEncoder(MergeList.load(path))
 
@@ -37,6 +39,17 @@ def counter(path: str) -> TokenCounter:
     return TokenCounter(MergeList.load(path))
 
 
+@contextlib.contextmanager
+def memo_for_task(enc: WordEncoder) -> Iterator[None]:
+    """Empties the memo when a task ends: the worker process goes on to run other operators' tasks."""
+    gc.disable()
+    try:
+        yield
+    finally:
+        enc.memo.clear()
+        gc.enable()
+
+
 def portions(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[pa.RecordBatch, list[str]]]:
     for batch in batches:
         for i in range(0, batch.num_rows, ROWS):
@@ -96,28 +109,29 @@ def round_trip(df: DataFrame, vocabulary: str, keep_ids: bool = False, id_col: s
 
     def run(batches):
         enc, dec = encoder(vocabulary), decoder(vocabulary)
-        for part, texts in portions(batches):
-            counts, ids_sha, text_sha, lists = [], [], [], []
-            for portions_of_text in enc.encode_many(texts):
-                n, ids_hash, text_hash, kept = 0, hashlib.sha256(), hashlib.sha256(), []
-                for ids in portions_of_text:
-                    n += len(ids)
-                    ids_hash.update(ids)
+        with memo_for_task(enc):
+            for part, texts in portions(batches):
+                counts, ids_sha, text_sha, lists = [], [], [], []
+                for portions_of_text in enc.encode_many(texts):
+                    n, ids_hash, text_hash, kept = 0, hashlib.sha256(), hashlib.sha256(), []
+                    for ids in portions_of_text:
+                        n += len(ids)
+                        ids_hash.update(ids)
+                        if keep_ids:
+                            kept.append(ids)
+                        text_hash.update(dec.push(ids).encode())
+                    text_hash.update(dec.finish().encode())
+                    counts.append(n)
+                    ids_sha.append(ids_hash.hexdigest())
+                    text_sha.append(text_hash.hexdigest())
                     if keep_ids:
-                        kept.append(ids)
-                    text_hash.update(dec.push(ids).encode())
-                text_hash.update(dec.finish().encode())
-                counts.append(n)
-                ids_sha.append(ids_hash.hexdigest())
-                text_sha.append(text_hash.hexdigest())
+                        lists.append(np.concatenate([np.empty(0, np.int32), *kept]).astype(np.int32))
+                cols = [part.column(0), pa.array(counts, pa.int64()), pa.array(ids_sha, pa.string()), pa.array(text_sha, pa.string())]
                 if keep_ids:
-                    lists.append(np.concatenate([np.empty(0, np.int32), *kept]).astype(np.int32))
-            cols = [part.column(0), pa.array(counts, pa.int64()), pa.array(ids_sha, pa.string()), pa.array(text_sha, pa.string())]
-            if keep_ids:
-                cols.append(pa.array(lists, pa.list_(pa.int32())))
-            yield pa.RecordBatch.from_arrays(cols, names)
+                    cols.append(pa.array(lists, pa.list_(pa.int32())))
+                yield pa.RecordBatch.from_arrays(cols, names)
 
     schema = "__id long, n_tokens long, ids_sha256 string, decoded_sha256 string" + ", token_ids array<int>" * keep_ids
     names = [f.split(" ")[0] for f in schema.split(", ")]
     rows = df.select(F.col(id_col).cast("long").alias("__id"), F.col(text_col).alias("__text"))
-    return rows.mapInArrow(run, schema).withColumnRenamed("__id", id_col)
+    return rows.mapInArrow(lean(run), schema).withColumnRenamed("__id", id_col)

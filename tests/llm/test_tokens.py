@@ -146,3 +146,16 @@ def test_sequence_files(spark):
     empty = scratch(spark, "test-sequences")
     token_output.write_sequences(frame(spark, []), empty, WORDS)
     assert token_output.read_documents(spark, empty).collect() == []
+
+
+def test_workers_keep_no_memo(spark):
+    """An executor's Python workers live on: what a round trip learned is gone when its tasks end."""
+    docs = spark.range(0, 4000, 1, 8).selectExpr("id AS doc_id", "concat_ws(' ', transform(sequence(0, 20), i -> sha2(concat(id, i), 256))) AS text")
+    assert tokenizing.round_trip(docs, WORDS).agg({"n_tokens": "sum"}).first()[0] > 0
+
+    def held(batches):
+        for _ in batches:
+            pass
+        yield pa.RecordBatch.from_arrays([pa.array([len(tokenizing.encoder(WORDS).memo)])], ["n"])
+
+    assert [r.n for r in spark.range(0, 8, 1, 8).mapInArrow(held, "n long").collect()] == [0] * 8
