@@ -42,6 +42,18 @@ def test_query(spark, duck, small, name):
         assert rows(df.columns, got) == rows(cols, cur.fetchall())
 
 
+def test_cardinality_beyond_literals(spark, small, tmp_path):
+    """More names than a dictionary of literals may hold."""
+    spark.read.parquet(f"{small}/part.parquet").write.parquet(f"{tmp_path}/part.parquet")
+    spark.range(70_000).selectExpr("id AS c_custkey", "concat('Customer#', id) AS c_name").write.parquet(f"{tmp_path}/customer.parquet")
+    con = duckdb.connect()
+    for t in ("part", "customer"):
+        con.execute(f"CREATE VIEW {t} AS SELECT * FROM read_parquet('{tmp_path}/{t}.parquet/*.parquet')")
+    df = workloads.QUERIES["dictionary_cardinality"](spark, str(tmp_path))
+    cur = con.execute(workloads.ORACLES["dictionary_cardinality"])
+    assert rows(df.columns, df.collect()) == rows([c[0] for c in cur.description], cur.fetchall())
+
+
 def test_entry(spark):
     import __spark_entry__
 
