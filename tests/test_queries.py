@@ -42,6 +42,13 @@ def test_query(spark, duck, small, name):
         assert rows(df.columns, got) == rows(cols, cur.fetchall())
 
 
+@pytest.mark.parametrize("name", [
+    "m_block_bytes",
+])
+def test_measures_read_their_table(spark, small, name):
+    assert [f.rsplit("/", 1)[1] for f in workloads.QUERIES[name](spark, small).inputFiles()] == ["lineitem.parquet"]
+
+
 def test_cardinality_beyond_literals(spark, small, tmp_path):
     """More names than a dictionary of literals may hold."""
     spark.read.parquet(f"{small}/part.parquet").write.parquet(f"{tmp_path}/part.parquet")
