@@ -45,6 +45,7 @@ def test_query(spark, duck, small, name):
 @pytest.mark.parametrize("name", [
     "m_block_bytes",
     "m_break_even",
+    "m_cluster_seconds",
 ])
 def test_measures_read_their_table(spark, small, name):
     assert [f.rsplit("/", 1)[1] for f in workloads.QUERIES[name](spark, small).inputFiles()] == ["lineitem.parquet"]
