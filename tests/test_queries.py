@@ -49,6 +49,7 @@ def test_query(spark, duck, small, name):
     "m_compound_cost",
     "m_compression",
     "m_economics",
+    "m_passes",
 ])
 def test_measures_read_their_table(spark, small, name):
     assert [f.rsplit("/", 1)[1] for f in workloads.QUERIES[name](spark, small).inputFiles()] == ["lineitem.parquet"]
