@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import contextlib
 import ctypes
+import gc
 import os
 import uuid
 from collections.abc import Callable, Iterator
@@ -49,10 +50,13 @@ def stored(df: DataFrame, label: str) -> DataFrame:
 
 
 class Shelf:
-    """Stored intermediate tables of one operator, in one folder of the shared place."""
+    """Stored intermediate tables of one operator, in one folder of the shared place.
 
-    def __init__(self, spark: SparkSession, label: str):
-        self.spark, self.root = spark, scratch(spark, label)
+    With ``rest``, the driver's memory is given back after every so many tables.
+    """
+
+    def __init__(self, spark: SparkSession, label: str, rest: int | None = None):
+        self.spark, self.root, self.rest = spark, scratch(spark, label), rest
         self.held: list[tuple[DataFrame, str]] = []
 
     def put(self, df: DataFrame) -> DataFrame:
@@ -61,6 +65,8 @@ class Shelf:
         df.write.parquet(path)
         out = self.spark.read.schema(df.schema).parquet(path)
         self.held.append((out, path))
+        if self.rest and len(self.held) % self.rest == 0:
+            driver_gives_back(self.spark)
         return out
 
     def clear(self, *keep: DataFrame) -> None:
@@ -78,6 +84,27 @@ def give_back() -> None:
         ctypes.CDLL(None).malloc_trim(0)
 
 
+def driver_gives_back(spark: SparkSession) -> str:
+    """Returns what the driver has freed to the system; what its JVM says of its native memory, empty if it can't.
+
+    Many short queries leave plans, shuffles and broadcasts that the driver drops only when it happens to collect
+    garbage, a heap grown for them, and freed native memory in the C library's arenas, one or more a thread.
+    """
+    gc.collect()  # frames in cycles hold their plans in the JVM
+    give_back()
+    jvm, new_array = spark._jvm, spark.sparkContext._gateway.new_array
+    jvm.System.gc()
+    with contextlib.suppress(Exception):  # JVMs from 17 on, and glibc, have the command
+        kinds, values = new_array(jvm.Class, 4), new_array(jvm.Object, 4)
+        for i, kind in enumerate(("javax.management.ObjectName", "java.lang.String", "[Ljava.lang.Object;", "[Ljava.lang.String;")):
+            kinds[i] = jvm.Class.forName(kind)
+        values[0], values[1] = jvm.javax.management.ObjectName("com.sun.management:type=DiagnosticCommand"), "systemTrimNativeHeap"
+        # The server's own class is hidden, its interface is not.
+        call = jvm.Class.forName("javax.management.MBeanServer").getMethod("invoke", kinds)
+        return str(call.invoke(jvm.java.lang.management.ManagementFactory.getPlatformMBeanServer(), values))
+    return ""
+
+
 def lean(run: Callable[[Iterator], Iterator]) -> Callable[[Iterator], Iterator]:
     """A function for mapInArrow that gives freed memory back when its task ends."""
 
@@ -104,14 +131,16 @@ def leaf_of(row_id: Column, leaves: int) -> Column:
     return F.pmod(F.xxhash64(row_id), F.lit(leaves)).cast("int")
 
 
-def hand_down(rows: DataFrame, table: DataFrame, keys: list[str], how: str = "inner") -> DataFrame:
+def hand_down(rows: DataFrame, table: DataFrame, keys: list[str], how: str = "inner", hint: str | None = None) -> DataFrame:
     """Joins ``table``, with one row a key, to ``rows`` in which one key may have a third of all rows.
 
     ``rows`` has ``__leaf``.  The table meets one row for each key and leaf first (at most as many a key as
     there are leaves) and the rows of a leaf then meet their own copy, so a hot key is spread over all leaves.
+    ``hint`` names the strategy of both joins.
     """
+    hinted = (lambda df: df.hint(hint)) if hint else (lambda df: df)
     held = rows.groupBy(*keys, "__leaf").agg(F.count(F.lit(1)).alias("__held"))
-    return rows.join(held.join(table, keys).drop("__held"), [*keys, "__leaf"], how)
+    return rows.join(hinted(held.join(hinted(table), keys).drop("__held")), [*keys, "__leaf"], how)
 
 
 def merge_up(runs: DataFrame, keys: list[str], leaves: int, merge: list[Column], fan: int = 16) -> DataFrame:
@@ -126,11 +155,11 @@ def merge_up(runs: DataFrame, keys: list[str], leaves: int, merge: list[Column],
     return level.drop("__leaf")
 
 
-def gather_scatter(rows: DataFrame, keys: list[str], leaves: int, first: list[Column], merge: list[Column], keep: Column, how: str = "inner") -> DataFrame:
+def gather_scatter(rows: DataFrame, keys: list[str], leaves: int, first: list[Column], merge: list[Column], keep: Column, how: str = "inner", hint: str | None = None) -> DataFrame:
     """Aggregates per key over a tree of leaves and hands the results that satisfy ``keep`` back to the rows.
 
     ``rows`` has ``keys`` and ``__leaf``, and is read several times: store what is dear to make.
     ``first`` builds a leaf's run, ``merge`` combines runs; both name the same columns.
     """
     runs = rows.groupBy(*keys, "__leaf").agg(*first)
-    return hand_down(rows, merge_up(runs, keys, leaves, merge).where(keep), keys, how)
+    return hand_down(rows, merge_up(runs, keys, leaves, merge).where(keep), keys, how, hint)

@@ -8,11 +8,13 @@ checked against each other, as far as the elements they could share allow, and a
 into blocks whose pairs are separate tasks.  Nothing is capped, and tables that grow with the data
 stay distributed.  Whatever is joined on a key that may be hot (a bucket, a leader, a class, the
 node of many copies) goes through leaves (common.hand_down), so such a key is spread over tasks.
+Joins of intermediate tables are merge joins: dozens of small broadcasts a run would all be built in the driver.
 """
 
 from __future__ import annotations
 
 from collections.abc import Callable, Iterator
+from functools import partial
 
 import numpy as np
 import pyarrow as pa
@@ -21,12 +23,17 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from . import bagminhash as bag
-from .common import Shelf, gather_scatter, hand_down, leaf_count, leaf_of, lean, merge_up
+from . import common
+from .common import Shelf, leaf_count, leaf_of, lean, merge_up
+
+gather_scatter, hand_down = (partial(f, hint="merge") for f in (common.gather_scatter, common.hand_down))
 
 U = np.uint64
 ROWS_AT_ONCE = 256
 #: Words of 64 bits in a node's parity bitmap.
 SKETCH = 16
+#: Stored tables after which the driver gives memory back.
+REST = 8
 
 
 def _parts(batches: Iterator[pa.RecordBatch], rows: int = ROWS_AT_ONCE):
@@ -129,7 +136,7 @@ def components(nodes: DataFrame, edges: DataFrame, start: DataFrame | None, leav
     labels = start if start is not None else shelf.put(nodes.select("node", F.col("node").alias("comp")))
     while True:
         seen = hand_down(both, labels.select(F.col("node").alias("a"), "comp"), ["a"]).groupBy(F.col("b").alias("node")).agg(F.min("comp").alias("near"))
-        hooked = labels.join(seen, "node", "left").select("node", F.col("comp").alias("old"), F.least("comp", F.coalesce("near", "comp")).alias("comp"))
+        hooked = labels.join(seen.hint("merge"), "node", "left").select("node", F.col("comp").alias("old"), F.least("comp", F.coalesce("near", "comp")).alias("comp"))
         hooked = shelf.put(hooked.withColumn("__leaf", leaf_of(F.col("node"), leaves)))
         # A class follows the smallest label that any of its nodes has seen.
         roots = hooked.groupBy("old").agg(F.min("comp").alias("root"))
@@ -179,7 +186,7 @@ def classes(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", width
     of their own.  Rows that repeat an id share class and verdict if their texts do.
     Null ids are never the class id unless a whole class has none.
     """
-    leaves, shelf = leaf_count(df.sparkSession), Shelf(df.sparkSession, "near")
+    leaves, shelf = leaf_count(df.sparkSession), Shelf(df.sparkSession, "near", REST)
     signed = sign(df, width, rows, n_bands, id_col, text_col)
     signed = shelf.put(signed.withColumn("__leaf", leaf_of(F.col("id"), leaves)))
     known = signed.where("node is not null")

@@ -10,11 +10,13 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from bitplane.llm import exact_dedup, mixing, near_dedup, quality, tokenizing
-from bitplane.llm.common import scratch, table, vocabulary_path
+from bitplane.llm.common import driver_gives_back, scratch, table, vocabulary_path
 
 
 def reject_low_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return quality.keep_good(docs, table(spark, sf_dir, "labels"))
+    good = quality.keep_good(docs, table(spark, sf_dir, "labels"))
+    driver_gives_back(spark)  # the fits
+    return good
 
 
 def drop_exact_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -26,7 +28,9 @@ def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return mixing.mix(docs)
+    mixed = mixing.mix(docs)
+    driver_gives_back(spark)  # the raking's plans
+    return mixed
 
 
 def encode_tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

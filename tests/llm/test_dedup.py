@@ -9,7 +9,7 @@ import numpy as np
 import pytest
 
 from bitplane.llm import bagminhash as bag
-from bitplane.llm import exact_dedup, line_dedup, near_dedup
+from bitplane.llm import common, exact_dedup, line_dedup, near_dedup
 
 SCHEMA = "doc_id long, text string, keep_id string, comp string"
 
@@ -146,6 +146,22 @@ def test_near_hot_group(spark, monkeypatch):
     assert got == brute_classes(rows)
 
 
+def test_near_spares_the_driver(spark, monkeypatch):
+    """Stored tables meet without broadcasts, and the driver gives memory back between them."""
+    plans, said = [], []
+    put, back = common.Shelf.put, common.driver_gives_back
+    monkeypatch.setattr(common.Shelf, "put", lambda self, df: plans.append(df._jdf.queryExecution().executedPlan().toString()) or put(self, df))
+    monkeypatch.setattr(common, "driver_gives_back", lambda s: said.append(back(s)))
+    words = [f"w{i}" for i in range(60)]
+    rows = [(n, " ".join(words[n:] + [f"v{k}" for k in range(n)])) for n in range(12)] + [(100 + n, " ".join(words)) for n in range(4)]
+    got = sorted((tuple(r) for r in near_dedup.classes(docs(spark, rows)).collect()), key=repr)
+    assert got == brute_classes(rows)
+    assert sum("SortMergeJoin" in p for p in plans) > 10
+    assert sum("BroadcastExchange" in p for p in plans) <= 1  # at most where texts are fetched by their ids
+    assert len(said) == len(plans) // near_dedup.REST > 1
+    assert all(x.startswith("Trim native heap") for x in said)
+
+
 def test_recall_at_the_threshold():
     """Share of pairs with a similarity of 0.8 to 0.82 that meet in a band."""
     rnd = random.Random(21)
